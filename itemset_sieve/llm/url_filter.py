@@ -18,6 +18,8 @@ SLOTS, SHORTEST, LONGEST = 1 << 15, 3, 5
 #: The small labelled table is spelled by these: names that unwanted hosts combine, and harmless ones.
 UNWANTED = ("casino", "pills", "bets", "spam", "ads", "track", "cheap", "free", "win", "farm", "poker", "loans", "adult", "x")
 HARMLESS = ("garden", "theatre", "river", "nation", "weather", "history", "kitchen", "travel", "science", "letters", "harbour", "music")
+#: Ordinary names are mostly made of common syllables: harmless too.
+SYLLABLES = ("the", "ing", "tion", "er", "an", "on", "st", "ble", "wh", "hat", "ne", "ly", "sh", "or", "mar", "vel", "kin", "dor")
 SITES = ("example.com", "example.org", "example.net")
 
 
@@ -29,8 +31,8 @@ def labelled() -> list[tuple[str, str, int]]:
             if a != b:
                 front = ("", "www.", "m.")[(i + j) % 3]
                 rows.append((f"{front}{a}-{b}.{SITES[(i + 2 * j) % 3]}", f"/{('en', 'de', 'fr', 'es')[(i + j) % 4]}/{(37 * i + 11 * j) % 997}", 1))
-    for i, a in enumerate(HARMLESS):
-        for j, b in enumerate((*HARMLESS, "")):
+    for i, a in enumerate((*HARMLESS, *SYLLABLES)):
+        for j, b in enumerate(HARMLESS if a in HARMLESS else SYLLABLES):
             if a != b:
                 front = ("", "www.", "blog.", "m.")[(i + j) % 4]
                 rows.append((f"{front}{a}{b}.{SITES[(i + 2 * j) % 3]}", f"/{('en', 'de', 'fr', 'es')[(i + j) % 4]}/{(29 * i + 13 * j) % 997}", 0))
@@ -48,16 +50,17 @@ def slots(host: str, path: str) -> list[int]:
 
 
 def fit(rows: list[tuple[str, str, int]], rounds: int = 200, rate: float = 0.5, decay: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Full-batch gradient descent. What no row has seen stays at weight 0, so that the bias decides."""
+    """Full-batch gradient descent. What no row has seen stays at weight 0."""
     sets = [np.array(slots(h, p)) for h, p, _ in rows]
     y = np.array([r[2] for r in rows], float)
     flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(s) for s in sets])
     scale = 1 / np.sqrt([len(s) for s in sets])
-    w, b = np.zeros(SLOTS), -2.0  # the bias is a prior and is kept: an unknown name is allowed
+    w, b = np.zeros(SLOTS), 0.0
     for _ in range(rounds):
         z = np.bincount(owner, w[flat], len(sets)) * scale + b
         d = (1 / (1 + np.exp(-z)) - y) * scale / len(sets)
         w -= rate * len(sets) / 20 * (np.bincount(flat, d[owner], SLOTS) + decay * w)
+        b -= rate * (d / scale).sum()
     return w, b
 
 
