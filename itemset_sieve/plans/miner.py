@@ -73,7 +73,7 @@ def step(store: Store, level: DataFrame, size: int, method: str, f: Facts, seed:
         else:
             pairs = cand.join_hashed(members, supports, store, family)
         pairs = written(pairs, "pairs")
-        row |= {"phi": family.phi(), "phi_measured": family.phi_measured(), "overhead": 2.0 * f.m * family.phi_measured(), "signatures": 2 * f.m * family.width, "params": {k: float(v) for k, v in family.params().items() if np.isfinite(v)}}
+        row |= {"phi": float(family.phi()), "phi_measured": float(family.phi_measured()), "overhead": 2.0 * f.m * family.phi_measured(), "signatures": 2 * f.m * family.width, "params": {k: float(v) for k, v in family.params().items() if np.isfinite(v)}}
     chosen = cand.prune_by_subsets(pairs, level) if prune else pairs.select("items").distinct()
     counted = written(support.count(chosen, store, support_mode), "counted")
     found = written(counted.where(F.col("support") >= store.s_min), "level")
