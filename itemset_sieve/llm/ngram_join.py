@@ -2,7 +2,9 @@
 
 Documents with the same shingles form a class, classes with the same prefix and size form a group, and groups
 meet on the shingles of their prefixes. Shingles are ordered with the frequent ones last; any order gives the
-same links, a good one only makes buckets small. Candidates are tried in two steps: first each against the
+same links, a good one only makes buckets small. Prefixes are some shingles longer than they must be, so that a
+similar pair shares not one but that many more of them; a group may then leave crowded buckets as long as fewer
+of its shingles are crowded than a pair must share. Candidates are tried in two steps: first each against the
 smallest of its bucket, then, across the components this leaves, all that remain. Pairs inside one component
 need no test, so no bucket is expanded into all its pairs, and no link between components is lost.
 """
@@ -21,11 +23,12 @@ from .common import components, materialize
 SHINGLE, PERCENT = 5, 75
 #: Frequent shingles that the order knows of at most, and how many documents make one frequent.
 FREQUENT, MANY = 400_000, 12
+#: Shingles beyond the least prefix that a pair must share too, and groups that make a bucket crowded.
+EXTRA, CROWD = 24, 24
 #: Shingles that a task gathers before it counts or deals them: bounds memory.
-GATHER = 4_000_000
+GATHER = 1_500_000
 #: log2 of the bits of the filter that skips documents without candidates; a full one skips none.
 FILTER_BITS = 26
-MASK = np.uint64((1 << 64) - 1)
 LOWERED = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
@@ -35,7 +38,7 @@ class Hashes(dict):
     def __missing__(self, word: bytes) -> int:
         import xxhash
 
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         h = self[word] = xxhash.xxh3_64_intdigest(word)
         return h
@@ -75,9 +78,15 @@ def unpacked(data: bytes) -> np.ndarray:
     return wide.view("<u8").reshape(-1)
 
 
+def share_of(n: int) -> int:
+    """How many shingles of its prefix a set of n must share with a similar set that asks for no fewer."""
+    return max(1, min(EXTRA, n // 12))
+
+
 def prefix_length(n: int, percent: int = PERCENT) -> int:
-    """Shingles of a set of n of which any set that is similar enough has at least one, in any order."""
-    return n - (percent * n + 99) // 100 + 1
+    """Shingles of a set of n of which any set that is similar enough has at least share_of(n) in its own, in any
+    order, or as many as the other set asks for if these are fewer."""
+    return n - (percent * n + 99) // 100 + share_of(n)
 
 
 def binary_texts(docs: DataFrame) -> DataFrame:
@@ -265,26 +274,43 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     grp = unit.groupBy("g1", "n").agg(F.min("unit").alias("grp"))
     member = materialize(unit.join(grp, ["g1", "n"]).select("unit", "n", "grp"), "members")
     heads = member.where("unit = grp").select("grp", "n")
-    fronts = info.select(F.col("doc_id").alias("grp"), "n", "prefix").join(heads, ["grp", "n"], "left_semi").dropDuplicates(["grp"])
-    live = materialize(meetings(fronts, max(8, parts)), "meetings")
+    fronts = info.select(F.col("doc_id").alias("grp"), "n", "prefix").join(heads.select("grp"), "grp", "left_semi")
+    met = materialize(meetings(fronts, max(8, parts)), "meetings")
+    # Groups with few crowded shingles leave the crowded buckets; what a pair must share falls by as many.
+    crowded = met.groupBy("h").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > CROWD).select("h", F.lit(1).alias("crowd"))
+    rows = met.join(crowded, "h", "left").select("h", "grp", "n", F.coalesce("crowd", F.lit(0)).alias("crowd"))
+    asks = F.greatest(F.lit(1), F.least(F.lit(EXTRA), F.floor(F.col("n") / 12))).cast("long")
+    # A partner may be smaller and ask for less: the least that any can ask for decides.
+    least = F.greatest(F.lit(1), F.least(F.lit(EXTRA), F.floor(F.col("n") * percent / 1200))).cast("long")
+    held = rows.groupBy("grp").agg(F.sum("crowd").alias("d"), F.max(asks).alias("asks"), F.max(least).alias("least"))
+    held = held.select("grp", "d", "asks", (F.col("d") >= F.col("least")).alias("stays"))
+    live = rows.join(held, "grp").where("crowd = 0 OR stays").select("h", "grp", "n", "asks", F.when(~F.col("stays"), F.col("d")).alias("left"))
+    live = materialize(live, "live")
+    need = F.least("asksx", "asksy") - F.coalesce(F.least("leftx", "lefty"), F.lit(0))  # nulls are passed over
     # First, everyone against the smallest of its group, and every group against the smallest of its bucket.
-    first = live.groupBy("h").agg(F.min("grp").alias("a"))
-    stars = live.join(first, "h").where("grp <> a").select("a", F.col("grp").alias("b"))
+    first = live.groupBy("h").agg(F.min(F.struct("grp", "n", "asks", "left")).alias("s"))
+    first = first.select("h", F.col("s.grp").alias("a"), F.col("s.n").alias("nx"), F.col("s.asks").alias("asksx"), F.col("s.left").alias("leftx"))
+    small = f"100 * nx >= {percent} * ny AND 100 * ny >= {percent} * nx"
+    other = live.select("h", F.col("grp").alias("b"), F.col("n").alias("ny"), F.col("asks").alias("asksy"), F.col("left").alias("lefty"))
+    stars = other.join(first, "h").where("a <> b").where(small).groupBy("a", "b").agg(F.count(F.lit(1)).alias("k"), F.first(need).alias("need")).where("k >= need").select("a", "b")
     within = member.where("unit <> grp").select(F.col("grp").alias("a"), F.col("unit").alias("b"))
-    linked = verified(stars.union(within).distinct(), docs, size, percent)
+    tried = materialize(stars.union(within).distinct(), "tried")
+    linked = verified(tried, docs, size, percent)
     comp = components(linked)
     # Then, across the components of each bucket, what is left; the size filter alone rules pairs out.
     placed = member.join(comp, member["unit"] == comp["node"], "left").select("unit", "n", "grp", F.coalesce("component", "unit").alias("comp"))
     spread = placed.groupBy("grp").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
     open_h = live.join(spread, "grp").groupBy("h").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("h")
-    meet = live.select("h", "grp").join(open_h, "h", "left_semi").join(placed, "grp").select("h", "unit", "n", "comp")
-    own = placed.join(spread.where("lo <> hi").select("grp"), "grp", "left_semi").select((-F.col("grp") - 1).alias("h"), "unit", "n", "comp")
+    meet = live.select("h", "grp", "asks", "left").join(open_h, "h", "left_semi").join(placed, "grp").select("h", "unit", "n", "comp", "asks", "left")
+    mixed_groups = placed.join(spread.where("lo <> hi").select("grp"), "grp", "left_semi")
+    own = mixed_groups.select((-F.col("grp") - 1).alias("h"), "unit", "n", "comp", F.lit(1).cast("long").alias("asks"), F.lit(None).cast("long").alias("left"))
     meet = materialize(meet.union(own), "open")
-    x, y = (meet.select("h", *(F.col(c).alias(c + s) for c in ("unit", "n", "comp"))) for s in "xy")
-    fits = f"compx < compy AND 100 * nx >= {percent} * ny AND 100 * ny >= {percent} * nx"
-    cross = x.join(y, "h").where(fits).select(F.least("unitx", "unity").alias("a"), F.greatest("unitx", "unity").alias("b")).distinct()
-    tried = stars.union(within).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    more = verified(cross.join(tried, ["a", "b"], "left_anti"), docs, size, percent)
+    x, y = (meet.select("h", *(F.col(c).alias(c + s) for c in ("unit", "n", "comp", "asks", "left"))) for s in "xy")
+    cross = x.join(y, "h").where("compx < compy").where(small)
+    cross = cross.select(F.least("unitx", "unity").alias("a"), F.greatest("unitx", "unity").alias("b"), need.alias("need"), (F.col("h") < 0).alias("own"))
+    cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("k"), F.max("need").alias("need"), F.max("own").alias("own")).where("own OR k >= need").select("a", "b")
+    done = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    more = verified(cross.join(done, ["a", "b"], "left_anti"), docs, size, percent)
     final = components(linked.union(more))
     named = unit.join(final, unit["unit"] == final["node"], "left").select("f1", "f2", "n", F.coalesce("component", "unit").alias("component_id"))
     full = info.select("doc_id", "n", "f1", "f2").join(named, ["f1", "f2", "n"], "left")
