@@ -30,7 +30,7 @@ D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
 BURN_IN, SAMPLES = 1, 3
 #: Tokens that make a block of documents, and a chunk of words. Bounds on memory.
-BLOCK, CHUNK = 3_000_000, 1_000_000
+BLOCK, CHUNK = 1_200_000, 700_000
 #: Customers of a dish up to which table counts are drawn exactly; beyond, seating goes on in short leaps.
 EXACT = 24
 SEED = 5
