@@ -6,10 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import ann, bpe, exact_dedup, html_extract, mix, ngram_join, pitman_yor, quality_cnn, url_filter
+from . import ann, bpe, exact_dedup, html_extract, license_scan, mix, ngram_join, pitman_yor, quality_cnn, url_filter
 from .common import table
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "source", "lang")
+    return license_scan.scan(license_scan.document_files(docs), key="doc_id")
+
+
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -58,7 +63,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    ops = (op2_exact_dedup, op3_html_text, op4_pitman_yor, op5_byte_bpe, op6_mix_sources, op7_quality_cnn, op8_url_filter, op9_nearest, op10_ngram_jaccard, pipeline)
+    ops = (op1_license_scan, op2_exact_dedup, op3_html_text, op4_pitman_yor, op5_byte_bpe, op6_mix_sources, op7_quality_cnn, op8_url_filter, op9_nearest, op10_ngram_jaccard, pipeline)
     return {f.__name__: f for f in ops}
 
 
