@@ -17,6 +17,8 @@ from pyspark.sql import functions as F
 
 #: Vectors that the trees are split on at most, trees, leaves of each, and the share of all leaves a query looks into.
 SAMPLE, TREES, DEPTH, SHARE = 8192, 6, 5, 0.5
+#: Sampled vectors that a leaf has at least: few vectors make fewer leaves, and very few are all compared.
+LEAST = 64
 SEED = 11
 
 
@@ -125,6 +127,7 @@ def nearest(rows: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding",
     picked = d.orderBy(F.xxhash64("id"), "id").limit(sample).select("id", "v").toArrow()  # at most sample rows
     at, x = vectors_of(picked.column("v").combine_chunks())
     dims = x.shape[1]
+    depth = max(0, min(depth, int(np.log2(max(1, len(x)) / LEAST))))
     shared = spark.sparkContext.broadcast(Forest(unit(x), trees, depth))  # trees * 2^depth * dims numbers
 
     def deal(ids: np.ndarray, x: np.ndarray, cell: np.ndarray, kind: int) -> pa.RecordBatch:

@@ -42,6 +42,8 @@ PARAGRAPH = re.compile(rb"\n[\s#*/;-]*\n")
 LICENCE_NAME = r"(?i)^(licen[sc]e|copying|copyright|notice|unlicen[sc]e)([.-].*)?$"
 #: Least cosine of a statement.
 CLOSE = 0.7
+#: Least cosine of a whole text that makes its file a licence file whatever its name.
+WHOLE = 0.92
 
 
 def terms(text: bytes) -> Counter:
@@ -135,7 +137,7 @@ def scan(files: DataFrame, key: str = "path") -> DataFrame:
                 name, score = m.own(text or b"")
                 names.append(name)
                 scores.append(score)
-                whole.append(bool(name) and len(text) < 100_000 and m.best(text)[1] >= CLOSE)
+                whole.append(bool(name) and len(text) < 100_000 and m.best(text)[1] >= WHOLE)
             yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(whole, pa.bool_())], names=["_key", "path", "own", "score", "whole"])
 
     kind = base.schema["_key"].dataType.simpleString()
