@@ -6,7 +6,8 @@ same links, a good one only makes buckets small. Prefixes are some shingles long
 similar pair shares not one but that many more of them; a group may then leave crowded buckets as long as fewer
 of its shingles are crowded than a pair must share. Candidates are tried in two steps: first each against the
 smallest of its bucket, then, across the components this leaves, all that remain. Pairs inside one component
-need no test, so no bucket is expanded into all its pairs, and no link between components is lost.
+need no test, so no bucket is expanded into all its pairs, and no link between components is lost. What must stay
+in crowded buckets is compared in tiles, by matrix products of their whole sets.
 """
 
 from __future__ import annotations
@@ -25,6 +26,8 @@ SHINGLE, PERCENT = 5, 75
 FREQUENT, MANY = 400_000, 12
 #: Shingles beyond the least prefix that a pair must share too, and groups that make a bucket crowded.
 EXTRA, CROWD = 24, 24
+#: Documents of a tile, in which dense clusters are compared pair by pair.
+TILE = 512
 #: Shingles that a task gathers before it counts or deals them: bounds memory.
 GATHER = 1_500_000
 #: log2 of the bits of the filter that skips documents without candidates; a full one skips none.
@@ -226,21 +229,26 @@ def id_filter(ids: DataFrame, bits: int = FILTER_BITS) -> bytes:
     return bytes(out)
 
 
-def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
-    """Those of pairs(a, b) whose documents' whole shingle sets are similar enough, as a written table."""
-    pairs = materialize(pairs, "pairs")
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+def sets_of(ids: DataFrame, docs: DataFrame, size: int) -> DataFrame:
+    """id, shingles (packed) of the documents of ids(id), as a written table. Others are skipped unread by a filter."""
     shared = docs.sparkSession.sparkContext.broadcast(id_filter(ids))
 
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, bits = Hashes(), np.frombuffer(shared.value, np.uint8)
         for batch in batches:
             at = batch.column(2).to_numpy()
-            pick = np.nonzero(bits[at >> 3] >> (at & 7).astype(np.uint8) & 1)[0]
-            some = batch.take(pa.array(pick))
+            some = batch.take(pa.array(np.nonzero(bits[at >> 3] >> (at & 7).astype(np.uint8) & 1)[0]))
             blobs = [packed(shingles(t, known, size)) for t in some.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([some.column(0), pa.array(blobs, pa.binary())], names=["id", "shingles"])
 
+    d = binary_texts(docs).where("doc_id is not null").select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS)).alias("at"))
+    return materialize(d.mapInArrow(run, "id long, shingles binary").join(ids, "id", "left_semi").dropDuplicates(["id"]), "sets")
+
+
+def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
+    """Those of pairs(a, b) whose documents' whole shingle sets are similar enough, as a written table."""
+    pairs = materialize(pairs, "pairs")
+
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             good = []
@@ -251,13 +259,61 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
                 good.append(100 * common >= percent * (len(both) - common) and len(both) > 0)
             yield pa.RecordBatch.from_arrays(batch.columns[:2], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    d = binary_texts(docs).where("doc_id is not null").select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS)).alias("at"))
-    known = d.mapInArrow(sets, "id long, shingles binary").join(ids, "id", "left_semi").dropDuplicates(["id"])
-    known = materialize(known, "sets")
+    known = sets_of(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), docs, size)
     joined = pairs.join(known.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(known.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
     return materialize(joined.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long"), "links")
 
 
+def tile_links(units: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
+    """Links a, b between the components of units(unit, cluster, comp) of one cluster: all pairs are compared on whole
+    sets, tile by tile, and of the links of two tiles those are returned that join components."""
+    sizes = units.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / TILE).cast("int").alias("tiles"))
+    placed = materialize(units.join(sizes, "cluster").withColumn("tile", F.pmod(F.xxhash64("unit"), F.col("tiles")).cast("int")), "tiles")
+    known = sets_of(placed.select(F.col("unit").alias("id")).distinct(), docs, size)
+    full = placed.join(known, placed["unit"] == known["id"]).select("cluster", "unit", "comp", "tile", "tiles", "shingles")
+    full = full.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    full = full.select("cluster", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"), "unit", "comp", "tile", "shingles")
+
+    def compare(table: pa.Table) -> pa.Table:
+        i, j = table.column("i")[0].as_py(), table.column("j")[0].as_py()
+        unit, tile = table.column("unit").to_numpy(), table.column("tile").to_numpy()
+        sets = [unpacked(x) for x in table.column("shingles").to_pylist()]
+        n = np.array([len(x) for x in sets])
+        h, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), n)
+        order = np.argsort(h, kind="stable")
+        h, owner = h[order], owner[order]
+        new = np.concatenate([[True], h[1:] != h[:-1]])
+        column = np.cumsum(new) - 1
+        shared = np.bincount(column) > 1  # the others are in one set alone
+        column, owner = (np.cumsum(shared) - 1)[column[shared[column]]], owner[shared[column]]
+        a, b = np.nonzero(tile == i)[0], np.nonzero(tile == j)[0]
+        common, wide = np.zeros((len(a), len(b)), np.float32), 8192
+        for lo in range(0, int(column.max(initial=-1)) + 1, wide):
+            here = (column >= lo) & (column < lo + wide)
+            m = np.zeros((len(sets), wide), np.float32)
+            m[owner[here], column[here] - lo] = 1
+            common += m[a] @ m[b].T
+        common = common.astype(np.int64)
+        close = 100 * common >= percent * (n[a][:, None] + n[b][None, :] - common)
+        root = {c: c for c in table.column("comp").to_pylist()}
+
+        def top(c: int) -> int:
+            while root[c] != c:
+                root[c] = root[root[c]]
+                c = root[c]
+            return c
+
+        comp, out = table.column("comp").to_pylist(), []
+        for p, q in zip(*np.nonzero(close & (unit[a][:, None] != unit[b][None, :]))):
+            x, y = top(comp[a[p]]), top(comp[b[q]])
+            if x != y:
+                root[max(x, y)] = min(x, y)
+                out.append((unit[a[p]], unit[b[q]]))
+        return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
+
+    return materialize(full.groupBy("cluster", "i", "j").applyInArrow(compare, "a long, b long"), "links")
+
+
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, frequent_most: int = FREQUENT, many: int = MANY) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of docs(doc_id, text).
 
@@ -284,26 +340,27 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     least = F.greatest(F.lit(1), F.least(F.lit(EXTRA), F.floor(F.col("n") * percent / 1200))).cast("long")
     held = rows.groupBy("grp").agg(F.sum("crowd").alias("d"), F.max(asks).alias("asks"), F.max(least).alias("least"))
     held = held.select("grp", "d", "asks", (F.col("d") >= F.col("least")).alias("stays"))
-    live = rows.join(held, "grp").where("crowd = 0 OR stays").select("h", "grp", "n", "asks", F.when(~F.col("stays"), F.col("d")).alias("left"))
-    live = materialize(live, "live")
+    rows = materialize(rows.join(held, "grp").where("crowd = 0 OR stays").select("h", "grp", "n", "crowd", "asks", F.when(~F.col("stays"), F.col("d")).alias("left")), "live")
+    live, thick = rows.where("crowd = 0").drop("crowd"), rows.where("crowd = 1").select("h", "grp")
     need = F.least("asksx", "asksy") - F.coalesce(F.least("leftx", "lefty"), F.lit(0))  # nulls are passed over
+    small = f"100 * nx >= {percent} * ny AND 100 * ny >= {percent} * nx"
     # First, everyone against the smallest of its group, and every group against the smallest of its bucket.
     first = live.groupBy("h").agg(F.min(F.struct("grp", "n", "asks", "left")).alias("s"))
     first = first.select("h", F.col("s.grp").alias("a"), F.col("s.n").alias("nx"), F.col("s.asks").alias("asksx"), F.col("s.left").alias("leftx"))
-    small = f"100 * nx >= {percent} * ny AND 100 * ny >= {percent} * nx"
     other = live.select("h", F.col("grp").alias("b"), F.col("n").alias("ny"), F.col("asks").alias("asksy"), F.col("left").alias("lefty"))
     stars = other.join(first, "h").where("a <> b").where(small).groupBy("a", "b").agg(F.count(F.lit(1)).alias("k"), F.first(need).alias("need")).where("k >= need").select("a", "b")
     within = member.where("unit <> grp").select(F.col("grp").alias("a"), F.col("unit").alias("b"))
     tried = materialize(stars.union(within).distinct(), "tried")
     linked = verified(tried, docs, size, percent)
     comp = components(linked)
-    # Then, across the components of each bucket, what is left; the size filter alone rules pairs out.
-    placed = member.join(comp, member["unit"] == comp["node"], "left").select("unit", "n", "grp", F.coalesce("component", "unit").alias("comp"))
-    spread = placed.groupBy("grp").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    # Then, across the components of each bucket, what is left; buckets have at most CROWD groups.
+    placed = materialize(member.join(comp, member["unit"] == comp["node"], "left").select("unit", "n", "grp", F.coalesce("component", "unit").alias("comp")), "placed")
+    spread = placed.groupBy("grp").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("units"))
     open_h = live.join(spread, "grp").groupBy("h").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("h")
+    many = spread.where(f"lo <> hi AND units > {CROWD}").select("grp")
+    alone = placed.join(spread.where(f"lo <> hi AND units <= {CROWD}").select("grp"), "grp", "left_semi")
     meet = live.select("h", "grp", "asks", "left").join(open_h, "h", "left_semi").join(placed, "grp").select("h", "unit", "n", "comp", "asks", "left")
-    mixed_groups = placed.join(spread.where("lo <> hi").select("grp"), "grp", "left_semi")
-    own = mixed_groups.select((-F.col("grp") - 1).alias("h"), "unit", "n", "comp", F.lit(1).cast("long").alias("asks"), F.lit(None).cast("long").alias("left"))
+    own = alone.select((-F.col("grp") - 1).alias("h"), "unit", "n", "comp", F.lit(1).cast("long").alias("asks"), F.lit(None).cast("long").alias("left"))
     meet = materialize(meet.union(own), "open")
     x, y = (meet.select("h", *(F.col(c).alias(c + s) for c in ("unit", "n", "comp", "asks", "left"))) for s in "xy")
     cross = x.join(y, "h").where("compx < compy").where(small)
@@ -311,6 +368,12 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("k"), F.max("need").alias("need"), F.max("own").alias("own")).where("own OR k >= need").select("a", "b")
     done = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     more = verified(cross.join(done, ["a", "b"], "left_anti"), docs, size, percent)
+    # Last, groups that had to stay in crowded buckets, and the many units of one group: in tiles.
+    ring = thick.join(thick.groupBy("h").agg(F.min("grp").alias("b")), "h").select(F.col("grp").alias("a"), "b").distinct()
+    cluster = components(ring).select(F.col("node").alias("grp"), F.col("component").alias("cluster"))
+    dense = placed.join(cluster, "grp").select("unit", "cluster", "comp")
+    dense = dense.union(placed.join(many, "grp").select("unit", (-F.col("grp") - 1).alias("cluster"), "comp"))
+    more = more.union(tile_links(dense, docs, size, percent))
     final = components(linked.union(more))
     named = unit.join(final, unit["unit"] == final["node"], "left").select("f1", "f2", "n", F.coalesce("component", "unit").alias("component_id"))
     full = info.select("doc_id", "n", "f1", "f2").join(named, ["f1", "f2", "n"], "left")
