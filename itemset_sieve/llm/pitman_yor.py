@@ -30,7 +30,7 @@ D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
 BURN_IN, SAMPLES = 1, 3
 #: Tokens that make a block of documents, and a chunk of words. Bounds on memory.
-BLOCK, CHUNK = 1_200_000, 700_000
+BLOCK, CHUNK = 700_000, 400_000
 #: Customers of a dish up to which table counts are drawn exactly; beyond, seating goes on in short leaps.
 EXACT = 24
 SEED = 5
@@ -53,7 +53,7 @@ def tables(c: np.ndarray, base: np.ndarray, others: np.ndarray, discount: float,
     t = np.minimum(c, 1)
     for n in range(2, EXACT + 1):
         at = np.nonzero((c == n) if n < EXACT else (c >= n))[0]
-        for some in np.array_split(at, max(1, len(at) // 200_000)):
+        for some in np.array_split(at, 1 + len(at) * n // 300_000):
             if len(some):
                 k = np.arange(1, n + 1)
                 opened = np.log(strength + discount * (others[some][:, None] + k[None, :] - 1)).cumsum(1)
