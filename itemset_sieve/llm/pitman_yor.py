@@ -261,7 +261,7 @@ def scored(docs: DataFrame) -> DataFrame:
     token is unknown. Rows with a null id are not scored. An empty table gives an empty result.
     """
     spark = docs.sparkSession
-    buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    buckets = 4 * max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))  # several small ones a task
     chunks = materialize(merged(blocks_of(docs, buckets)), "words")
     facts = gathered(chunks)
     shared = spark.sparkContext.broadcast(facts)  # two vectors of CONTEXTS numbers
