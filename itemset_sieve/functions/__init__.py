@@ -68,15 +68,20 @@ class CoveringKeys:
                 yield (b, v)
 
 
-@F.pandas_udf("double")
-def bitmap_jaccard(a: pd.Series, b: pd.Series) -> pd.Series:
-    """Jaccard similarity of two bitmaps given as binary."""
-    def one(x: bytes, y: bytes) -> float:
+def bitmap_jaccard():  # noqa: ANN201
+    """A vectorised function: Jaccard similarity of two bitmaps given as binary, null for two empty ones."""
+
+    def one(x: bytes | None, y: bytes | None) -> float | None:
+        if x is None or y is None:
+            return None
         p, q = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
         union = int(np.bitwise_count(p | q).sum())
-        return int(np.bitwise_count(p & q).sum()) / union if union else float("nan")
+        return int(np.bitwise_count(p & q).sum()) / union if union else None
+
+    def both(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([one(x, y) for x, y in zip(a, b)], dtype="float64")
 
-    return pd.Series([one(x, y) for x, y in zip(a, b)])
+    return F.pandas_udf(both, "double")
 
 
 def register(spark: SparkSession) -> None:
@@ -87,7 +92,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("k_subsets", F.udtf(KSubsets, returnType=T.StructType([T.StructField("subset", ints)])))
     spark.udtf.register("leave_one_out", F.udtf(LeaveOneOut, returnType=T.StructType([T.StructField("subset", ints)])))
     spark.udtf.register("covering_keys", F.udtf(CoveringKeys, returnType="block int, v int"))
-    spark.udf.register("bitmap_jaccard", bitmap_jaccard)
+    spark.udf.register("bitmap_jaccard", bitmap_jaccard())
 
 
 def mine_itemsets(spark: SparkSession, table: str, theta: float | str, method: str = "exact", view: str = "frequent_itemsets", **options: object) -> DataFrame:
