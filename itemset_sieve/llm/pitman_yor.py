@@ -172,6 +172,12 @@ def merged(packed: DataFrame) -> DataFrame:
     return packed.groupBy("bucket").applyInArrow(joined, "chunk long, owner long, words binary, sizes binary, ctx binary, block binary, doc binary, learnt binary")
 
 
+def each(batch: pa.RecordBatch) -> Iterator[dict]:
+    """The rows one by one, so that a task holds one chunk as Python objects at a time."""
+    for k in range(batch.num_rows):
+        yield batch.slice(k, 1).to_pylist()[0]
+
+
 class Chunk:
     """The words of a row of merged(), their pairs with contexts, and how customers sit."""
 
@@ -220,7 +226,7 @@ def gathered(chunks: DataFrame) -> dict:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c, kinds, n, v = np.zeros(CONTEXTS, np.int64), np.zeros(CONTEXTS, np.int64), 0, 0
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in each(batch):
                 x = Chunk(row)
                 c += np.bincount(x.ctx, x.c, CONTEXTS).astype(np.int64)
                 kinds += np.bincount(x.ctx, x.c > 0, CONTEXTS).astype(np.int64)
@@ -238,7 +244,7 @@ def gathered(chunks: DataFrame) -> dict:
         s2, s1 = stirling(D2), stirling(D1)
         out, up = np.zeros(CONTEXTS, np.int64), np.zeros(2, np.int64)
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in each(batch):
                 x = Chunk(row)
                 t = x.sweep(np.maximum(x.count, 0.5) / max(n, 1), shared.value, s2)  # at least one table a kind
                 out += np.bincount(x.ctx, t, CONTEXTS).astype(np.int64)
@@ -271,7 +277,7 @@ def scored(docs: DataFrame) -> DataFrame:
         n, v, c_ctx, t_ctx = f["n"], f["v"], f["customers"], f["tables"]
         s2, s1 = stirling(D2), stirling(D1)
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in each(batch):
                 x = Chunk(row)
                 reach = f["parent"][1] / max(v, 1)
                 total, opened = max(f["parent"][0], 1), T1 + D1 * f["parent"][1]
