@@ -122,6 +122,15 @@ def test_pages_that_are_all_alike_keep_their_text(spark):
     assert {r.text for r in html_extract.extracted(df).collect()} == {"same"}
 
 
+def test_constant_blocks_beside_varying_ones_are_template(spark):
+    page = "<body><p>Site notice</p>{}<p>Imprint</p>{}</body>"
+    more = "".join(f"<div>Box {k}</div><div>{{0}} in {k}</div>" for k in range(12))
+    rows = [(i, f"http://h.example.com/{i}", page.format("".join(f"<p>text {i} {j}</p>" for j in range(1 + i % 3)), more.format(f"page {i}"))) for i in range(9)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r.page_id: r.text.split("\n\n") for r in html_extract.extracted(df).collect()}
+    assert got == {i: [*(f"text {i} {j}" for j in range(1 + i % 3)), *(f"page {i} in {k}" for k in range(12))] for i in range(9)}
+
+
 def test_tree_matching_keeps_order():
     a, b = ["r", 1, "", [["x", 1, "1", []], ["y", 1, "2", []], ["z", 1, "3", []]]], ["r", 1, "", [["y", 1, "2", []], ["x", 1, "9", []], ["z", 1, "4", []]]]
     m = html_extract.merge(a, b)
