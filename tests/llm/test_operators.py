@@ -131,6 +131,19 @@ def test_constant_blocks_beside_varying_ones_are_template(spark):
     assert got == {i: [*(f"text {i} {j}" for j in range(1 + i % 3)), *(f"page {i} in {k}" for k in range(12))] for i in range(9)}
 
 
+def test_wrapper_decides_inside_articles_and_copies_count_once(spark):
+    page = "<body><{0}><p>Subscribers read on</p><p>text {1}</p><section><p>more {1}</p><p>Printed in Ulm</p></section></{0}><p>Imprint</p></body>"
+    rows = [(i, f"http://{tag}.example.com/{i}", page.format(tag, f"{i} of {tag}")) for i, tag in enumerate(["article", "main"] * 6)]
+    copy = "<body><article><p>one</p><p>two</p></article><p>{}</p></body>"
+    rows += [(100 + i, f"http://copies.example.com/{i}", copy.format(i)) for i in range(9)]
+    rows += [(200 + i, "http://near.example.com/", f"<article><p>one</p><p>own {i}</p></article>") for i in range(4)]
+    rows += [(300 + i, "http://near.example.com/", f"<article><p>story {i}</p><p>end {i}</p></article>") for i in range(9)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r.page_id: r.text.split("\n\n") for r in html_extract.extracted(df).collect()}
+    assert all(got[i] == [f"text {i} of {tag}", f"more {i} of {tag}"] for i, tag in enumerate(["article", "main"] * 6))
+    assert all(got[100 + i] == ["one", "two"] for i in range(9)) and all(got[200 + i] == ["one", f"own {i}"] for i in range(4))
+
+
 def test_tree_matching_keeps_order():
     a, b = ["r", 1, "", [["x", 1, "1", []], ["y", 1, "2", []], ["z", 1, "3", []]]], ["r", 1, "", [["y", 1, "2", []], ["x", 1, "9", []], ["z", 1, "4", []]]]
     m = html_extract.merge(a, b)
