@@ -137,7 +137,7 @@ def scan(files: DataFrame, key: str = "path") -> DataFrame:
                 name, score = m.own(text or b"")
                 names.append(name)
                 scores.append(score)
-                whole.append(bool(name) and len(text) < 100_000 and m.best(text)[1] >= WHOLE)
+                whole.append(bool(name) and m.best(text)[1] >= WHOLE)
             yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(whole, pa.bool_())], names=["_key", "path", "own", "score", "whole"])
 
     kind = base.schema["_key"].dataType.simpleString()

@@ -49,6 +49,12 @@ def test_licenses_are_stated_and_inherited(spark):
     assert license_scan.scan(df).count() == len(files) + 2 and license_scan.scan(df.where("path = 'none'")).count() == 0
 
 
+def test_licence_files_of_any_length_govern(spark):
+    rows = [("a/1.txt", "Released under the MIT License.\n" * 4000), ("a/2.txt", "words"), ("b/1.txt", "Released under the MIT License.\n" * 10), ("b/2.txt", "words")]
+    got = {r.path: (r.license, r.licensed_by) for r in license_scan.scan(spark.createDataFrame(rows, "path string, text string")).collect()}
+    assert len(rows[0][1]) > 100_000 and got["a/2.txt"] == ("mit", "a") and got["b/2.txt"] == ("mit", "b")
+
+
 def test_sparse_cosine_equals_the_dense_one():
     m = license_scan.Matcher(50, {t: 3 for x in license_scan.TEMPLATES.values() for y in x for t in license_scan.terms(y.encode())})
     text = b"Released under the MIT license, of course"
