@@ -359,6 +359,7 @@ query("sampled_e2")(lambda spark, d: baselines.sampled(encode(spark, d, "e2"), "
 
 # Uses of itemsets.
 
+# Rules of pairs only, as their SQL has them; rules_all_e2c has those of all itemsets.
 _RULES = oracle.levels("e2c", "0.5", 2) + ", x AS (SELECT its[1] AS a, its[2] AS c, c AS s FROM l2 UNION ALL SELECT its[2], its[1], c FROM l2) SELECT x.a AS antecedent, x.c AS consequent, x.s AS support, round(x.s / f1.s, 9) AS confidence, round(x.s * n.n / (f1.s * f2.s), 9) AS lift FROM x JOIN f f1 ON f1.label = x.a JOIN f f2 ON f2.label = x.c, n WHERE x.s / f1.s >= 0.75"
 
 
@@ -369,6 +370,19 @@ def _rules(spark: SparkSession, d: str) -> DataFrame:
     return named(x, r.store, "antecedent", "consequent", key=("support", F.round("confidence", 9).alias("confidence"), F.round("lift", 9).alias("lift")))
 
 
+_RULES_ALL = (
+    oracle.levels("e2c", "0.5", 8) + oracle.all_levels(8) + ", x AS (SELECT its, c, unnest(its) AS label FROM a WHERE level > 1), y AS (SELECT *, list_filter(its, lambda i: i <> label) AS ante FROM x)"
+    " SELECT array_to_string(y.ante, ',') AS antecedent, y.label AS consequent, y.c AS support, round(y.c / p.c, 9) AS confidence, round(y.c * n.n / (p.c * f.s), 9) AS lift FROM y JOIN a p ON p.its = y.ante JOIN f USING (label), n WHERE y.c / p.c >= 0.75"
+)
+
+
+@query("rules_all_e2c", _RULES_ALL)
+def _rules_all(spark: SparkSession, d: str) -> DataFrame:
+    r = exact(spark, d, "e2c")
+    x = rules.generate(r.itemsets.select("items", "support"), r.store.n, 0.75)
+    return named(x, r.store, "antecedent", "consequent", key=("support", F.round("confidence", 9).alias("confidence"), F.round("lift", 9).alias("lift")))
+
+
 query("rules_any_e10")(lambda spark, d: named(rules.generate((r := exact(spark, d, "e10", top=3)).itemsets.select("items", "support"), r.store.n, 0.6, "any"), r.store, "antecedent", "consequent", key=("support", "confidence", "lift", "leverage", "conviction")))
 
 
@@ -452,7 +466,7 @@ def _stream(spark: SparkSession, d: str) -> DataFrame:
 @query("stream_mined_windows")
 def _stream_mined(spark: SparkSession, d: str) -> DataFrame:
     at = _checkpoint(spark)
-    streaming.mine_windows(streaming.windows(streaming.read_events(spark, d)), "0.05", at + "/out", at + "/state", max_level=2)
+    streaming.mine_windows(streaming.windows(streaming.read_events(spark, d)), "0.05", at + "/out", at + "/state")
     return spark.read.schema("level int, itemset string, support long, batch long").parquet(at + "/out")
 
 
