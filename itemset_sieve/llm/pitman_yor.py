@@ -1,14 +1,15 @@
 """Language-model scoring with a hierarchical Pitman-Yor process.
 
-Three levels: a restaurant for each class of previous words, all of which share one unigram restaurant as
+Three levels: a restaurant for each previous word, all of which share one unigram restaurant as
 parent, above a uniform base over the vocabulary and one unknown word. A dish is a word; the customers of a
 dish in a restaurant sit at tables, and each table is a customer of the same dish in the parent. The number of
 tables of each (context, word) is sampled by Gibbs from its conditional given all else; predictive
 probabilities are averaged over several samples.
 
-Contexts are classes of the previous word's hash, CONTEXTS of them, so that what all tasks need of each other,
-customers and tables of each restaurant, is a vector of fixed size. Words are dealt by their hash: a task holds
-all occurrences of its words, in all contexts and documents. The texts are read once; documents get back sums.
+Words, and contexts with them, are told apart by 64-bit hashes. Words are dealt by their hash: a chunk holds all
+occurrences of its words, in all contexts and documents. What chunks need of each other, customers and tables of
+each restaurant, is summed by context and joined back to the chunks that have it, so restaurants grow with the
+vocabulary. The texts are read once; documents get back sums.
 """
 
 from __future__ import annotations
@@ -24,8 +25,7 @@ from pyspark.sql import functions as F
 from .common import fold, materialize
 from .ngram_join import LOWERED, Hashes
 
-#: Context restaurants, and discount and strength of the context level and of the unigram level.
-CONTEXTS = 1 << 16
+#: Discount and strength of the context level and of the unigram level.
 D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
 BURN_IN, SAMPLES = 1, 3
@@ -75,7 +75,7 @@ def tables(c: np.ndarray, base: np.ndarray, others: np.ndarray, discount: float,
 def blocks_of(docs: DataFrame, buckets: int) -> DataFrame:
     """Packs the tokens of whole documents by word: rows (bucket, block, words, lens, ctx, doc, learnt).
 
-    words: 64-bit hashes, sorted; lens: occurrences of each; ctx and doc: context class and place of the document
+    words: 64-bit hashes, sorted; lens: occurrences of each; ctx and doc: hash of the previous word and place of the document
     in its block for each occurrence, sorted by word, context, document. The first `learnt` documents of a block
     are those to learn from. Rows with a negative bucket list a block's documents and their lengths instead.
     """
@@ -97,9 +97,8 @@ def blocks_of(docs: DataFrame, buckets: int) -> DataFrame:
             before = np.empty_like(h)
             before[1:], before[0] = h[:-1], np.uint64(end)  # the token before a document's first is an end
             words, rank = np.unique(h, return_inverse=True)
-            key = np.sort(rank.astype(np.int64) << 36 | (before % np.uint64(CONTEXTS)).astype(np.int64) << 20 | doc)
-            rank = key >> 36
-            ctx, place = (key >> 20 & 0xFFFF).astype("<u2"), (key & 0xFFFFF).astype("<u4")
+            order = np.lexsort((doc, before, rank))
+            rank, ctx, place = rank[order], before[order].astype("<u8"), doc[order].astype("<u4")
             sizes = np.bincount(rank, minlength=len(words))
             part = ((words >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)  # sorted with words
             edges, ends = np.searchsorted(part, np.arange(buckets + 1)), np.concatenate([[0], np.cumsum(sizes)])
@@ -134,42 +133,44 @@ def blocks_of(docs: DataFrame, buckets: int) -> DataFrame:
 
 
 def merged(packed: DataFrame) -> DataFrame:
-    """Chunks of whole words with all their occurrences: rows (chunk, words, sizes, ctx, block, doc, learnt), by word
-    and context; negative chunks carry the lists of documents."""
+    """Chunks of whole words with all their occurrences: rows (chunk, owner, words, sizes, ctxs, ctx, block, doc, learnt,
+    n, v), by word and context; negative chunks carry the lists of documents. ctxs: the sorted contexts of the chunk;
+    ctx: the place of each occurrence's context among them; n, v: occurrences and words to learn from."""
 
     def join(table: pa.Table) -> Iterator[pa.RecordBatch]:
         bucket = table.column("bucket")[0].as_py()
         cols = {n: table.column(n).to_pylist() for n in ("block", "words", "lens", "ctx", "doc", "learnt")}
-        names = ["chunk", "owner", "words", "sizes", "ctx", "block", "doc", "learnt"]
-        kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 6]
+        names = ["chunk", "owner", "words", "sizes", "ctxs", "ctx", "block", "doc", "learnt", "n", "v"]
+        kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 7, pa.int64(), pa.int64()]
         if bucket < 0:
-            rows = [(bucket, b, w, n, b"", b"", b"", b"") for b, w, n in zip(cols["block"], cols["words"], cols["lens"])]
+            rows = [(bucket, b, w, n, b"", b"", b"", b"", b"", 0, 0) for b, w, n in zip(cols["block"], cols["words"], cols["lens"])]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=names)
             return
         read = lambda name, kind: [np.frombuffer(x, kind) for x in cols[name]]
-        words, lens, ctx, doc = read("words", "<u8"), read("lens", "<u4"), read("ctx", "<u2"), read("doc", "<u4")
+        words, lens, ctx, doc = read("words", "<u8"), read("lens", "<u4"), read("ctx", "<u8"), read("doc", "<u4")
         per = [len(x) for x in ctx]
         blocks, order_of = np.unique(np.array(cols["block"], np.int64), return_inverse=True)
         known, inverse = np.unique(np.concatenate(words), return_inverse=True)
         rank = np.repeat(inverse, np.concatenate(lens)).astype(np.int64)
-        key = rank << 16 | np.concatenate(ctx).astype(np.int64)
-        order = np.argsort(key, kind="stable")
-        key = key[order]
+        ctx = np.concatenate(ctx)
+        order = np.lexsort((ctx, rank))
+        rank, ctx = rank[order], ctx[order]
         flags = np.concatenate([d < n for d, n in zip(doc, cols["learnt"])])[order]
         doc, block = np.concatenate(doc)[order], np.repeat(order_of, per).astype("<u4")[order]
-        sizes = np.bincount(key >> 16, minlength=len(known))
+        sizes = np.bincount(rank, minlength=len(known))
         ends = np.concatenate([[0], np.cumsum(sizes)])
         cuts = np.unique(np.concatenate([[0], np.searchsorted(ends, np.arange(CHUNK, ends[-1], CHUNK)), [len(known)]]))
-        for lo, hi in zip(cuts[:-1], cuts[1:]):
+        for k, (lo, hi) in enumerate(zip(cuts[:-1], cuts[1:])):
             cut = slice(ends[lo], ends[hi])
+            ctxs, at = np.unique(ctx[cut], return_inverse=True)
             own, local = np.unique(block[cut], return_inverse=True)
-            row = (bucket, None, known[lo:hi].tobytes(), sizes[lo:hi].astype("<u4").tobytes(), (key[cut] & 0xFFFF).astype("<u2").tobytes(), blocks[own].astype("<i8").tobytes(), (local.astype("<u8") << np.uint64(32) | doc[cut]).tobytes(), np.packbits(flags[cut]).tobytes())
+            row = (bucket << 32 | k, None, known[lo:hi].tobytes(), sizes[lo:hi].astype("<u4").tobytes(), ctxs.astype("<u8").tobytes(), at.astype("<u4").tobytes(), blocks[own].astype("<i8").tobytes(), (local.astype("<u8") << np.uint64(32) | doc[cut]).tobytes(), np.packbits(flags[cut]).tobytes(), int(flags[cut].sum()), len(np.unique(rank[cut][flags[cut]])))
             yield pa.RecordBatch.from_arrays([pa.array([c], k) for c, k in zip(row, kinds)], names=names)
 
     def joined(table: pa.Table) -> pa.Table:
         return pa.Table.from_batches(list(join(table)))
 
-    return packed.groupBy("bucket").applyInArrow(joined, "chunk long, owner long, words binary, sizes binary, ctx binary, block binary, doc binary, learnt binary")
+    return packed.groupBy("bucket").applyInArrow(joined, "chunk long, owner long, words binary, sizes binary, ctxs binary, ctx binary, block binary, doc binary, learnt binary, n long, v long")
 
 
 def each(batch: pa.RecordBatch) -> Iterator[dict]:
@@ -183,11 +184,12 @@ class Chunk:
 
     def __init__(self, row: dict) -> None:
         self.words, sizes = np.frombuffer(row["words"], "<u8"), np.frombuffer(row["sizes"], "<u4")
-        ctx = np.frombuffer(row["ctx"], "<u2").astype(np.int64)
-        self.blocks, self.doc = np.frombuffer(row["block"], "<i8"), np.frombuffer(row["doc"], "<u8")
+        ctx = np.frombuffer(row["ctx"], "<u4").astype(np.int64)
+        self.id, self.names = row["chunk"], np.frombuffer(row["ctxs"], "<u8")
+        self.blocks, self.doc = np.frombuffer(row.get("block", b""), "<i8"), np.frombuffer(row.get("doc", b""), "<u8")
         learnt = np.unpackbits(np.frombuffer(row["learnt"], np.uint8))[: len(ctx)]
         word = np.repeat(np.arange(len(sizes)), sizes)
-        key = word << 16 | ctx
+        key = word << 32 | ctx
         first = np.concatenate([[True], key[1:] != key[:-1]])
         self.pair = np.cumsum(first) - 1  # of each token
         self.word, self.ctx = word[first], ctx[first]
@@ -196,6 +198,22 @@ class Chunk:
         self.token_word = word
         self.rng = np.random.default_rng([SEED, int(self.words[0] & np.uint64(0xFFFFFFFF)) if len(self.words) else 0])
 
+    def shares(self, a: np.ndarray, b: np.ndarray, parts: int, up: tuple = (0, 0)) -> pa.RecordBatch:
+        """Sums over the pairs of each context, dealt by context."""
+        a, b = (np.bincount(self.ctx, x, len(self.names)).astype("<i8") for x in (a, b))
+        part = ((self.names >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)  # sorted with names
+        edges = np.searchsorted(part, np.arange(parts + 1))
+        rows = [(p, self.id, self.names[lo:hi].tobytes(), a[lo:hi].tobytes(), b[lo:hi].tobytes(), 0, 0) for p, (lo, hi) in enumerate(zip(edges[:-1], edges[1:])) if lo < hi]
+        rows[0] = (*rows[0][:5], int(up[0]), int(up[1]))
+        kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 3, pa.int64(), pa.int64()]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["part", "chunk", "ctxs", "a", "b", "customers", "tables"])
+
+    def totals(self, given: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        """What exchanged() gives back for the chunk, in the order of its contexts."""
+        read = lambda name, kind: np.concatenate([np.frombuffer(x, kind) for x in given.column(name).to_pylist()])
+        order = np.argsort(read("ctxs", "<u8"))
+        return read("a", "<i8")[order], read("b", "<i8")[order]
+
     def sweep(self, base: np.ndarray, restaurant_tables: np.ndarray, s2: np.ndarray) -> np.ndarray:
         """Tables of every pair; base: parent probability of each word."""
         own = np.minimum(self.c, 1)
@@ -209,54 +227,46 @@ class Chunk:
         return n, tables(n, base, np.full(len(n), reach * vocabulary), D1, T1, s1, self.rng)
 
 
-def gathered(chunks: DataFrame) -> dict:
-    """What restaurants need of each other: tokens N, vocabulary V, customers and tables of each context, customers and
-    tables of the parent. Vectors of fixed length."""
-    seen = chunks.where("chunk >= 0")
+SHARES = "part long, chunk long, ctxs binary, a binary, b binary, customers long, tables long"
+
+
+def exchanged(shares: DataFrame) -> DataFrame:
+    """Adds up what all chunks have of each context, and gives every chunk the totals of its contexts."""
 
-    def summed(run, cols: str) -> dict[int, tuple]:  # noqa: ANN001
-        a, b = cols.split()
-        rows = seen.mapInArrow(run, f"ctx long, {a} long, {b} long").groupBy("ctx").agg(F.sum(a), F.sum(b)).collect()  # at most CONTEXTS + 1
-        return {r[0]: (r[1], r[2]) for r in rows}
+    def add(table: pa.Table) -> pa.Table:
+        names, *sums = ([np.frombuffer(x, kind) for x in table.column(c).to_pylist()] for c, kind in (("ctxs", "<u8"), ("a", "<i8"), ("b", "<i8")))
+        known, at = np.unique(np.concatenate(names), return_inverse=True)
+        ends = np.cumsum([len(x) for x in names])[:-1]
+        whole = [np.bincount(at, np.concatenate(x), len(known)).astype("<i8")[at] for x in sums]
+        a, b = ([y.tobytes() for y in np.split(x, ends)] for x in whole)
+        return pa.table({"chunk": table.column("chunk"), "ctxs": table.column("ctxs"), "a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
-    def given(at: np.ndarray, x: np.ndarray, y: np.ndarray, whole: tuple, names: list[str]) -> pa.RecordBatch:
-        cols = ([*at.tolist(), -1], [*x[at].tolist(), int(whole[0])], [*y[at].tolist(), int(whole[1])])
-        return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["ctx", *names])
+    return shares.groupBy("part").applyInArrow(add, "chunk long, ctxs binary, a binary, b binary")
+
+
+def gathered(chunks: DataFrame, parts: int) -> tuple[dict, DataFrame]:
+    """Tokens n and vocabulary v to learn from, customers and tables of the parent; and for every chunk customers and
+    tables of its contexts."""
+    seen = chunks.where("chunk >= 0")
+    n, v = seen.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c, kinds, n, v = np.zeros(CONTEXTS, np.int64), np.zeros(CONTEXTS, np.int64), 0, 0
         for batch in batches:
             for row in each(batch):
                 x = Chunk(row)
-                c += np.bincount(x.ctx, x.c, CONTEXTS).astype(np.int64)
-                kinds += np.bincount(x.ctx, x.c > 0, CONTEXTS).astype(np.int64)
-                n, v = n + int(x.count.sum()), v + int((x.count > 0).sum())
-        yield given(np.nonzero(c)[0], c, kinds, (n, v), ["c", "kinds"])
-
-    counted = summed(count, "c kinds")
-    n, v = counted.pop(-1, (0, 0))
-    c, kinds = np.zeros(CONTEXTS, np.int64), np.zeros(CONTEXTS, np.int64)
-    for at, (x, y) in counted.items():
-        c[at], kinds[at] = x, y
-    shared = chunks.sparkSession.sparkContext.broadcast(kinds)
-
-    def seat(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        s2, s1 = stirling(D2), stirling(D1)
-        out, up = np.zeros(CONTEXTS, np.int64), np.zeros(2, np.int64)
-        for batch in batches:
-            for row in each(batch):
-                x = Chunk(row)
-                t = x.sweep(np.maximum(x.count, 0.5) / max(n, 1), shared.value, s2)  # at least one table a kind
-                out += np.bincount(x.ctx, t, CONTEXTS).astype(np.int64)
-                customers, at = x.parent(t, 1.0, v, s1)
-                up += [customers.sum(), at.sum()]
-        yield given(np.nonzero(out)[0], out, out, up, ["t", "again"])
+                yield x.shares(x.c, x.c > 0, parts)
+
+    def seat(rows: pa.Table, given: pa.Table) -> pa.Table:
+        x = Chunk(rows.to_pylist()[0])
+        t = x.sweep(np.maximum(x.count, 0.5) / max(n, 1), x.totals(given)[1], stirling(D2))  # at least one table a kind
+        customers, at = x.parent(t, 1.0, v, stirling(D1))
+        return pa.Table.from_batches([x.shares(x.c, t, parts, (customers.sum(), at.sum()))])
 
-    seated = summed(seat, "t again")
-    up, t = seated.pop(-1, (0, 0)), np.zeros(CONTEXTS, np.int64)
-    for at, (x, _) in seated.items():
-        t[at] = x
-    return {"n": n, "v": v, "customers": c, "tables": t, "parent": up}
+    light = seen.select("chunk", "words", "sizes", "ctxs", "ctx", "learnt")
+    counted = exchanged(light.mapInArrow(count, SHARES))
+    seated = materialize(light.groupBy("chunk").cogroup(counted.groupBy("chunk")).applyInArrow(seat, SHARES), "seated")
+    up = seated.agg(F.coalesce(F.sum("customers"), F.lit(0)), F.coalesce(F.sum("tables"), F.lit(0))).first()
+    return {"n": n, "v": v, "parent": (up[0], up[1])}, exchanged(seated)
 
 
 def scored(docs: DataFrame) -> DataFrame:
@@ -269,39 +279,36 @@ def scored(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     buckets = 4 * max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))  # several small ones a task
     chunks = materialize(merged(blocks_of(docs, buckets)), "words")
-    facts = gathered(chunks)
-    shared = spark.sparkContext.broadcast(facts)  # two vectors of CONTEXTS numbers
+    f, totals = gathered(chunks, buckets)
+    n, v = f["n"], f["v"]
 
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        f = shared.value
-        n, v, c_ctx, t_ctx = f["n"], f["v"], f["customers"], f["tables"]
+    def score(rows: pa.Table, given: pa.Table) -> pa.Table:
         s2, s1 = stirling(D2), stirling(D1)
-        for batch in batches:
-            for row in each(batch):
-                x = Chunk(row)
-                reach = f["parent"][1] / max(v, 1)
-                total, opened = max(f["parent"][0], 1), T1 + D1 * f["parent"][1]
-                prob = np.zeros(len(x.c))
-                base = np.maximum(x.count, 0.5) / max(n, 1)
-                for k in range(BURN_IN + SAMPLES):
-                    t = x.sweep(base, t_ctx, s2)
-                    customers, at = x.parent(t, reach, v, s1)
-                    base = (np.maximum(customers - D1 * at, 0) + opened / (v + 1)) / (T1 + total)
-                    if k >= BURN_IN:
-                        prob += (np.maximum(x.c - D2 * t, 0) + (T2 + D2 * t_ctx[x.ctx]) * base[x.word]) / (T2 + c_ctx[x.ctx])
-                log_p = np.log10(prob / SAMPLES)[x.pair]
-                log_b = np.log10((x.count + 1) / (n + v + 1))[x.token_word]
-                known = (x.count > 0)[x.token_word]
-                order = np.argsort(x.doc, kind="stable")
-                doc = x.doc[order]
-                starts = np.nonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))[0]
-                sums = [np.add.reduceat(y[order].astype(np.float64), starts) for y in (log_p, log_b, known)]
-                doc = doc[starts]
-                own = (doc >> np.uint64(32)).astype(np.int64)
-                edges = np.searchsorted(own, np.arange(len(x.blocks) + 1))
-                rows = [(int(b), (doc[lo:hi] & np.uint64(0xFFFFFFFF)).astype("<u4").tobytes(), sums[0][lo:hi].astype("<f4").tobytes(), sums[1][lo:hi].tobytes(), sums[2][lo:hi].astype("<u4").tobytes()) for b, lo, hi in zip(x.blocks, edges[:-1], edges[1:]) if lo < hi]
-                kinds = [pa.int64(), *[pa.binary()] * 4]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["block", "doc", "p", "b", "known"])
+        x = Chunk(rows.to_pylist()[0])
+        c_ctx, t_ctx = x.totals(given)
+        reach = f["parent"][1] / max(v, 1)
+        total, opened = max(f["parent"][0], 1), T1 + D1 * f["parent"][1]
+        prob = np.zeros(len(x.c))
+        base = np.maximum(x.count, 0.5) / max(n, 1)
+        for k in range(BURN_IN + SAMPLES):
+            t = x.sweep(base, t_ctx, s2)
+            customers, at = x.parent(t, reach, v, s1)
+            base = (np.maximum(customers - D1 * at, 0) + opened / (v + 1)) / (T1 + total)
+            if k >= BURN_IN:
+                prob += (np.maximum(x.c - D2 * t, 0) + (T2 + D2 * t_ctx[x.ctx]) * base[x.word]) / (T2 + c_ctx[x.ctx])
+        log_p = np.log10(prob / SAMPLES)[x.pair]
+        log_b = np.log10((x.count + 1) / (n + v + 1))[x.token_word]
+        known = (x.count > 0)[x.token_word]
+        order = np.argsort(x.doc, kind="stable")
+        doc = x.doc[order]
+        starts = np.nonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))[0]
+        sums = [np.add.reduceat(y[order].astype(np.float64), starts) for y in (log_p, log_b, known)]
+        doc = doc[starts]
+        own = (doc >> np.uint64(32)).astype(np.int64)
+        edges = np.searchsorted(own, np.arange(len(x.blocks) + 1))
+        rows = [(int(b), (doc[lo:hi] & np.uint64(0xFFFFFFFF)).astype("<u4").tobytes(), sums[0][lo:hi].astype("<f4").tobytes(), sums[1][lo:hi].tobytes(), sums[2][lo:hi].astype("<u4").tobytes()) for b, lo, hi in zip(x.blocks, edges[:-1], edges[1:]) if lo < hi]
+        kinds = [pa.int64(), *[pa.binary()] * 4]
+        return pa.table([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["block", "doc", "p", "b", "known"])
 
     def total(sums: pa.Table, lists: pa.Table) -> pa.Table:
         names = ("doc_id", "n_tokens", "n_known", "base_score", "score")
@@ -318,8 +325,8 @@ def scored(docs: DataFrame) -> DataFrame:
         schema = pa.schema([(names[0], pa.int64()), (names[1], pa.int64()), (names[2], pa.int64()), (names[3], pa.float64()), (names[4], pa.float64())])
         return pa.concat_tables(out) if out else schema.empty_table()
 
-    parts = chunks.where("chunk >= 0").mapInArrow(score, "block long, doc binary, p binary, b binary, known binary")
+    parts = chunks.where("chunk >= 0").groupBy("chunk").cogroup(totals.groupBy("chunk")).applyInArrow(score, "block long, doc binary, p binary, b binary, known binary")
     lists = chunks.where("chunk < 0").select(F.col("owner").alias("block"), "words", "sizes")
     out = parts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(total, "doc_id long, n_tokens long, n_known long, base_score double, score double")
     held = fold(F.col("doc_id")) % 7 == 2
-    return out.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(facts["n"]).cast("long").alias("train_tokens"), "base_score", "score")
+    return out.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")

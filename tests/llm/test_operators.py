@@ -192,6 +192,22 @@ def test_model_beats_its_base_on_held_out_text_and_repeats(spark):
     assert one == two and sum(r[6] for r in held) > 0.6 * sum(r[5] for r in held)
 
 
+def test_every_previous_word_has_a_restaurant_of_its_own(spark):
+    texts = [" ".join(f"a{i % 50}x{j} b{j % 7}" for j in range(2000)) for i in range(50)]  # some 100,000 previous words
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    chunks = pitman_yor.merged(pitman_yor.blocks_of(df, 8))
+    f, totals = pitman_yor.gathered(chunks, 8)
+    got = {}
+    for r in totals.collect():
+        for name, c, t in zip(np.frombuffer(r.ctxs, "<u8"), np.frombuffer(r.a, "<i8"), np.frombuffer(r.b, "<i8")):
+            assert got.setdefault(name, (c, t)) == (c, t) and t <= c
+    want = collections.Counter()
+    for i, x in enumerate(texts):
+        if zlib.crc32(str(i).encode()) % 7 != 2:
+            want.update([None, *words(x)])
+    assert len(got) == 50 * 2000 + 7 + 1 and sorted(c for c, _ in got.values() if c) == sorted(want.values()) and f["n"] == sum(want.values())
+
+
 def test_predictive_probabilities_sum_to_one_over_the_vocabulary():
     c, t = np.array([5, 1, 0, 2]), np.array([2, 1, 0, 1])
     parent = np.array([0.4, 0.3, 0.2, 0.1])
