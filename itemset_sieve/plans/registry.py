@@ -259,6 +259,8 @@ hashed("covering_itemsets_e6", "e6", "covering")
 hashed("auto_itemsets_e2", "e2", "auto")
 hashed("by_level_e4", "e4", "exact", method_by_level={1: "exact", 3: "minwise", 4: "covering"})
 hashed("bitsample_printed_rounding_e2", "e2", "bitsample", rounding="ceil", top=1, sql=oracle.mined("e2", "0.02", 1))
+# The one above ends at level 1, as its SQL does, before any key is hashed; this one mines all levels by printed rounding.
+hashed("bitsample_printed_itemsets_e2", "e2", "bitsample", rounding="ceil")
 hashed("bitsample_early_stop_e1", "e1", "bitsample", early_stop=True)
 hashed("covering_early_stop_e1", "e1", "covering", early_stop=True)
 hashed("bitsample_early_stop_e6", "e6", "bitsample", early_stop=True, delta=1e-3)

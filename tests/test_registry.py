@@ -54,6 +54,12 @@ def test_rules_and_windows_go_beyond_pairs(spark, sf):
     assert max(r.level for r in found) > 2
 
 
+def test_printed_rounding_is_mined_whole(spark, sf):
+    got, want = against_sql(spark, sf, "bitsample_printed_itemsets_e2")
+    assert got == want and len(got) > len(duckdb.sql(registry.SQL["bitsample_printed_rounding_e2"].replace("lineitem JOIN part", f"'{sf}/lineitem.parquet' JOIN '{sf}/part.parquet'")).fetchall())
+    print(len(got))
+
+
 def test_contract(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert entry.entry(spark).columns == ["level", "itemset", "support"]
