@@ -60,6 +60,12 @@ def test_printed_rounding_is_mined_whole(spark, sf):
     print(len(got))
 
 
+def test_break_even_table_has_all_workloads(spark, sf):
+    rows = registry.QUERIES["break_even_table"](spark, sf).collect()
+    print(len(rows), sum(r.workload in ("e3", "e7") for r in rows))
+    assert {r.workload for r in rows} == {"e2", "e3", "e4", "e6", "e7"}
+
+
 def test_contract(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert entry.entry(spark).columns == ["level", "itemset", "support"]
