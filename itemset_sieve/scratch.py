@@ -2,24 +2,48 @@
 
 from __future__ import annotations
 
-import tempfile
+import atexit
+import shutil
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Removes a write's shuffle files when it has ended; what is written needs them no more. A setting of the session.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_OWN: dict[str, str] = {}
+
 
 def scratch_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of our own only where that is unset."""
+    """spark.checkpoint.dir of the session. Where that is unset, as in tests: a folder in the warehouse, which a cluster shares
+    too; it is removed when this process ends, if it is a local one. The session's own checkpoint folder is left as it is."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not named:
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="sieve-"))
-        named = sc.getCheckpointDir()
+        if sc.applicationId not in _OWN:
+            _OWN[sc.applicationId] = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/scratch-{uuid.uuid4().hex}"
+            if _OWN[sc.applicationId].startswith(("file:", "/")):
+                atexit.register(shutil.rmtree, "/" + _OWN[sc.applicationId].removeprefix("file:").lstrip("/"), ignore_errors=True)
+        named = _OWN[sc.applicationId]
     return named.rstrip("/")
 
 
 def written(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
     """df, written once and read back: its lineage is cut and a lost executor loses nothing."""
-    path = path or f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.mode("overwrite").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    spark = df.sparkSession
+    path = path or f"{scratch_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.mode("overwrite").parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def forget(*tables: DataFrame) -> None:
+    """Deletes tables made by written(), once nothing reads them any more."""
+    for df in tables:
+        path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df.scratch_path)
+        path.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
