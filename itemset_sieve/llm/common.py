@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..scratch import forget, scratch_dir
+from ..scratch import written as materialize
+
+__all__ = ["ascii_lower", "components", "fold", "forget", "materialize", "scratch_dir", "table"]
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 #: A word, for Python's re and for Java's and DuckDB's regular expressions alike.
@@ -31,24 +33,6 @@ def fold(c: Column) -> Column:
     return F.crc32(c.cast("string").cast("binary"))
 
 
-def scratch_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
-    sc = spark.sparkContext
-    named = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-    if not named:
-        named = tempfile.mkdtemp(prefix="sieve-")
-        sc.setCheckpointDir(named)
-        named = sc.getCheckpointDir()
-    return named.rstrip("/")
-
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Writes df to the shared folder and reads it back: cuts the lineage, and survives lost executors."""
-    path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def components(edges: DataFrame) -> DataFrame:
     """Smallest reachable id of every node of edges(a, b): rows (node, component).
 
@@ -58,12 +42,15 @@ def components(edges: DataFrame) -> DataFrame:
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
     both = materialize(both, "edges")
     label = materialize(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("c")).select(F.col("a").alias("node"), "c"), "labels")
+    written = label
     while True:
         near = both.join(label, both["b"] == label["node"]).groupBy("a").agg(F.min("c").alias("n"))
         step = label.join(near, label["node"] == near["a"]).select("node", F.col("c").alias("old"), F.least("c", "n").alias("c"))
         up = label.select(F.col("node").alias("p"), F.col("c").alias("pc"))
         step = step.join(up, step["c"] == up["p"], "left").select("node", "old", F.least("c", F.coalesce("pc", "c")).alias("c"))
         step = materialize(step, "labels")
+        forget(written)
         if step.where("old <> c").limit(1).count() == 0:
+            forget(both)
             return step.select("node", F.col("c").alias("component"))
-        label = step.select("node", "c")
+        written, label = step, step.select("node", "c")

@@ -1,19 +1,27 @@
 """Language-model scoring with a hierarchical Pitman-Yor process.
 
-Three levels: a restaurant for each previous word, all of which share one unigram restaurant as
-parent, above a uniform base over the vocabulary and one unknown word. A dish is a word; the customers of a
-dish in a restaurant sit at tables, and each table is a customer of the same dish in the parent. The number of
-tables of each (context, word) is sampled by Gibbs from its conditional given all else; predictive
-probabilities are averaged over several samples.
-
-Words, and contexts with them, are told apart by 64-bit hashes. Words are dealt by their hash: a chunk holds all
-occurrences of its words, in all contexts and documents. What chunks need of each other, customers and tables of
-each restaurant, is summed by context and joined back to the chunks that have it, so restaurants grow with the
-vocabulary. The texts are read once; documents get back sums.
+Three levels: a restaurant for each previous word, all of which share one unigram restaurant as parent, above a
+uniform base over the vocabulary and one unknown word. A dish is a word; the customers of a dish in a restaurant
+sit at tables, and each table is a customer of the same dish in the parent. Only the number of tables of each dish
+matters; it is sampled by Gibbs.
+
+Given a gamma variable for each restaurant, with the restaurant's tables as its shape, the table counts of all its
+dishes are independent: P(t) is proportional to S(c, t) a^t, with S the generalised Stirling numbers, c the dish's customers
+and a the discount times the gamma variable times the dish's probability in the parent. So a sweep draws the gamma
+variables from the last totals, then all table counts at once, and then every total is summed anew: the counts of a
+sweep, at both levels, always belong together, and predictive probabilities add up to one in every context. The parent
+enters as its predictive distribution. Predictive probabilities are averaged over the samples.
+
+Words are told apart by 64-bit hashes. Tasks pack whole documents into blocks and send each block's different pairs
+of words to chunks; a chunk holds all dishes of a range of contexts, and a context with very many customers is dealt to
+several chunks by dish. Chunks and the unigram restaurant exchange sums by word after every sweep. At the end chunks
+answer every block with the probabilities of its pairs, and blocks add them up by document.
 """
 
 from __future__ import annotations
 
+import re
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,18 +30,38 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, materialize
-from .ngram_join import LOWERED, Hashes
+from .common import fold, forget, materialize
+from .ngram_join import LOWERED
 
 #: Discount and strength of the context level and of the unigram level.
 D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
-BURN_IN, SAMPLES = 1, 3
-#: Tokens that make a block of documents, and a chunk of words. Bounds on memory.
-BLOCK, CHUNK = 700_000, 400_000
-#: Customers of a dish up to which table counts are drawn exactly; beyond, seating goes on in short leaps.
-EXACT = 24
+BURN_IN, SAMPLES = 2, 3
+#: Tokens that make a block of documents, and a chunk of contexts; bytes of a text that are split at once. Bounds on memory.
+BLOCK, CHUNK, PIECE = 1_500_000, 1_500_000, 1 << 22
+#: Customers of a dish up to which table counts are drawn from the table of Stirling numbers; beyond, from the limit law.
+EXACT = 128
 SEED = 5
+SPACE = re.compile(rb"[\x20\x09-\x0D]")
+
+
+def packed(a: np.ndarray) -> bytes:
+    """Numbers byte plane by byte plane, compressed."""
+    planes = np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T) if len(a) else np.zeros(0, np.uint8)
+    return len(a).to_bytes(8, "little") + (pa.compress(planes.tobytes(), "zstd", asbytes=True) if len(a) else b"")
+
+
+def unpacked(data: bytes, kind: str) -> np.ndarray:
+    n, size = int.from_bytes(data[:8], "little"), np.dtype(kind).itemsize
+    if not n:
+        return np.zeros(0, kind)
+    planes = np.frombuffer(pa.decompress(data[8:], n * size, "zstd", asbytes=True), np.uint8).reshape(size, n)
+    return np.ascontiguousarray(planes.T).reshape(-1).view(kind)
+
+
+def share(h: np.ndarray, parts: int | np.ndarray) -> np.ndarray:
+    """Which of so many equal ranges of hashes each is in."""
+    return ((h >> np.uint64(32)) * np.asarray(parts, np.uint64) >> np.uint64(32)).astype(np.int64)
 
 
 def stirling(discount: float, most: int = EXACT) -> np.ndarray:
@@ -41,292 +69,477 @@ def stirling(discount: float, most: int = EXACT) -> np.ndarray:
     s = np.full((most + 1, most + 1), -np.inf)
     s[0, 0] = 0.0
     for c in range(1, most + 1):
-        for t in range(1, c + 1):
-            grown = s[c - 1, t] + np.log(max(c - 1 - discount * t, 1e-300)) if c - 1 >= t else -np.inf
-            s[c, t] = np.logaddexp(s[c - 1, t - 1], grown)
+        t = np.arange(1, c + 1)
+        with np.errstate(divide="ignore"):
+            s[c, 1 : c + 1] = np.logaddexp(s[c - 1, t - 1], np.where(t < c, s[c - 1, t] + np.log(np.maximum(c - 1 - discount * t, 1e-300)), -np.inf))
     return s
 
 
-def tables(c: np.ndarray, base: np.ndarray, others: np.ndarray, discount: float, strength: float, table: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Draws the number of tables of each dish, given its customers c, the probability of the dish in the parent,
-    and the tables of the other dishes in its restaurant. A dish with one customer has one table."""
+def many_tables(c: np.ndarray, a: np.ndarray, discount: float, rng: np.random.Generator) -> np.ndarray:
+    """Tables of dishes with very many customers. Seatings are tables in Poisson number, of independent sizes, given
+    that the sizes sum to c; for large c the number follows a normal law, or a Poisson law where it is small."""
+    lo, hi = np.zeros(len(c)), np.full(len(c), 700.0)  # x = 1 - exp(-y): the tilt at which sizes sum to c on average
+    for _ in range(60):
+        y = (lo + hi) / 2
+        above = np.log(a) + np.log(-np.expm1(-y)) + (1 - discount) * y > np.log(c)
+        lo, hi = np.where(above, lo, y), np.where(above, y, hi)
+    y = (lo + hi) / 2
+    mean = a * -np.expm1(-discount * y) / discount
+    spread = np.sqrt(np.maximum(mean - c / (1 + (1 - discount) * np.expm1(y)), 0.0))
+    t = np.where(mean < 30, 1 + rng.poisson(np.minimum(mean, 30.0)), np.rint(rng.normal(mean, spread)))
+    return np.clip(t, 1, c).astype(np.int64)
+
+
+def tables(c: np.ndarray, log_a: np.ndarray, discount: float, table: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """Draws the number of tables of each dish with P(t) in proportion to S(c, t) a^t. A dish with one customer has one."""
     t = np.minimum(c, 1)
-    for n in range(2, EXACT + 1):
-        at = np.nonzero((c == n) if n < EXACT else (c >= n))[0]
-        for some in np.array_split(at, 1 + len(at) * n // 300_000):
-            if len(some):
-                k = np.arange(1, n + 1)
-                opened = np.log(strength + discount * (others[some][:, None] + k[None, :] - 1)).cumsum(1)
-                w = table[n, 1 : n + 1][None, :] + opened + k[None, :] * np.log(base[some])[:, None]
-                t[some] = 1 + (w + rng.gumbel(size=w.shape)).argmax(1)
-    big = np.nonzero(c > EXACT)[0]
-    seated = np.full(len(big), float(EXACT))
-    while len(big):
-        now = t[big].astype(float)
-        fresh = (strength + discount * (others[big] + now)) * base[big]
-        leap = np.minimum(np.maximum(1.0, np.floor(0.1 * seated)), c[big] - seated)
-        t[big] += np.minimum(rng.poisson(leap * fresh / (fresh + seated - discount * now)), leap).astype(t.dtype)
-        seated = seated + leap
-        more = seated < c[big]
-        big, seated = big[more], seated[more]
+    low = 1
+    while low < EXACT:
+        high = min(2 * low, EXACT)
+        at, k = np.nonzero((c > low) & (c <= high))[0], np.arange(1, high + 1)
+        for start in range(0, len(at), step := max(1, 400_000 // high)):
+            some = at[start : start + step]
+            w = table[c[some], 1 : high + 1] + log_a[some][:, None] * k
+            t[some] = 1 + (w + rng.gumbel(size=w.shape)).argmax(1)
+        low = high
+    at = np.nonzero(c > EXACT)[0]
+    if len(at):
+        t[at] = many_tables(c[at], np.exp(log_a[at]), discount, rng)
     return t
 
 
-def blocks_of(docs: DataFrame, buckets: int) -> DataFrame:
-    """Packs the tokens of whole documents by word: rows (bucket, block, words, lens, ctx, doc, learnt).
+def words_of(text: bytes | None) -> Iterator[list[bytes]]:
+    """The words of a text in order, piece by piece, and an empty one at the end."""
+    at, text = 0, text or b""
+    while len(text) - at > PIECE:
+        m = SPACE.search(text, at + PIECE)
+        end = m.end() if m else len(text)
+        yield text[at:end].translate(LOWERED).split()
+        at = end
+    yield [*text[at:].translate(LOWERED).split(), b""]
 
-    words: 64-bit hashes, sorted; lens: occurrences of each; ctx and doc: hash of the previous word and place of the document
-    in its block for each occurrence, sorted by word, context, document. The first `learnt` documents of a block
-    are those to learn from. Rows with a negative bucket list a block's documents and their lengths instead.
-    """
+
+def hash_of(word: bytes) -> int:
+    import xxhash
+
+    return xxhash.xxh3_64_intdigest(word)
+
+
+def crowded(docs: DataFrame, chunk: int) -> tuple[int, dict[int, int]]:
+    """Tokens of all texts, and the words that occur more often than half a chunk's tokens: fewer than two a chunk."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Hashes()
-        pid, made = TaskContext.get().partitionId(), 0
-        end = known[b""]
-        held: list[tuple] = []
-        count = 0
+        seen: Counter = Counter()
 
         def given() -> pa.RecordBatch:
-            nonlocal made
-            held.sort(key=lambda x: x[1])  # those to learn from come first; the order is else as read
-            block, made = (pid << 24) + made, made + 1
-            h = np.concatenate([x[2] for x in held])
-            lens = np.array([len(x[2]) for x in held])
-            doc = np.repeat(np.arange(len(held)), lens)
-            before = np.empty_like(h)
-            before[1:], before[0] = h[:-1], np.uint64(end)  # the token before a document's first is an end
-            words, rank = np.unique(h, return_inverse=True)
-            order = np.lexsort((doc, before, rank))
-            rank, ctx, place = rank[order], before[order].astype("<u8"), doc[order].astype("<u4")
-            sizes = np.bincount(rank, minlength=len(words))
-            part = ((words >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)  # sorted with words
-            edges, ends = np.searchsorted(part, np.arange(buckets + 1)), np.concatenate([[0], np.cumsum(sizes)])
-            learnt = sum(1 for x in held if not x[1])
-            rows = []
-            for b in range(buckets):
-                lo, hi = edges[b], edges[b + 1]
-                if lo < hi:
-                    cut = slice(ends[lo], ends[hi])
-                    rows.append((b, block, words[lo:hi].tobytes(), sizes[lo:hi].astype("<u4").tobytes(), ctx[cut].tobytes(), place[cut].tobytes(), learnt))
-            ids = np.array([x[0] for x in held], "<i8")
-            rows.append((-1 - block % 997, block, ids.tobytes(), lens.astype("<u4").tobytes(), b"", b"", learnt))
-            held.clear()
-            kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 4, pa.int64()]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["bucket", "block", "words", "lens", "ctx", "doc", "learnt"])
+            h = np.fromiter(map(hash_of, seen), np.uint64, len(seen)).view(np.int64)
+            n = np.fromiter(seen.values(), np.int64, len(seen))
+            mask = np.zeros(len(h) + 1, bool)
+            mask[-1] = True  # the sum of all goes without a word
+            return pa.RecordBatch.from_arrays([pa.array(np.append(h, 0), pa.int64(), mask=mask), pa.array(np.append(n, n.sum()))], names=["h", "n"])
 
         for batch in batches:
-            for doc, out, text in zip(*(c.to_pylist() for c in batch.columns)):
-                words = (text or b"").translate(LOWERED).split()
-                words.append(b"")
-                held.append((doc, out, np.fromiter(map(known.__getitem__, words), np.uint64, len(words))))
-                count += len(words)
-                if count > BLOCK or len(held) >= 1 << 20:
-                    yield given()
-                    count = 0
-        if held:
-            yield given()
-
-    d = docs.select(F.col("doc_id").cast("long"), (fold(F.col("doc_id")) % 7 == 2).alias("out"), F.col("text").cast("string").cast("binary"))
-    d = d.where("doc_id is not null")
-    return d.mapInArrow(run, "bucket long, block long, words binary, lens binary, ctx binary, doc binary, learnt long")
-
-
-def merged(packed: DataFrame) -> DataFrame:
-    """Chunks of whole words with all their occurrences: rows (chunk, owner, words, sizes, ctxs, ctx, block, doc, learnt,
-    n, v), by word and context; negative chunks carry the lists of documents. ctxs: the sorted contexts of the chunk;
-    ctx: the place of each occurrence's context among them; n, v: occurrences and words to learn from."""
-
-    def join(table: pa.Table) -> Iterator[pa.RecordBatch]:
-        bucket = table.column("bucket")[0].as_py()
-        cols = {n: table.column(n).to_pylist() for n in ("block", "words", "lens", "ctx", "doc", "learnt")}
-        names = ["chunk", "owner", "words", "sizes", "ctxs", "ctx", "block", "doc", "learnt", "n", "v"]
-        kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 7, pa.int64(), pa.int64()]
-        if bucket < 0:
-            rows = [(bucket, b, w, n, b"", b"", b"", b"", b"", 0, 0) for b, w, n in zip(cols["block"], cols["words"], cols["lens"])]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=names)
-            return
-        read = lambda name, kind: [np.frombuffer(x, kind) for x in cols[name]]
-        words, lens, ctx, doc = read("words", "<u8"), read("lens", "<u4"), read("ctx", "<u8"), read("doc", "<u4")
-        per = [len(x) for x in ctx]
-        blocks, order_of = np.unique(np.array(cols["block"], np.int64), return_inverse=True)
-        known, inverse = np.unique(np.concatenate(words), return_inverse=True)
-        rank = np.repeat(inverse, np.concatenate(lens)).astype(np.int64)
-        ctx = np.concatenate(ctx)
-        order = np.lexsort((ctx, rank))
-        rank, ctx = rank[order], ctx[order]
-        flags = np.concatenate([d < n for d, n in zip(doc, cols["learnt"])])[order]
-        doc, block = np.concatenate(doc)[order], np.repeat(order_of, per).astype("<u4")[order]
-        sizes = np.bincount(rank, minlength=len(known))
-        ends = np.concatenate([[0], np.cumsum(sizes)])
-        cuts = np.unique(np.concatenate([[0], np.searchsorted(ends, np.arange(CHUNK, ends[-1], CHUNK)), [len(known)]]))
-        for k, (lo, hi) in enumerate(zip(cuts[:-1], cuts[1:])):
-            cut = slice(ends[lo], ends[hi])
-            ctxs, at = np.unique(ctx[cut], return_inverse=True)
-            own, local = np.unique(block[cut], return_inverse=True)
-            row = (bucket << 32 | k, None, known[lo:hi].tobytes(), sizes[lo:hi].astype("<u4").tobytes(), ctxs.astype("<u8").tobytes(), at.astype("<u4").tobytes(), blocks[own].astype("<i8").tobytes(), (local.astype("<u8") << np.uint64(32) | doc[cut]).tobytes(), np.packbits(flags[cut]).tobytes(), int(flags[cut].sum()), len(np.unique(rank[cut][flags[cut]])))
-            yield pa.RecordBatch.from_arrays([pa.array([c], k) for c, k in zip(row, kinds)], names=names)
-
-    def joined(table: pa.Table) -> pa.Table:
-        return pa.Table.from_batches(list(join(table)))
-
-    return packed.groupBy("bucket").applyInArrow(joined, "chunk long, owner long, words binary, sizes binary, ctxs binary, ctx binary, block binary, doc binary, learnt binary, n long, v long")
-
-
-def each(batch: pa.RecordBatch) -> Iterator[dict]:
-    """The rows one by one, so that a task holds one chunk as Python objects at a time."""
-    for k in range(batch.num_rows):
-        yield batch.slice(k, 1).to_pylist()[0]
-
-
-class Chunk:
-    """The words of a row of merged(), their pairs with contexts, and how customers sit."""
+            for text in batch.column(0).to_pylist():
+                for words in words_of(text):
+                    seen.update(words)
+                    if len(seen) > 400_000:
+                        yield given()
+                        seen.clear()
+        yield given()
 
-    def __init__(self, row: dict) -> None:
-        self.words, sizes = np.frombuffer(row["words"], "<u8"), np.frombuffer(row["sizes"], "<u4")
-        ctx = np.frombuffer(row["ctx"], "<u4").astype(np.int64)
-        self.id, self.names = row["chunk"], np.frombuffer(row["ctxs"], "<u8")
-        self.blocks, self.doc = np.frombuffer(row.get("block", b""), "<i8"), np.frombuffer(row.get("doc", b""), "<u8")
-        learnt = np.unpackbits(np.frombuffer(row["learnt"], np.uint8))[: len(ctx)]
-        word = np.repeat(np.arange(len(sizes)), sizes)
-        key = word << 32 | ctx
-        first = np.concatenate([[True], key[1:] != key[:-1]])
-        self.pair = np.cumsum(first) - 1  # of each token
-        self.word, self.ctx = word[first], ctx[first]
-        self.c = np.bincount(self.pair, learnt, len(self.ctx)).astype(np.int64)
-        self.count = np.bincount(self.word, self.c, len(self.words)).astype(np.int64)
-        self.token_word = word
-        self.rng = np.random.default_rng([SEED, int(self.words[0] & np.uint64(0xFFFFFFFF)) if len(self.words) else 0])
-
-    def shares(self, a: np.ndarray, b: np.ndarray, parts: int, up: tuple = (0, 0)) -> pa.RecordBatch:
-        """Sums over the pairs of each context, dealt by context."""
-        a, b = (np.bincount(self.ctx, x, len(self.names)).astype("<i8") for x in (a, b))
-        part = ((self.names >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)  # sorted with names
-        edges = np.searchsorted(part, np.arange(parts + 1))
-        rows = [(p, self.id, self.names[lo:hi].tobytes(), a[lo:hi].tobytes(), b[lo:hi].tobytes(), 0, 0) for p, (lo, hi) in enumerate(zip(edges[:-1], edges[1:])) if lo < hi]
-        rows[0] = (*rows[0][:5], int(up[0]), int(up[1]))
-        kinds = [pa.int64(), pa.int64(), *[pa.binary()] * 3, pa.int64(), pa.int64()]
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["part", "chunk", "ctxs", "a", "b", "customers", "tables"])
-
-    def totals(self, given: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-        """What exchanged() gives back for the chunk, in the order of its contexts."""
-        read = lambda name, kind: np.concatenate([np.frombuffer(x, kind) for x in given.column(name).to_pylist()])
-        order = np.argsort(read("ctxs", "<u8"))
-        return read("a", "<i8")[order], read("b", "<i8")[order]
-
-    def sweep(self, base: np.ndarray, restaurant_tables: np.ndarray, s2: np.ndarray) -> np.ndarray:
-        """Tables of every pair; base: parent probability of each word."""
-        own = np.minimum(self.c, 1)
-        others = np.maximum(restaurant_tables[self.ctx] - own, 0)
-        return tables(self.c, base[self.word], others, D2, T2, s2, self.rng)
-
-    def parent(self, t: np.ndarray, reach: float, vocabulary: int, s1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Customers and tables of every word in the unigram restaurant; reach: tables there for each known word."""
-        n = np.bincount(self.word, t, len(self.words)).astype(np.int64)
-        base = np.full(len(n), 1.0 / (vocabulary + 1))
-        return n, tables(n, base, np.full(len(n), reach * vocabulary), D1, T1, s1, self.rng)
-
-
-SHARES = "part long, chunk long, ctxs binary, a binary, b binary, customers long, tables long"
-
-
-def exchanged(shares: DataFrame) -> DataFrame:
-    """Adds up what all chunks have of each context, and gives every chunk the totals of its contexts."""
-
-    def add(table: pa.Table) -> pa.Table:
-        names, *sums = ([np.frombuffer(x, kind) for x in table.column(c).to_pylist()] for c, kind in (("ctxs", "<u8"), ("a", "<i8"), ("b", "<i8")))
-        known, at = np.unique(np.concatenate(names), return_inverse=True)
-        ends = np.cumsum([len(x) for x in names])[:-1]
-        whole = [np.bincount(at, np.concatenate(x), len(known)).astype("<i8")[at] for x in sums]
-        a, b = ([y.tobytes() for y in np.split(x, ends)] for x in whole)
-        return pa.table({"chunk": table.column("chunk"), "ctxs": table.column("ctxs"), "a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
-
-    return shares.groupBy("part").applyInArrow(add, "chunk long, ctxs binary, a binary, b binary")
-
-
-def gathered(chunks: DataFrame, parts: int) -> tuple[dict, DataFrame]:
-    """Tokens n and vocabulary v to learn from, customers and tables of the parent; and for every chunk customers and
-    tables of its contexts."""
-    seen = chunks.where("chunk >= 0")
-    n, v = seen.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in each(batch):
-                x = Chunk(row)
-                yield x.shares(x.c, x.c > 0, parts)
+    counted = docs.select(F.col("text").cast("string").cast("binary")).mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    rows = counted.where(f"h is null or n > {chunk // 2}").collect()  # fewer than two a chunk
+    total = sum(r["n"] for r in rows if r["h"] is None)
+    return total, {r["h"] % (1 << 64): r["n"] for r in rows if r["h"] is not None}
 
-    def seat(rows: pa.Table, given: pa.Table) -> pa.Table:
-        x = Chunk(rows.to_pylist()[0])
-        t = x.sweep(np.maximum(x.count, 0.5) / max(n, 1), x.totals(given)[1], stirling(D2))  # at least one table a kind
-        customers, at = x.parent(t, 1.0, v, stirling(D1))
-        return pa.Table.from_batches([x.shares(x.c, t, parts, (customers.sum(), at.sum()))])
 
-    light = seen.select("chunk", "words", "sizes", "ctxs", "ctx", "learnt")
-    counted = exchanged(light.mapInArrow(count, SHARES))
-    seated = materialize(light.groupBy("chunk").cogroup(counted.groupBy("chunk")).applyInArrow(seat, SHARES), "seated")
-    up = seated.agg(F.coalesce(F.sum("customers"), F.lit(0)), F.coalesce(F.sum("tables"), F.lit(0))).first()
-    return {"n": n, "v": v, "parent": (up[0], up[1])}, exchanged(seated)
+class Deal:
+    """Which chunk a pair of words belongs to: by range of its context, or for crowded contexts by context and range of its dish."""
 
+    def __init__(self, total: int, often: dict[int, int], chunk: int) -> None:
+        self.chunks = self.ranges = max(1, -(-total // chunk))
+        self.names = np.array(sorted(often), np.uint64)
+        self.pieces = np.array([-(-2 * often[int(h)] // chunk) for h in self.names], np.int64)
+        self.first = self.ranges + np.cumsum(self.pieces) - self.pieces
+        self.chunks += int(self.pieces.sum())
 
-def scored(docs: DataFrame) -> DataFrame:
+    def places(self, names: np.ndarray) -> np.ndarray:
+        """The place of each context among the crowded ones, or -1."""
+        if not len(self.names):
+            return np.full(len(names), -1)
+        at = np.minimum(np.searchsorted(self.names, names), len(self.names) - 1)
+        return np.where(self.names[at] == names, at, -1)
+
+    def of(self, names: np.ndarray, ctx: np.ndarray, dish: np.ndarray) -> np.ndarray:
+        """names: hashes; ctx and dish: their places in names, of each pair."""
+        out, hot = share(names, self.ranges)[ctx], self.places(names)[ctx]
+        at = np.nonzero(hot >= 0)[0]
+        out[at] = self.first[hot[at]] + share(names[dish[at]], self.pieces[hot[at]])
+        return out
+
+
+ROWS = "chunk long, block long, a binary, b binary, c binary, d binary, e binary"
+
+
+def batch_of(rows: list[tuple], schema: str) -> pa.RecordBatch:
+    kinds = {"long": pa.int64(), "binary": pa.binary(), "double": pa.float64()}
+    fields = [f.split() for f in schema.split(", ")]
+    cols = list(zip(*rows)) or [()] * len(fields)
+    return pa.RecordBatch.from_arrays([pa.array(c, kinds[k]) for c, (_, k) in zip(cols, fields)], names=[n for n, _ in fields])
+
+
+def blocks_of(docs: DataFrame, deal: Deal) -> DataFrame:
+    """Packs the pairs of words of whole documents. Rows of a chunk >= 0 have a block's pairs for that chunk, by context and
+    dish: contexts, pairs of each, dishes, occurrences to learn from. Rows with chunk -1 keep for a block: keys and ids of its documents, their lengths, which ids are null;
+    and for all pairs of the block, by chunk, context and dish, how often each occurs and in which documents."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, made = TaskContext.get().partitionId(), 0
+        local: dict[bytes, int] = {b"": 0}
+        held: list[tuple] = []  # key, id, learnt, lengths, local words, the one before the first
+        count = row = 0
+
+        def given() -> Iterator[pa.RecordBatch]:
+            nonlocal made, count
+            block, made = (part << 28) + made, made + 1
+            names = np.fromiter(map(hash_of, local), np.uint64, len(local))
+            order = np.argsort(names)
+            rank = np.empty(len(order), np.int64)
+            rank[order] = np.arange(len(order))
+            names = names[order]
+            lens = np.array([len(x[3]) for x in held])
+            dish = rank[np.concatenate([x[3] for x in held])]
+            ctx = np.empty_like(dish)
+            ctx[1:] = dish[:-1]
+            ctx[np.cumsum(lens) - lens] = rank[[x[4] for x in held]]
+            key = ctx * len(names) + dish
+            del ctx, dish
+            by = np.argsort(key, kind="stable")
+            key = key[by]
+            doc = np.repeat(np.arange(len(held)), lens)[by]
+            starts = np.nonzero(np.concatenate([[True], key[1:] != key[:-1]]))[0]
+            times = np.diff(np.append(starts, len(key)))
+            learnt = np.add.reduceat(np.array([x[2] for x in held], np.int64)[doc], starts)
+            ctx, dish = np.divmod(key[starts], len(names))
+            del key, by
+            chunk = deal.of(names, ctx, dish)
+            by = np.argsort(chunk, kind="stable")
+            ctx, dish, chunk, learnt = ctx[by], dish[by], chunk[by], learnt[by]
+            where = starts[by]
+            times = times[by]
+            doc = doc[np.repeat(where - np.cumsum(times) + times, times) + np.arange(len(doc))]
+            ids = np.array([x[1] or 0 for x in held], "<i8")
+            null = np.array([x[1] is None for x in held], "u1")
+            rows = [(-1, block, packed(np.array([x[0] for x in held], "<i8")) , packed(ids) + null.tobytes(), packed(lens.astype("<u4")), packed(times.astype("<u4")), packed(doc.astype("<u2" if len(held) <= 1 << 16 else "<u4")))]
+            edges = np.nonzero(np.concatenate([[True], chunk[1:] != chunk[:-1], [True]]))[0]
+            for lo, hi in zip(edges[:-1], edges[1:]):
+                new = np.nonzero(np.concatenate([[True], ctx[lo + 1 : hi] != ctx[lo : hi - 1], [True]]))[0]
+                rows.append((int(chunk[lo]), block, names[ctx[lo:hi][new[:-1]]].astype("<u8").tobytes(), packed(np.diff(new).astype("<u4")), names[dish[lo:hi]].astype("<u8").tobytes(), packed(learnt[lo:hi].astype("<u4")), b""))
+            held.clear()
+            local.clear()
+            local[b""] = count = 0
+            for start in range(0, len(rows), 256):
+                yield batch_of(rows[start : start + 256], ROWS)
+
+        for batch in batches:
+            for doc, out, text in zip(*(c.to_pylist() for c in batch.columns)):
+                row += 1
+                before = b""
+                for words in words_of(text):
+                    if not words:
+                        continue
+                    first = local.setdefault(before, len(local))
+                    numbers = np.fromiter((local.setdefault(w, len(local)) for w in words), np.int32, len(words))
+                    held.append(((part << 36) + row, doc, not out, numbers, first))
+                    before = words[-1]
+                    count += len(words)
+                    if count >= BLOCK or len(held) >= 1 << 16:
+                        yield from given()
+        if held:
+            yield from given()
+
+    d = docs.select(F.col("doc_id").cast("long"), F.coalesce(fold(F.col("doc_id")) % 7 == 2, F.lit(False)).alias("out"), F.col("text").cast("string").cast("binary"))
+    return d.mapInArrow(run, ROWS)
+
+
+def merged(dealt: DataFrame) -> DataFrame:
+    """Chunks with all their dishes, in ROWS: rows with block -1 hold what Dishes reads; rows with block -2 the tokens and dishes of
+    each; the other rows say where a block's pairs are among the chunk's. Rows with chunk -1 pass through."""
+
+    def join(table: pa.Table) -> pa.Table:
+        if table.column("chunk")[0].as_py() < 0:
+            return table
+        chunk = table.column("chunk")[0].as_py()
+        col = lambda name: table.column(name).to_pylist()
+        given = [np.frombuffer(x, "<u8") for x in col("a")]
+        sizes = [unpacked(x, "<u4") for x in col("b")]
+        dishes = [np.frombuffer(x, "<u8") for x in col("c")]
+        learnt = np.concatenate([unpacked(x, "<u4") for x in col("d")])
+        ends = np.cumsum([len(x) for x in dishes])
+        names, ctx = np.unique(np.concatenate(given), return_inverse=True)
+        words, dish = np.unique(np.concatenate(dishes), return_inverse=True)
+        del dishes
+        key = np.repeat(ctx, np.concatenate(sizes)) * len(words) + dish
+        del dish
+        pairs, at = np.unique(key, return_inverse=True)
+        c = np.bincount(at, learnt, len(pairs)).astype("<u4")
+        ctx, dish = np.divmod(pairs, len(words))
+        rows = [(chunk, -1, names.astype("<u8").tobytes(), packed(np.bincount(ctx, minlength=len(names)).astype("<u4")), words.astype("<u8").tobytes(), packed(dish.astype("<u4")), packed(c))]
+        for block, some in zip(col("block"), np.split(at, ends[:-1])):
+            rows.append((chunk, block, packed(np.diff(some, prepend=0).astype("<u4")), b"", b"", b"", b""))
+        return pa.Table.from_batches([batch_of(rows, ROWS)])
+
+    return dealt.groupBy(F.when(F.col("chunk") < 0, -1 - F.col("block")).otherwise(F.col("chunk")).alias("key")).applyInArrow(join, ROWS)
+
+
+class Dishes:
+    """The dishes of a chunk's contexts: which dish and context each is of, and its customers."""
+
+    def __init__(self, row: dict) -> None:
+        self.names, self.words = np.frombuffer(row["a"], "<u8"), np.frombuffer(row["c"], "<u8")
+        self.ctx = np.repeat(np.arange(len(self.names)), unpacked(row["b"], "<u4"))
+        self.word, self.c = unpacked(row["d"], "<u4").astype(np.int64), unpacked(row["e"], "<u4").astype(np.int64)
+
+    def by_context(self, x: np.ndarray) -> np.ndarray:
+        return np.bincount(self.ctx, x, len(self.names))
+
+    def by_word(self, x: np.ndarray) -> np.ndarray:
+        return np.bincount(self.word, x, len(self.words))
+
+
+def gammas(names: np.ndarray, totals: np.ndarray, sweep: int, chunk: int, shared: np.ndarray) -> np.ndarray:
+    """The gamma variable of each context; one whose dishes lie in several chunks (shared) draws the same in each."""
+    g = np.random.default_rng([SEED, sweep, chunk, 1]).standard_gamma(T2 / D2 + totals)
+    for i in np.nonzero(shared)[0]:
+        g[i] = np.random.default_rng([SEED, sweep, int(names[i])]).standard_gamma(T2 / D2 + totals[i])
+    return g
+
+
+def predictive(c: np.ndarray, t: np.ndarray, customers: np.ndarray, opened: np.ndarray, parent: np.ndarray) -> np.ndarray:
+    """Probability of a dish with c customers at t tables where all dishes have `customers` at `opened` tables, given its probability in the parent."""
+    return (c - D2 * t + (T2 + D2 * opened) * parent) / (T2 + customers)
+
+
+class Unigrams:
+    """What a sweep leaves of the parent restaurant as a whole: words known, customers, tables."""
+
+    def __init__(self, vocabulary: int, customers: int, opened: int) -> None:
+        self.vocabulary, self.customers, self.opened = vocabulary, customers, opened
+
+    def probability(self, n: np.ndarray, t: np.ndarray) -> np.ndarray:
+        """Of a word with n customers at t tables."""
+        return (n - D1 * t + (T1 + D1 * self.opened) / (self.vocabulary + 1)) / (T1 + self.customers)
+
+
+STATE = "chunk long, part long, a binary, b binary, c binary, n long, m long"
+
+
+def sums_of(x: Dishes, chunk: int, parts: int, t: np.ndarray, extra: np.ndarray | None = None) -> list[tuple]:
+    """Tables by word, dealt by range of words."""
+    total, part = x.by_word(t).astype("<u4"), share(x.words, parts)
+    edges = np.searchsorted(part, np.arange(parts + 1))
+    return [(chunk, p, x.words[lo:hi].tobytes(), packed(total[lo:hi]), packed(extra[lo:hi]) if extra is not None else b"", 0, 0) for p, (lo, hi) in enumerate(zip(edges[:-1], edges[1:])) if lo < hi]
+
+
+class Model:
+    """The chain over written tables: dishes of chunks, last table counts, last sums by word."""
+
+    def __init__(self, docs: DataFrame, chunk: int = CHUNK) -> None:
+        total, often = crowded(docs, chunk)
+        self.deal, self.sweeps = Deal(total, often, chunk), 0
+        self.chunks = materialize(merged(blocks_of(docs, self.deal)), "dishes")
+        self.dishes = self.chunks.where("chunk >= 0 and block = -1").drop("block")
+        deal, parts = self.deal, self.deal.ranges
+
+        def start(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for i in range(batch.num_rows):
+                    row = batch.slice(i, 1).to_pylist()[0]
+                    x, t = Dishes(row), None
+                    t = np.minimum(x.c, 1)
+                    yield batch_of([*hot_rows(x, t, deal, row["chunk"], True), *sums_of(x, row["chunk"], parts, t, x.by_word(x.c).astype("<u4")), (row["chunk"], -1, packed(t.astype("<u4")), b"", b"", int(x.c.sum()), 0)], STATE)
+
+        self.state = materialize(self.dishes.mapInArrow(start, STATE), "seats")
+        self.tokens = self.state.where("part = -1").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        self.hot = self.hot_totals("customers")
+        self.words = self.up = None
+        self.exchange()
+
+    def hot_totals(self, what: str) -> np.ndarray:
+        """Customers or tables of the crowded contexts, each summed over its chunks."""
+        kind = -2 if what == "customers" else -3
+        rows = {r["m"]: r["s"] for r in self.state.where(F.col("part") == kind).groupBy("m").agg(F.sum("n").alias("s")).collect()}  # one row for each crowded context
+        return np.array([rows.get(i, 0) for i in range(len(self.deal.names))], np.int64)
+
+    def exchange(self) -> None:
+        """Sums tables by word, seats them in the parent, and answers every chunk: customers, tables, training tokens of its words."""
+        first = self.words is None
+        gamma = None if first else np.random.default_rng([SEED, self.sweeps]).standard_gamma(T1 / D1 + self.up.opened)
+        sweep, vocabulary = self.sweeps, 0 if first else self.up.vocabulary
+
+        def add(table: pa.Table) -> pa.Table:
+            part, chunks = table.column("part")[0].as_py(), table.column("chunk").to_pylist()
+            names = [np.frombuffer(x, "<u8") for x in table.column("a").to_pylist()]
+            sums = np.concatenate([unpacked(x, "<u4") for x in table.column("b").to_pylist()])
+            words, at = np.unique(np.concatenate(names), return_inverse=True)
+            cuts = np.cumsum([len(x) for x in names])[:-1]
+            n = np.bincount(at, sums, len(words)).astype(np.int64)
+            tokens = None
+            if first:
+                t = np.minimum(n, 1)
+                tokens = np.bincount(at, np.concatenate([unpacked(x, "<u4") for x in table.column("c").to_pylist()]), len(words)).astype("<u8")
+            else:
+                log_a = np.full(len(n), np.log(D1 * gamma / (vocabulary + 1)))
+                t = tables(n, log_a, D1, stirling(D1), np.random.default_rng([SEED, sweep, part, 2]))
+            split = lambda x, kind: [packed(y) for y in np.split(x.astype(kind)[at], cuts)]
+            known = split(tokens, "<u8") if first else [b""] * len(chunks)
+            rows = [(k, part, a, b, c, 0, 0) for k, a, b, c in zip(chunks, split(n, "<u8"), split(t, "<u8"), known)]
+            rows.append((-1, part, b"", b"", b"", int(n.sum()), int(t.sum())))
+            rows.append((-2, part, b"", b"", b"", int((n > 0).sum()), 0))
+            return pa.Table.from_batches([batch_of(rows, STATE)])
+
+        old, new = self.words, materialize(self.state.where("part >= 0").groupBy("part").applyInArrow(add, STATE), "words")
+        sums = {r["chunk"]: r for r in new.where("chunk < 0").groupBy("chunk").agg(F.sum("n").alias("n"), F.sum("m").alias("m")).collect()}
+        if first:
+            self.known = new
+            vocabulary = sums[-2]["n"] if sums else 0
+        elif old is not self.known:
+            forget(old)
+        self.up = Unigrams(vocabulary, sums[-1]["n"] if sums else 0, sums[-1]["m"] if sums else 0)
+        self.words, self.opened = new, self.hot_totals("tables")
+
+    def seats(self, *also: DataFrame) -> DataFrame:
+        """What a chunk needs besides its dishes: its last tables, and the last sums of its words."""
+        out = self.state.where("part = -1").union(self.words.where("chunk >= 0"))
+        for df in also:
+            out = out.union(df)
+        return out
+
+    def step(self, keep: bool) -> None:
+        """One sweep over all restaurants. keep: the state before it is a sample."""
+        deal, up, parts, hot, opened, sweep = self.deal, self.up, self.deal.ranges, self.hot, self.opened, self.sweeps + 1
+
+        def move(rows: pa.Table, seats: pa.Table) -> pa.Table:
+            row = rows.to_pylist()[0]
+            chunk, x = row["chunk"], Dishes(row)
+            t, kept, n, seated = state_of(seats)
+            base = up.probability(n, seated)
+            place = deal.places(x.names)
+            totals = np.where(place >= 0, opened[place], x.by_context(t)) if len(opened) else x.by_context(t)
+            if keep:
+                customers = np.where(place >= 0, hot[place], x.by_context(x.c)) if len(hot) else x.by_context(x.c)
+                kept = kept + predictive(x.c, t, customers[x.ctx], totals[x.ctx], base[x.word])
+            g = gammas(x.names, totals, sweep, chunk, place >= 0)
+            log_a = np.log(D2) + np.log(g)[x.ctx] + np.log(base)[x.word]
+            t = tables(x.c, log_a, D2, stirling(D2), np.random.default_rng([SEED, sweep, chunk]))
+            mine = (chunk, -1, packed(t.astype("<u4")), packed(kept.astype("<f4")) if keep or len(np.shape(kept)) else b"", b"", 0, 0)
+            return pa.Table.from_batches([batch_of([mine, *hot_rows(x, t, deal, chunk), *sums_of(x, chunk, parts, t)], STATE)])
+
+        moved = self.dishes.groupBy("chunk").cogroup(self.seats().groupBy("chunk")).applyInArrow(move, STATE)
+        old, self.state = self.state, materialize(moved, "seats")
+        self.sweeps = sweep
+        forget(old)
+        self.exchange()
+
+    def answers(self) -> DataFrame:
+        """block, chunk, a, b: log10 probability of every pair of a block, and training tokens of its word, averaged over the samples."""
+        deal, up, hot, opened, samples = self.deal, self.up, self.hot, self.opened, SAMPLES
+
+        def answer(rows: pa.Table, seats: pa.Table) -> Iterator[pa.Table]:
+            block = rows.column("block").to_pylist()
+            own = block.index(-1)
+            row = rows.slice(own, 1).to_pylist()[0]
+            x = Dishes(row)
+            t, kept, n, seated = state_of(seats)
+            place = deal.places(x.names)
+            totals = np.where(place >= 0, opened[place], x.by_context(t)) if len(opened) else x.by_context(t)
+            customers = np.where(place >= 0, hot[place], x.by_context(x.c)) if len(hot) else x.by_context(x.c)
+            kept = kept + predictive(x.c, t, customers[x.ctx], totals[x.ctx], up.probability(n, seated)[x.word])
+            log_p = np.log10(kept / samples).astype("<f4")
+            known = tokens_of(seats)[x.word]
+            kind = "<u4" if known.max(initial=0) < 1 << 32 else "<u8"
+            out = []
+            for i, b in enumerate(block):
+                if i != own:
+                    at = np.cumsum(unpacked(rows.column("a")[i].as_py(), "<u4").view("<i4").astype(np.int64))
+                    out.append((b, row["chunk"], packed(log_p[at]), packed(known[at].astype(kind)), int(kind == "<u8")))
+            return pa.Table.from_batches([batch_of(out, ANSWERS)])
+
+        extra = self.known.where("chunk >= 0").withColumn("part", -10 - F.col("part")) if self.words is not self.known else None
+        seats = self.seats(*([extra] if extra is not None else []))
+        return self.chunks.where("chunk >= 0").groupBy("chunk").cogroup(seats.groupBy("chunk")).applyInArrow(answer, ANSWERS)
+
+
+ANSWERS = "block long, chunk long, a binary, b binary, wide long"
+
+
+def hot_rows(x: Dishes, t: np.ndarray, deal: Deal, chunk: int, customers: bool = False) -> list[tuple]:
+    """A chunk's share of the crowded contexts it has: tables, and at first customers."""
+    place = deal.places(x.names)
+    out = []
+    for i in np.nonzero(place >= 0)[0]:
+        out.append((chunk, -3, b"", b"", b"", int(t[x.ctx == i].sum()), int(place[i])))
+        if customers:
+            out.append((chunk, -2, b"", b"", b"", int(x.c[x.ctx == i].sum()), int(place[i])))
+    return out
+
+
+def state_of(seats: pa.Table) -> tuple[np.ndarray, np.ndarray | float, np.ndarray, np.ndarray]:
+    """Tables of a chunk's dishes, summed probabilities of its samples, customers and tables of its words in the parent."""
+    part, cols = seats.column("part").to_pylist(), [seats.column(n) for n in "abc"]
+    own = part.index(-1)
+    kept = unpacked(cols[1][own].as_py(), "<f4").astype(float) if cols[1][own].as_py() else 0.0
+    order = sorted((p, i) for i, p in enumerate(part) if p >= 0)
+    n, t = (np.concatenate([unpacked(c[i].as_py(), "<u8") for _, i in order]).astype(np.int64) for c in cols[:2])
+    return unpacked(cols[0][own].as_py(), "<u4").astype(np.int64), kept, n, t
+
+
+def tokens_of(seats: pa.Table) -> np.ndarray:
+    """Training tokens of a chunk's words, from the first exchange."""
+    part = seats.column("part").to_pylist()
+    first = sorted((-10 - p, i) for i, p in enumerate(part) if p <= -10) or sorted((p, i) for i, p in enumerate(part) if p >= 0)
+    return np.concatenate([unpacked(seats.column("c")[i].as_py(), "<u8") for _, i in first])
+
+
+def scored(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs(doc_id, text).
 
     score and base_score are log10 probabilities under the model and under add-one unigrams. A null or empty
-    text is one end token. Rows that repeat an id are scored each. Without any document to learn from every
-    token is unknown. Rows with a null id are not scored. An empty table gives an empty result.
+    text is one end token. Rows that repeat an id are scored each, and count each. A row with a null id is learnt from. A text of any length is
+    read whole, in pieces. Without any document to learn from every token is unknown. Other columns than doc_id and text are not read.
+    An empty table gives an empty result.
     """
-    spark = docs.sparkSession
-    buckets = 4 * max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))  # several small ones a task
-    chunks = materialize(merged(blocks_of(docs, buckets)), "words")
-    f, totals = gathered(chunks, buckets)
-    n, v = f["n"], f["v"]
-
-    def score(rows: pa.Table, given: pa.Table) -> pa.Table:
-        s2, s1 = stirling(D2), stirling(D1)
-        x = Chunk(rows.to_pylist()[0])
-        c_ctx, t_ctx = x.totals(given)
-        reach = f["parent"][1] / max(v, 1)
-        total, opened = max(f["parent"][0], 1), T1 + D1 * f["parent"][1]
-        prob = np.zeros(len(x.c))
-        base = np.maximum(x.count, 0.5) / max(n, 1)
-        for k in range(BURN_IN + SAMPLES):
-            t = x.sweep(base, t_ctx, s2)
-            customers, at = x.parent(t, reach, v, s1)
-            base = (np.maximum(customers - D1 * at, 0) + opened / (v + 1)) / (T1 + total)
-            if k >= BURN_IN:
-                prob += (np.maximum(x.c - D2 * t, 0) + (T2 + D2 * t_ctx[x.ctx]) * base[x.word]) / (T2 + c_ctx[x.ctx])
-        log_p = np.log10(prob / SAMPLES)[x.pair]
-        log_b = np.log10((x.count + 1) / (n + v + 1))[x.token_word]
-        known = (x.count > 0)[x.token_word]
-        order = np.argsort(x.doc, kind="stable")
-        doc = x.doc[order]
-        starts = np.nonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))[0]
-        sums = [np.add.reduceat(y[order].astype(np.float64), starts) for y in (log_p, log_b, known)]
-        doc = doc[starts]
-        own = (doc >> np.uint64(32)).astype(np.int64)
-        edges = np.searchsorted(own, np.arange(len(x.blocks) + 1))
-        rows = [(int(b), (doc[lo:hi] & np.uint64(0xFFFFFFFF)).astype("<u4").tobytes(), sums[0][lo:hi].astype("<f4").tobytes(), sums[1][lo:hi].tobytes(), sums[2][lo:hi].astype("<u4").tobytes()) for b, lo, hi in zip(x.blocks, edges[:-1], edges[1:]) if lo < hi]
-        kinds = [pa.int64(), *[pa.binary()] * 4]
-        return pa.table([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["block", "doc", "p", "b", "known"])
-
-    def total(sums: pa.Table, lists: pa.Table) -> pa.Table:
-        names = ("doc_id", "n_tokens", "n_known", "base_score", "score")
-        out = []
-        for ids, lens in zip(lists.column("words").to_pylist(), lists.column("sizes").to_pylist()):
-            ids, lens = np.frombuffer(ids, "<i8"), np.frombuffer(lens, "<u4")
-            p, b, known = np.zeros(len(ids)), np.zeros(len(ids)), np.zeros(len(ids), np.int64)
-            for doc, x, y, z in zip(*(sums.column(c).to_pylist() for c in ("doc", "p", "b", "known"))):
-                at = np.frombuffer(doc, "<u4")
-                p[at] += np.frombuffer(x, "<f4")
-                b[at] += np.frombuffer(y, "<f8")
-                known[at] += np.frombuffer(z, "<u4")
-            out.append(pa.table(dict(zip(names, (pa.array(ids), pa.array(lens.astype(np.int64)), pa.array(known), pa.array(b), pa.array(p))))))
-        schema = pa.schema([(names[0], pa.int64()), (names[1], pa.int64()), (names[2], pa.int64()), (names[3], pa.float64()), (names[4], pa.float64())])
-        return pa.concat_tables(out) if out else schema.empty_table()
-
-    parts = chunks.where("chunk >= 0").groupBy("chunk").cogroup(totals.groupBy("chunk")).applyInArrow(score, "block long, doc binary, p binary, b binary, known binary")
-    lists = chunks.where("chunk < 0").select(F.col("owner").alias("block"), "words", "sizes")
-    out = parts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(total, "doc_id long, n_tokens long, n_known long, base_score double, score double")
-    held = fold(F.col("doc_id")) % 7 == 2
+    docs = docs.select("doc_id", "text")
+    model = Model(docs, chunk)
+    for k in range(BURN_IN + SAMPLES):
+        model.step(keep=k > BURN_IN)
+    n, v = model.tokens, model.up.vocabulary
+    answers = materialize(model.answers(), "answers")
+    forget(model.state)
+    forget(model.words)
+
+    def total(own: pa.Table, given: pa.Table) -> pa.Table:
+        row = own.to_pylist()[0]
+        count = int.from_bytes(row["b"][:8], "little")
+        ids, null = unpacked(row["b"][:-count], "<i8"), np.frombuffer(row["b"][-count:], "u1")
+        lens, times = unpacked(row["c"], "<u4"), unpacked(row["d"], "<u4")
+        doc = unpacked(row["e"], "<u2" if len(ids) <= 1 << 16 else "<u4")
+        order = np.argsort(given.column("chunk").to_numpy())
+        read = lambda name, kind: np.concatenate([unpacked(given.column(name)[i].as_py(), kind(i)) for i in order])
+        wide = given.column("wide").to_pylist()
+        log_p, known = read("a", lambda i: "<f4").astype(float), read("b", lambda i: "<u8" if wide[i] else "<u4")
+        sums = [np.bincount(doc, np.repeat(y, times), len(ids)) for y in (log_p, np.log10((known + 1.0) / (n + v + 1.0)), known > 0)]
+        return pa.table({"key": unpacked(row["a"], "<i8"), "doc_id": pa.array(ids, pa.int64(), mask=null > 0), "n_tokens": lens.astype(np.int64), "n_known": sums[2].astype(np.int64), "base_score": sums[1], "score": sums[0]})
+
+    lists = model.chunks.where("chunk = -1").drop("chunk")
+    out = lists.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(total, "key long, doc_id long, n_tokens long, n_known long, base_score double, score double")
+    # A document cut into pieces has several rows.
+    out = out.groupBy("key").agg(F.first("doc_id").alias("doc_id"), *(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")))
+    held = F.coalesce(fold(F.col("doc_id")) % 7 == 2, F.lit(False))
     return out.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")
+
+
+def perplexity(scores: DataFrame) -> DataFrame:
+    """held_out, tokens, perplexity, base_perplexity of scored(): ten to the mean of the negative log10 probabilities of tokens."""
+    mean = lambda c: F.pow(F.lit(10.0), -F.sum(c) / F.sum("n_tokens"))
+    return scores.groupBy("held_out").agg(F.sum("n_tokens").alias("tokens"), mean("score").alias("perplexity"), mean("base_score").alias("base_perplexity"))
