@@ -38,7 +38,9 @@ D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
 BURN_IN, SAMPLES = 2, 3
 #: Tokens that make a block of documents, and a chunk of contexts; bytes of a text that are split at once. Bounds on memory.
-BLOCK, CHUNK, PIECE = 1_500_000, 1_500_000, 1 << 22
+BLOCK, CHUNK, PIECE = 1_000_000, 1_500_000, 1 << 22
+#: Different words that a task counts at once.
+WINDOW = 150_000
 #: Customers of a dish up to which table counts are drawn from the table of Stirling numbers; beyond, from the limit law.
 EXACT = 128
 SEED = 5
@@ -119,6 +121,12 @@ def words_of(text: bytes | None) -> Iterator[list[bytes]]:
     yield [*text[at:].translate(LOWERED).split(), b""]
 
 
+def few(batch: pa.RecordBatch, at_once: int = 128) -> Iterator[tuple]:
+    """The rows of a batch, a few of them as Python objects at a time."""
+    for start in range(0, batch.num_rows, at_once):
+        yield from zip(*(c.to_pylist() for c in batch.slice(start, at_once).columns))
+
+
 def hash_of(word: bytes) -> int:
     import xxhash
 
@@ -139,16 +147,16 @@ def crowded(docs: DataFrame, chunk: int) -> tuple[int, dict[int, int]]:
             return pa.RecordBatch.from_arrays([pa.array(np.append(h, 0), pa.int64(), mask=mask), pa.array(np.append(n, n.sum()))], names=["h", "n"])
 
         for batch in batches:
-            for text in batch.column(0).to_pylist():
+            for (text,) in few(batch):
                 for words in words_of(text):
                     seen.update(words)
-                    if len(seen) > 400_000:
+                    if len(seen) > WINDOW:
                         yield given()
                         seen.clear()
         yield given()
 
     counted = docs.select(F.col("text").cast("string").cast("binary")).mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
-    rows = counted.where(f"h is null or n > {chunk // 2}").collect()  # fewer than two a chunk
+    rows = materialize(counted.where(f"h is null or n > {chunk // 2}"), "crowded").collect()  # fewer than two a chunk
     total = sum(r["n"] for r in rows if r["h"] is None)
     return total, {r["h"] % (1 << 64): r["n"] for r in rows if r["h"] is not None}
 
@@ -242,7 +250,7 @@ def blocks_of(docs: DataFrame, deal: Deal) -> DataFrame:
                 yield batch_of(rows[start : start + 256], ROWS)
 
         for batch in batches:
-            for doc, out, text in zip(*(c.to_pylist() for c in batch.columns)):
+            for doc, out, text in few(batch):
                 row += 1
                 before = b""
                 for words in words_of(text):
@@ -363,6 +371,7 @@ class Model:
         self.tokens = self.state.where("part = -1").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
         self.hot = self.hot_totals("customers")
         self.words = self.up = None
+        self.samples: list[tuple[Unigrams, np.ndarray, DataFrame]] = []
         self.exchange()
 
     def hot_totals(self, what: str) -> np.ndarray:
@@ -403,36 +412,32 @@ class Model:
         if first:
             self.known = new
             vocabulary = sums[-2]["n"] if sums else 0
-        elif old is not self.known:
+        elif old is not self.known and not any(old is x[2] for x in self.samples):
             forget(old)
         self.up = Unigrams(vocabulary, sums[-1]["n"] if sums else 0, sums[-1]["m"] if sums else 0)
         self.words, self.opened = new, self.hot_totals("tables")
 
-    def seats(self, *also: DataFrame) -> DataFrame:
+    def seats(self) -> DataFrame:
         """What a chunk needs besides its dishes: its last tables, and the last sums of its words."""
-        out = self.state.where("part = -1").union(self.words.where("chunk >= 0"))
-        for df in also:
-            out = out.union(df)
-        return out
+        return self.state.where("part = -1").union(self.words.where("chunk >= 0"))
 
     def step(self, keep: bool) -> None:
         """One sweep over all restaurants. keep: the state before it is a sample."""
-        deal, up, parts, hot, opened, sweep = self.deal, self.up, self.deal.ranges, self.hot, self.opened, self.sweeps + 1
+        deal, up, parts, opened, sweep = self.deal, self.up, self.deal.ranges, self.opened, self.sweeps + 1
+        if keep:
+            self.samples.append((self.up, self.opened, self.words))
 
         def move(rows: pa.Table, seats: pa.Table) -> pa.Table:
             row = rows.to_pylist()[0]
             chunk, x = row["chunk"], Dishes(row)
-            t, kept, n, seated = state_of(seats)
-            base = up.probability(n, seated)
+            seen = Seats(seats)
             place = deal.places(x.names)
-            totals = np.where(place >= 0, opened[place], x.by_context(t)) if len(opened) else x.by_context(t)
-            if keep:
-                customers = np.where(place >= 0, hot[place], x.by_context(x.c)) if len(hot) else x.by_context(x.c)
-                kept = kept + predictive(x.c, t, customers[x.ctx], totals[x.ctx], base[x.word])
+            totals = whole(x.by_context(seen.now), place, opened)
             g = gammas(x.names, totals, sweep, chunk, place >= 0)
-            log_a = np.log(D2) + np.log(g)[x.ctx] + np.log(base)[x.word]
+            log_a = np.log(D2) + np.log(g)[x.ctx] + np.log(up.probability(*seen.parents()))[x.word]
             t = tables(x.c, log_a, D2, stirling(D2), np.random.default_rng([SEED, sweep, chunk]))
-            mine = (chunk, -1, packed(t.astype("<u4")), packed(kept.astype("<f4")) if keep or len(np.shape(kept)) else b"", b"", 0, 0)
+            past = np.concatenate([seen.past, seen.now]) if keep else seen.past
+            mine = (chunk, -1, packed(t.astype("<u4")), packed(past.astype("<u4")), b"", 0, 0)
             return pa.Table.from_batches([batch_of([mine, *hot_rows(x, t, deal, chunk), *sums_of(x, chunk, parts, t)], STATE)])
 
         moved = self.dishes.groupBy("chunk").cogroup(self.seats().groupBy("chunk")).applyInArrow(move, STATE)
@@ -442,21 +447,23 @@ class Model:
         self.exchange()
 
     def answers(self) -> DataFrame:
-        """block, chunk, a, b: log10 probability of every pair of a block, and training tokens of its word, averaged over the samples."""
-        deal, up, hot, opened, samples = self.deal, self.up, self.hot, self.opened, SAMPLES
+        """block, chunk, a, b: log10 probability of every pair of a block, averaged over the samples, and training tokens of its dish."""
+        every = [*self.samples, (self.up, self.opened, self.words)]
+        deal, hot, facts = self.deal, self.hot, [x[:2] for x in every]
 
-        def answer(rows: pa.Table, seats: pa.Table) -> Iterator[pa.Table]:
+        def answer(rows: pa.Table, seats: pa.Table) -> pa.Table:
             block = rows.column("block").to_pylist()
             own = block.index(-1)
             row = rows.slice(own, 1).to_pylist()[0]
-            x = Dishes(row)
-            t, kept, n, seated = state_of(seats)
+            x, seen = Dishes(row), Seats(seats)
             place = deal.places(x.names)
-            totals = np.where(place >= 0, opened[place], x.by_context(t)) if len(opened) else x.by_context(t)
-            customers = np.where(place >= 0, hot[place], x.by_context(x.c)) if len(hot) else x.by_context(x.c)
-            kept = kept + predictive(x.c, t, customers[x.ctx], totals[x.ctx], up.probability(n, seated)[x.word])
-            log_p = np.log10(kept / samples).astype("<f4")
-            known = tokens_of(seats)[x.word]
+            customers = whole(x.by_context(x.c), place, hot)[x.ctx]
+            sat = [*seen.past.reshape(-1, len(x.c)), seen.now] if len(x.c) else [seen.now]
+            p = np.zeros(len(x.c))
+            for k, (up, opened) in enumerate(facts):
+                p += predictive(x.c, sat[k], customers, whole(x.by_context(sat[k]), place, opened)[x.ctx], up.probability(*seen.parents(k))[x.word])
+            log_p = np.log10(p / len(facts)).astype("<f4")
+            known = seen.known()[x.word]
             kind = "<u4" if known.max(initial=0) < 1 << 32 else "<u8"
             out = []
             for i, b in enumerate(block):
@@ -465,8 +472,9 @@ class Model:
                     out.append((b, row["chunk"], packed(log_p[at]), packed(known[at].astype(kind)), int(kind == "<u8")))
             return pa.Table.from_batches([batch_of(out, ANSWERS)])
 
-        extra = self.known.where("chunk >= 0").withColumn("part", -10 - F.col("part")) if self.words is not self.known else None
-        seats = self.seats(*([extra] if extra is not None else []))
+        seats = self.state.where("part = -1").union(self.known.where("chunk >= 0").withColumn("n", F.lit(-1).cast("long")))
+        for k, (_, _, words) in enumerate(every):
+            seats = seats.union(words.where("chunk >= 0").withColumn("n", F.lit(k).cast("long")))
         return self.chunks.where("chunk >= 0").groupBy("chunk").cogroup(seats.groupBy("chunk")).applyInArrow(answer, ANSWERS)
 
 
@@ -484,21 +492,30 @@ def hot_rows(x: Dishes, t: np.ndarray, deal: Deal, chunk: int, customers: bool =
     return out
 
 
-def state_of(seats: pa.Table) -> tuple[np.ndarray, np.ndarray | float, np.ndarray, np.ndarray]:
-    """Tables of a chunk's dishes, summed probabilities of its samples, customers and tables of its words in the parent."""
-    part, cols = seats.column("part").to_pylist(), [seats.column(n) for n in "abc"]
-    own = part.index(-1)
-    kept = unpacked(cols[1][own].as_py(), "<f4").astype(float) if cols[1][own].as_py() else 0.0
-    order = sorted((p, i) for i, p in enumerate(part) if p >= 0)
-    n, t = (np.concatenate([unpacked(c[i].as_py(), "<u8") for _, i in order]).astype(np.int64) for c in cols[:2])
-    return unpacked(cols[0][own].as_py(), "<u4").astype(np.int64), kept, n, t
+def whole(own: np.ndarray, place: np.ndarray, totals: np.ndarray) -> np.ndarray:
+    """A chunk's sums by context, with those of crowded contexts over all their chunks in place of its own."""
+    return np.where(place >= 0, totals[place], own) if len(totals) else own
+
+
+class Seats:
+    """A chunk's rows of the state and of sums by word: tables now and at earlier samples (past, one after another)."""
+
+    def __init__(self, rows: pa.Table) -> None:
+        self.rows, self.part, self.n = rows, rows.column("part").to_pylist(), rows.column("n").to_pylist()
+        own = self.part.index(-1)
+        self.now, self.past = (unpacked(rows.column(c)[own].as_py(), "<u4").astype(np.int64) for c in "ab")
+
+    def joined(self, column: str, of: int) -> np.ndarray:
+        order = sorted((p, i) for i, p in enumerate(self.part) if p >= 0 and self.n[i] == of)
+        return np.concatenate([unpacked(self.rows.column(column)[i].as_py(), "<u8") for _, i in order])
 
+    def parents(self, sample: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """Customers and tables of the chunk's words in the parent."""
+        return self.joined("a", sample).astype(np.int64), self.joined("b", sample).astype(np.int64)
 
-def tokens_of(seats: pa.Table) -> np.ndarray:
-    """Training tokens of a chunk's words, from the first exchange."""
-    part = seats.column("part").to_pylist()
-    first = sorted((-10 - p, i) for i, p in enumerate(part) if p <= -10) or sorted((p, i) for i, p in enumerate(part) if p >= 0)
-    return np.concatenate([unpacked(seats.column("c")[i].as_py(), "<u8") for _, i in first])
+    def known(self) -> np.ndarray:
+        """Training tokens of the chunk's words."""
+        return self.joined("c", -1)
 
 
 def scored(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
@@ -515,8 +532,7 @@ def scored(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
         model.step(keep=k > BURN_IN)
     n, v = model.tokens, model.up.vocabulary
     answers = materialize(model.answers(), "answers")
-    forget(model.state)
-    forget(model.words)
+    forget(model.state, model.known, model.words, *(x[2] for x in model.samples))
 
     def total(own: pa.Table, given: pa.Table) -> pa.Table:
         row = own.to_pylist()[0]

@@ -157,6 +157,37 @@ def test_tree_matching_keeps_order():
     assert [c[2] for c in m[3] if c[0] == "z"] == [""]
 
 
+def test_deep_and_broken_pages_are_read_in_linear_time():
+    import time
+
+    began = time.time()
+    deep = html_extract.blocks("<div>" * 5000 + "a" + "</div>" * 5000)
+    w = html_extract.merge(html_extract.tree(deep), html_extract.grown(html_extract.flat(html_extract.tree(deep))))
+    assert html_extract.template(w, 1) == ["div " + html_extract.mark("a")]
+    rng = random.Random(1)
+    page = lambda d: "".join("<div>" + "<p>x" * rng.randrange(3) for _ in range(d)) + "</div>" * d
+    a, b = (html_extract.tree(html_extract.blocks(page(200))) for _ in "ab")
+    assert html_extract.size_of_match(a, b) > 200
+    for broken in ('<a href="' + "<x " * 50_000, "</ " * 50_000, "<a '" * 30_000 + '<b "' * 30_000):
+        html_extract.blocks(broken)
+    assert html_extract.main_text("<div <p>x") == ["x"] and time.time() - began < 20
+
+
+def test_pages_of_ever_new_shapes_do_not_add_up():
+    w = html_extract.tree(html_extract.blocks("<p>Notice</p><i>x"))
+    for i in range(600):
+        w = html_extract.thinned(html_extract.merge(w, html_extract.tree(html_extract.blocks(f"<p>Notice</p><div class=c{i}><p>{i}</div>"))), 200)
+    assert sum(1 for _ in html_extract.nodes_of(w)) < 300 and html_extract.template(w) == ["p " + html_extract.mark("Notice")]
+
+
+def test_extraction_ignores_repeats_and_clashing_columns(spark):
+    page = "<body><p>Welcome</p><p>{}</p></body>"
+    rows = [(i % 5, "http://h/", page.format(i % 5), "x", "y", 1) for i in range(20)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, host string, fixed string, n_chars long")
+    got = html_extract.extracted(df).collect()
+    assert len(got) == 20 and all(r.text == str(r.page_id) for r in got)
+
+
 # Language model.
 
 
@@ -192,39 +223,143 @@ def test_model_beats_its_base_on_held_out_text_and_repeats(spark):
     assert one == two and sum(r[6] for r in held) > 0.6 * sum(r[5] for r in held)
 
 
-def test_every_previous_word_has_a_restaurant_of_its_own(spark):
-    texts = [" ".join(f"a{i % 50}x{j} b{j % 7}" for j in range(2000)) for i in range(50)]  # some 100,000 previous words
-    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    chunks = pitman_yor.merged(pitman_yor.blocks_of(df, 8))
-    f, totals = pitman_yor.gathered(chunks, 8)
-    got = {}
-    for r in totals.collect():
-        for name, c, t in zip(np.frombuffer(r.ctxs, "<u8"), np.frombuffer(r.a, "<i8"), np.frombuffer(r.b, "<i8")):
-            assert got.setdefault(name, (c, t)) == (c, t) and t <= c
-    want = collections.Counter()
-    for i, x in enumerate(texts):
-        if zlib.crc32(str(i).encode()) % 7 != 2:
-            want.update([None, *words(x)])
-    assert len(got) == 50 * 2000 + 7 + 1 and sorted(c for c, _ in got.values() if c) == sorted(want.values()) and f["n"] == sum(want.values())
+def seats_of(model):
+    """Customers, tables and parent probabilities by context and word, of a model whose chunks are read whole."""
+    rows = {r["chunk"]: r.asDict() for r in model.dishes.collect()}
+    seats = {}
+    for r in model.seats().collect():
+        seats.setdefault(r["chunk"], []).append(r.asDict())
+    import pyarrow as pa
 
+    out = {}
+    for k, row in rows.items():
+        x, seen = pitman_yor.Dishes(row), pitman_yor.Seats(pa.Table.from_pylist(seats[k]))
+        parent = model.up.probability(*seen.parents())
+        for i in range(len(x.c)):
+            out[int(x.names[x.ctx[i]]), int(x.words[x.word[i]])] = (int(x.c[i]), int(seen.now[i]), float(parent[x.word[i]]))
+    return out
+
+
+TALK = [" ".join(f"w{(i * i + 3 * j * (1 + i % 3)) % 17}" for j in range(40)) for i in range(60)]
 
-def test_predictive_probabilities_sum_to_one_over_the_vocabulary():
-    c, t = np.array([5, 1, 0, 2]), np.array([2, 1, 0, 1])
-    parent = np.array([0.4, 0.3, 0.2, 0.1])
-    p = (c - pitman_yor.D2 * t + (pitman_yor.T2 + pitman_yor.D2 * t.sum()) * parent)
-    p[c == 0] = ((pitman_yor.T2 + pitman_yor.D2 * t.sum()) * parent)[c == 0]
-    assert abs(p.sum() / (pitman_yor.T2 + c.sum()) - 1) < 1e-12
+
+@pytest.mark.parametrize("chunk", [10_000, 150])
+def test_probabilities_sum_to_one_in_every_context_after_every_sweep(spark, chunk):
+    df = spark.createDataFrame(list(enumerate(TALK)), "doc_id long, text string")
+    model = pitman_yor.Model(df, chunk)
+    assert (len(model.deal.names) > 3) == (chunk == 150)  # with small chunks contexts are dealt to several
+    for sweep in range(3):
+        got = seats_of(model)
+        parent = {w: p for (_, w), (_, _, p) in got.items()}
+        unknown = float(model.up.probability(np.zeros(1), np.zeros(1))[0])
+        known = {w for (_, w), (c, _, _) in got.items() if c}
+        assert len(known) == model.up.vocabulary and abs(sum(parent[w] for w in known) + unknown - 1) < 1e-9
+        assert sum(t for _, t, _ in got.values()) == model.up.customers
+        for u in {u for u, _ in got}:
+            own = {w: x for (v, w), x in got.items() if v == u}
+            customers, opened = sum(x[0] for x in own.values()), sum(x[1] for x in own.values())
+            p = sum(float(pitman_yor.predictive(own.get(w, (0,))[0], own.get(w, (0, 0))[1], customers, opened, parent[w])) for w in known)
+            assert abs(p + float(pitman_yor.predictive(0, 0, customers, opened, unknown)) - 1) < 1e-9
+        model.step(keep=False)
+
+
+def brute_scores(texts, sweeps=120, burn=40, seed=1):
+    """Sequential Gibbs over customers and tables, one at a time, on real seating arrangements."""
+    rng = random.Random(seed)
+    d2, t2, d1, t1 = pitman_yor.D2, pitman_yor.T2, pitman_yor.D1, pitman_yor.T1
+    docs = {i: [None, *words(t), None] for i, t in texts.items()}
+    out = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i in docs}
+    pairs = [(a, b) for i, x in docs.items() if not out[i] for a, b in zip(x, x[1:])]
+    v = len({b for _, b in pairs})
+    low, top = collections.defaultdict(list), collections.defaultdict(list)  # sizes of tables by (context, dish), and by dish
+    count, opened = collections.Counter(), collections.Counter()
+
+    def parent(w):
+        n, t = sum(map(sum, top.values())), sum(map(len, top.values()))
+        return (sum(top[w]) - d1 * len(top[w]) + (t1 + d1 * t) / (v + 1)) / (t1 + n)
+
+    def put(tables, d, new):
+        at = rng.choices(range(len(tables) + 1), [n - d for n in tables] + [new])[0]
+        if at == len(tables):
+            tables.append(0)
+        tables[at] += 1
+        return tables[at] == 1
+
+    def take(tables):
+        at = rng.choices(range(len(tables)), tables)[0]
+        tables[at] -= 1
+        if not tables[at]:
+            del tables[at]
+            return True
+        return False
+
+    def sit(u, w):
+        if put(low[u, w], d2, (t2 + d2 * opened[u]) * parent(w)):
+            opened[u] += 1
+            put(top[w], d1, (t1 + d1 * sum(map(len, top.values()))) / (v + 1))
+        count[u] += 1
+
+    for u, w in pairs:
+        sit(u, w)
+    probability = collections.Counter()
+    asked = {(a, b) for x in docs.values() for a, b in zip(x, x[1:])}
+    for k in range(sweeps):
+        for u, w in pairs:
+            if take(low[u, w]):
+                opened[u] -= 1
+                take(top[w])
+            count[u] -= 1
+            sit(u, w)
+        if k >= burn:
+            for u, w in asked:
+                probability[u, w] += (sum(low[u, w]) - d2 * len(low[u, w]) + (t2 + d2 * opened[u]) * parent(w)) / (t2 + count[u]) / (sweeps - burn)
+    return {i: (out[i], sum(math.log10(probability[a, b]) for a, b in zip(x, x[1:]))) for i, x in docs.items()}
+
+
+def test_scores_agree_with_a_sampler_of_single_customers(spark):
+    texts = dict(enumerate(x[:60] for x in TALK[:30]))
+    want = brute_scores(texts)
+    for chunk in (10_000, 60):
+        got = {r.doc_id: (r.held_out, r.score) for r in pitman_yor.scored(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), chunk).collect()}
+        for held in (True, False):
+            a, b = (sum(x[1] for x in of.values() if x[0] == held) for of in (got, want))
+            assert abs(a / b - 1) < 0.02
+
+
+def test_null_ids_repeated_rows_and_long_texts_are_scored(spark):
+    long = "a b " * 1_200_000  # more than one piece and more than one block
+    rows = [(None, "a b", 1), (1, "a b", 2), (1, "a b", 3), (2, long, 4), (3, None, 5)]
+    got = pitman_yor.scored(spark.createDataFrame(rows, "doc_id long, text string, score long")).collect()
+    n = {None: 3, 1: 3, 2: 2_400_001, 3: 1}
+    learnt = sum(n[r[0]] for r in rows if r[0] is None or zlib.crc32(str(r[0]).encode()) % 7 != 2)
+    assert learnt > 2_400_000 and sorted((r.doc_id or 0, r.n_tokens, r.n_known, r.train_tokens) for r in got) == [(i or 0, n[i], n[i], learnt) for i in (None, 1, 1, 2, 3)]
+    one = next(r for r in got if r.doc_id == 2)
+    assert one.score > -0.01 * one.n_tokens > one.base_score
+
+
+def test_perplexity_is_lower_than_that_of_the_base(spark):
+    r = pitman_yor.perplexity(pitman_yor.scored(spark.createDataFrame(list(enumerate(TALK)), "doc_id long, text string"))).collect()
+    assert {x.held_out for x in r} == {True, False} and all(1 < x.perplexity < x.base_perplexity for x in r)
 
 
 def test_table_counts_follow_their_conditional():
-    s2, rng = pitman_yor.stirling(0.5), np.random.default_rng(1)
+    s, rng = pitman_yor.stirling(0.5), np.random.default_rng(1)
     c = np.full(40_000, 3)
-    t = pitman_yor.tables(c, np.full(len(c), 0.3), np.full(len(c), 4), 0.5, 1.0, s2, rng)
-    weight = [math.exp(s2[3, k]) * math.prod(1.0 + 0.5 * (4 + j) for j in range(k)) * 0.3**k for k in (1, 2, 3)]
-    share = np.bincount(t, minlength=4)[1:4] / len(t)
-    assert np.abs(share - np.array(weight) / sum(weight)).max() < 0.01
-    big = pitman_yor.tables(np.array([10_000]), np.array([0.01]), np.array([50]), 0.5, 1.0, s2, rng)
-    assert 1 <= big[0] <= 10_000
+    t = pitman_yor.tables(c, np.full(len(c), np.log(0.6)), 0.5, s, rng)
+    weight = np.exp(s[3, 1:4]) * 0.6 ** np.arange(1, 4)
+    assert np.allclose(np.exp(s[3, 1:4]), [0.5 * 1.5, 3 * 0.5, 1]) and np.abs(np.bincount(t, minlength=4)[1:4] / len(t) - weight / weight.sum()).max() < 0.01
+
+
+@pytest.mark.parametrize("d", [0.6, 0.75])
+@pytest.mark.parametrize("a", [1e-4, 0.05, 1.0, 8.0, 60.0, 400.0])
+def test_the_limit_law_of_table_counts_meets_the_exact_one(d, a):
+    n = pitman_yor.EXACT
+    w = pitman_yor.stirling(d)[n, 1:] + np.log(a) * np.arange(1, n + 1)
+    p = np.exp(w - w.max()) / np.exp(w - w.max()).sum()
+    mean = p @ np.arange(1, n + 1)
+    spread = math.sqrt(p @ np.arange(1, n + 1) ** 2 - mean**2)
+    t = pitman_yor.many_tables(np.full(20_000, n), np.full(20_000, a), d, np.random.default_rng(3))
+    assert abs(t.mean() - mean) < 0.06 * mean + 0.2 and abs(t.std() - spread) < 0.25 * spread + 0.3
 
 
 # BPE.
