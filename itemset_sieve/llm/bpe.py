@@ -12,7 +12,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from itertools import chain
 
 import pyarrow as pa
@@ -21,8 +21,9 @@ from pyspark.sql import functions as F
 
 #: Unicode's White_Space, the meaning of \s in the tokenizers' patterns, as the inside of a character class.
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
-#: Entries that a task's memory of encoded words holds before it starts anew: bounds memory, changes no result.
-MEMORY = 300_000
+#: Words that a task remembers, their characters, and pairs of tokens, before it starts anew; characters of texts that it
+#: encodes together. They bound memory and change no result.
+MEMORY, LETTERS, PAIRS, TOGETHER = 250_000, 1 << 24, 400_000, 1 << 23
 FOREVER = float("inf")
 
 
@@ -51,6 +52,7 @@ class Codec:
         #: Ids of words, each with a space before it, and of single pieces.
         self.spaced: dict[str, tuple[int, ...]] = {}
         self.single: dict[str, tuple[int, ...]] = {}
+        self.letters = 0
         #: Tokens spelled backwards as a tree: (node * 256 + byte) -> node, and the token that ends at a node.
         self.back: dict[int, int] = {}
         self.ends = [-1]
@@ -107,7 +109,7 @@ class Codec:
                     i += 1
                 else:
                     j += 1
-            if len(self.fits) >= 8 * MEMORY:
+            if len(self.fits) >= PAIRS:
                 self.fits.clear()
             self.fits[a << 24 | b] = good
         return good
@@ -153,6 +155,7 @@ class Codec:
         """Encodes pieces in sorted order: each table goes on from the prefix it shares with the one before."""
         last, before = [], b""
         for piece, data in sorted((p, p.encode()) for p in pieces if p not in self.single):
+            self.letters += len(data)
             whole = self.ranks.get(data)
             if whole is not None:
                 self.single[piece] = (whole,)
@@ -167,9 +170,10 @@ class Codec:
 
     def prepare(self, texts: list[str]) -> None:
         """Makes all words of the texts known, the new ones together; forgets all first when there are many."""
-        if len(self.spaced) + len(self.single) >= MEMORY:
+        if len(self.spaced) + len(self.single) >= 2 * MEMORY or self.letters >= LETTERS:
             self.spaced.clear()
             self.single.clear()
+            self.letters = 0
         new: set[str] = set()
         for text in texts:
             new.update(text.split(" "))
@@ -179,12 +183,22 @@ class Codec:
         for w, pieces in split.items():
             self.spaced[w] = single[pieces[0]] if len(pieces) == 1 else tuple(chain.from_iterable([single[p] for p in pieces]))
 
-    def encode_all(self, texts: list[str]) -> Iterator[list[int]]:
+    def encode_all(self, texts: Iterable[str]) -> Iterator[list[int]]:
         """The ids of whole texts, of any length; an empty text has none.
 
         A match of the pattern never goes on over a space that follows something else than white space, so
         words with the space before them are encoded as a whole, and each different word once.
         """
+        some, letters = [], 0
+        for text in texts:
+            if some and letters + len(text) > TOGETHER:
+                yield from self.encode_some(some)
+                some, letters = [], 0
+            some.append(text)
+            letters += len(text)
+        yield from self.encode_some(some)
+
+    def encode_some(self, texts: list[str]) -> Iterator[list[int]]:
         knots = [bool(self.knot(x)) for x in texts]
         self.prepare([x for x, knot in zip(texts, knots) if not knot])
         spaced = self.spaced
@@ -247,8 +261,9 @@ def encoded(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", te
     """Ids and decoded bytes of every text: id_col, n_tokens, ids array<int>, decoded binary.
 
     With digests, ids_sha256 and decoded_sha256 (of the decimal ids joined by one space, and of the decoded
-    bytes) take the place of the two long columns. A null text counts as empty: no ids, no bytes. Rows that
-    repeat are encoded each; an empty table gives an empty result. path is read on the driver.
+    bytes) take the place of the two long columns. A null text counts as empty: no ids, no bytes. Texts of any length are
+    encoded whole. Rows that repeat are encoded each, and a null id stays null; other columns are not read; an empty table
+    gives an empty result. path is read on the driver.
     """
     ranks = docs.sparkSession.sparkContext.broadcast(read_ranks(path))  # one vocabulary: a fixed size
 
@@ -256,7 +271,7 @@ def encoded(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", te
         codec = Codec(ranks.value, pattern)
         names = {i: str(i) for i in codec.tokens}
         for batch in batches:
-            keys, texts = batch.column(0), [x or "" for x in batch.column(1).to_pylist()]
+            keys, texts = batch.column(0), (x or "" for i in range(0, batch.num_rows, 64) for x in batch.column(1).slice(i, 64).to_pylist())
             counts, first, second = [], [], []
             for ids in codec.encode_all(texts):
                 data = codec.decode(ids)
