@@ -2,7 +2,8 @@
 
 The trees are split on a bounded sample; every vector is then put into its leaf of every tree. A query ranks
 the leaves of all trees together by the worst margin on the way to them, as a queue shared by the trees pops
-them, and looks into the best share. Leaf members travel as packed arrays and meet the queries that look into
+them, and looks into the first ones. How many is measured: a few probes are compared with all rows, and so many leaves
+are popped that TARGET of their nearest neighbours are met. Leaf members travel as packed arrays and meet the queries that look into
 their leaf; cosines are exact on the original numbers.
 """
 
@@ -15,17 +16,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Vectors that the trees are split on at most, trees, leaves of each, and the share of all leaves a query looks into.
-SAMPLE, TREES, DEPTH, SHARE = 8192, 6, 5, 0.5
+#: Vectors that the trees are split on at most, and trees.
+SAMPLE, TREES = 8192, 8
+#: Probes by which the number of leaves is measured, and the share of their neighbours that must be met.
+PROBES, TARGET = 128, 0.96
 #: Sampled vectors that a leaf has at least: few vectors make fewer leaves, and very few are all compared.
 LEAST = 64
 SEED = 11
 
 
 class Forest:
-    """TREES complete trees of DEPTH levels over unit vectors: normals and thresholds by level order."""
+    """Complete trees of depth levels over unit vectors: normals and thresholds by level order."""
 
-    def __init__(self, sample: np.ndarray, trees: int = TREES, depth: int = DEPTH, seed: int = SEED) -> None:
+    def __init__(self, sample: np.ndarray, trees: int = TREES, depth: int = 5, seed: int = SEED) -> None:
         rng = np.random.default_rng(seed)
         nodes, dims = (1 << depth) - 1, sample.shape[1]
         self.depth, self.trees, self.leaves = depth, trees, 1 << depth
@@ -95,8 +98,8 @@ def unit(x: np.ndarray) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
-def best_of(queries: np.ndarray, ids: np.ndarray, qx: np.ndarray, x: np.ndarray, k: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """The k nearest of x to each query, exactly and with ties to the smaller id, in blocks: (query, id, score).
+def best_of(queries: np.ndarray, ids: np.ndarray, qx: np.ndarray, x: np.ndarray, k: int, places: bool = False) -> Iterator[tuple]:
+    """The k nearest of x to each query, exactly and with ties to the smaller id, in blocks: (query, id, score), and the place in x if asked.
 
     A fast product finds what can be among them; their cosines are then computed one by one, each in the same
     order of operations wherever the pair is met.
@@ -112,29 +115,61 @@ def best_of(queries: np.ndarray, ids: np.ndarray, qx: np.ndarray, x: np.ndarray,
         order = np.lexsort((ids[j], -score, i))
         i, j, score = i[order], j[order], score[order]
         rank = np.arange(len(i)) - np.searchsorted(i, i)
-        yield own[i[rank < k]], ids[j[rank < k]], score[rank < k]
+        i, j, score = i[rank < k], j[rank < k], score[rank < k]
+        yield (own[i], ids[j], score, j) if places else (own[i], ids[j], score)
 
 
-def nearest(rows: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 50, k: int = 5, sample: int = SAMPLE, trees: int = TREES, depth: int = DEPTH, share: float = SHARE) -> DataFrame:
+def probed(d: DataFrame, forest: Forest, ids: np.ndarray, x: np.ndarray, k: int, target: float) -> int:
+    """Leaves that must be popped for a share of target of the k nearest of the probes: these are found among all rows."""
+    shared = d.sparkSession.sparkContext.broadcast((ids, x))  # at most PROBES vectors
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, qx = shared.value
+        for batch in batches:
+            at, y = vectors_of(batch.column(1), qx.shape[1])
+            for q, i, score, j in best_of(own, batch.column(0).to_numpy(zero_copy_only=False)[at], qx, y, k, places=True):
+                yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(i), pa.array(score), pa.array(unit(y)[j].tolist(), pa.list_(pa.float64()))], names=["q", "id", "score", "u"])
+
+    found = d.mapInArrow(run, "q long, id long, score double, u array<double>").dropDuplicates(["q", "id"])
+    found = found.withColumn("rank", F.row_number().over(Window.partitionBy("q").orderBy(F.col("score").desc(), "id"))).where(F.col("rank") <= k).select("q", "u").toArrow()  # at most PROBES * k rows
+    if not found.num_rows:
+        return 1
+    u = np.array(found.column("u").to_pylist())
+    row = {int(q): i for i, q in enumerate(ids)}
+    place = np.empty((len(ids), forest.trees * forest.leaves), np.int64)
+    np.put_along_axis(place, forest.order(unit(x)), np.arange(place.shape[1])[None, :], 1)
+    which = np.array([row[q] for q in found.column("q").to_pylist()])
+    met = np.min([place[which, t * forest.leaves + forest.leaf(u, t)] for t in range(forest.trees)], axis=0)
+    return int(np.sort(met)[int(np.ceil(target * len(met))) - 1]) + 1
+
+
+def nearest(rows: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 50, k: int = 5, sample: int = SAMPLE, trees: int = TREES, target: float = TARGET) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found by cosine of every row whose id is divisible by every.
 
     All rows are indexed; the trees are split on at most sample of them, those with the smallest hashes of
-    their ids. With fewer than k candidates all are returned. Rows with unusable vectors or null ids take no
-    part; an id that repeats with the same vector counts once. An empty table gives an empty result.
+    their ids. With fewer than k candidates all are returned. A target of 1.0 or more is the exact way: one tree, all of whose leaves are looked into. Rows with unusable vectors (also those of another length than most of the sample) or
+    null ids take no part; an id that repeats with the same vector counts once; other columns are not read. An empty table gives an empty result.
     """
     spark = rows.sparkSession
+    trees = 1 if target >= 1 else trees
     d = rows.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).alias("v")).where("id is not null and v is not null")
+    single = "array<float>" in d.schema["v"].dataType.simpleString()  # numbers travel in their own precision
+    width = "<f4" if single else "<f8"
     picked = d.orderBy(F.xxhash64("id"), "id").limit(sample).select("id", "v").toArrow()  # at most sample rows
     at, x = vectors_of(picked.column("v").combine_chunks())
     dims = x.shape[1]
-    depth = max(0, min(depth, int(np.log2(max(1, len(x)) / LEAST))))
-    shared = spark.sparkContext.broadcast(Forest(unit(x), trees, depth))  # trees * 2^depth * dims numbers
+    depth = max(0, int(np.log2(max(1, len(x)) / LEAST)))
+    forest = Forest(unit(x), trees, depth)
+    ids, first = np.unique(picked.column("id").to_numpy()[at], return_index=True)
+    some = np.random.default_rng(SEED).permutation(len(ids))[:PROBES]
+    pops = trees * forest.leaves if target >= 1 or not depth else probed(d, forest, ids[some], x[first[some]], k, target)
+    shared = spark.sparkContext.broadcast(forest)  # trees * 2^depth * dims numbers
 
     def deal(ids: np.ndarray, x: np.ndarray, cell: np.ndarray, kind: int) -> pa.RecordBatch:
         order = np.argsort(cell, kind="stable")
         cells, starts = np.unique(cell[order], return_index=True)
         ends = [*starts[1:], len(order)]
-        packed = [(ids[order[a:b]].astype("<i8").tobytes(), x[order[a:b]].astype("<f8").tobytes()) for a, b in zip(starts, ends)]
+        packed = [(ids[order[a:b]].astype("<i8").tobytes(), x[order[a:b]].astype(width).tobytes()) for a, b in zip(starts, ends)]
         return pa.RecordBatch.from_arrays([pa.array(cells.astype(np.int64)), pa.array([kind] * len(cells), pa.int32()), pa.array([p[0] for p in packed], pa.binary()), pa.array([p[1] for p in packed], pa.binary())], names=["cell", "kind", "ids", "xs"])
 
     def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -153,7 +188,7 @@ def nearest(rows: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding",
             asks = ids % every == 0
             if asks.any():
                 qi, qx = ids[asks], x[asks]
-                look = forest.order(u[asks])[:, : max(1, int(np.ceil(share * forest.trees * forest.leaves)))]
+                look = forest.order(u[asks])[:, :pops]
                 who = np.repeat(np.arange(len(qi)), look.shape[1])
                 pieces = forest.pieces.reshape(-1)[look.reshape(-1)]
                 within = np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)
@@ -162,7 +197,7 @@ def nearest(rows: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding",
     def search(table: pa.Table) -> pa.Table:
         kind = np.array(table.column("kind").to_pylist())
         ids = [np.frombuffer(b, "<i8") for b in table.column("ids").to_pylist()]
-        xs = [np.frombuffer(b, "<f8").reshape(-1, dims) for b in table.column("xs").to_pylist()]
+        xs = [np.frombuffer(b, width).astype(np.float64).reshape(-1, dims) for b in table.column("xs").to_pylist()]
         out: list[tuple] = []
         if (kind == 0).any() and (kind == 1).any():
             side = lambda what, of: np.concatenate([what[i] for i in np.nonzero(kind == of)[0]])
