@@ -34,12 +34,15 @@ TEMPLATES = {
     "unlicense": ("This is free and unencumbered software released into the public domain.",),
     "all-rights-reserved": ("All rights reserved.",),
 }
+#: Only sentences and paragraphs with one of these are compared: a parameter of the scan. Every template has one.
 CUES = re.compile(rb"licen[sc]e|copyright|rights reserved|public domain|creative commons|\bcc[ -]?(?:by|0)|permission is hereby|redistribution and use|spdx")
 TERM = re.compile(rb"[a-z0-9]+(?:[.+-][a-z0-9]+)*")
 SENTENCE = re.compile(rb"(?<=[.!?])\s+|\n")
 PARAGRAPH = re.compile(rb"\n[\s#*/;-]*\n")
 #: Names that make a file the licence of its directory.
 LICENCE_NAME = r"(?i)^(licen[sc]e|copying|copyright|notice|unlicen[sc]e)([.-].*)?$"
+#: Directories that are sent to every task at most; beyond, files of a directory are dealt over so many tasks.
+BROADCAST, SPREAD = 200_000, 16
 #: Least cosine of a statement.
 CLOSE = 0.7
 #: Least cosine of a whole text that makes its file a licence file whatever its name.
@@ -123,8 +126,8 @@ def scan(files: DataFrame, key: str = "path") -> DataFrame:
 
     licensed_by is the path itself, or the directory whose licence file it comes from; both null without any.
     Of several licence files in a directory the one with the highest cosine counts, then the first license by
-    name. A null text is empty, a null path lies nowhere and inherits nothing. Rows that repeat are scanned each;
-    an empty table gives an empty result.
+    name. A null text is empty, a null path lies nowhere and inherits nothing. Rows that repeat are scanned each; texts of
+    any length are scanned whole; other columns are not read; an empty table gives an empty result.
     """
     base = files.select(F.col(key).alias("_key"), F.col("path").cast("string").alias("path"), F.col("text").cast("string").cast("binary").alias("text"))
     shared = files.sparkSession.sparkContext.broadcast(Matcher(*frequencies(base)))  # the templates
@@ -151,7 +154,12 @@ def scan(files: DataFrame, key: str = "path") -> DataFrame:
     ups = F.transform(F.sequence(F.lit(0), F.when(F.col("dir") == "", 0).otherwise(F.size(parts))), lambda n: F.array_join(F.slice(parts, F.lit(1), n), "/"))
     asked = dirs.select("dir", F.posexplode(ups).alias("depth", "above")).join(top, "above")
     near = asked.groupBy("dir").agg(F.max(F.struct("depth", "above", "given")).alias("n")).select("dir", F.col("n.above").alias("above"), F.col("n.given").alias("given"))
-    out = own.join(near, "dir", "left")
+    near = materialize(near, "directories")
+    if near.count() <= BROADCAST:
+        out = own.join(F.broadcast(near), "dir", "left")
+    else:  # a directory may hold very many files: they are dealt over several tasks
+        spread = near.withColumn("_deal", F.explode(F.sequence(F.lit(0), F.lit(SPREAD - 1))))
+        out = own.withColumn("_deal", F.pmod(F.xxhash64("_key", "path"), F.lit(SPREAD)).cast("int")).join(spread, ["dir", "_deal"], "left")
     by = F.when(F.col("own").isNotNull(), F.col("path")).otherwise(F.col("above"))
     return out.select(F.col("_key").alias(key if key != "path" else "file"), "path", F.col("own").alias("own_license"), F.col("score").alias("own_score"), F.coalesce("own", "given").alias("license"), by.alias("licensed_by"))
 
