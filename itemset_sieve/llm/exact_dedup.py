@@ -44,7 +44,7 @@ def recipes(docs: DataFrame, digest: Callable[[Column], Column] = sha) -> DataFr
     if bad.limit(1).count() == 0:
         return listed.withColumn("recipe", F.array_join("ids", " ")).drop("ids")
     # Where a digest clashes, the length and text of the chunk itself are its identifier.
-    each = docs.select("row", F.posexplode(chunks(F.col("norm"))).alias("at", "chunk")).withColumn("id", digest(F.col("chunk")))
+    each = docs.dropDuplicates(["row"]).select("row", F.posexplode(chunks(F.col("norm"))).alias("at", "chunk")).withColumn("id", digest(F.col("chunk")))
     each = each.join(bad.withColumn("bad", F.lit(True)), "id", "left")
     each = each.select("row", "at", F.when(F.col("bad"), F.concat_ws(":", "id", F.length("chunk"), "chunk")).otherwise(F.col("id")).alias("id"))
     made = each.groupBy("row").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("at", "id"))), lambda x: x["id"]), " ").alias("recipe"))
@@ -56,7 +56,8 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     Texts are equal when identical after lower-casing A-Z; null counts as empty; the largest id of a group
     stays. Of rows that repeat the same id, every one is returned with the same decision. An empty table
-    gives an empty result. A null id is never kept before a real one.
+    gives an empty result. A null id is never kept before a real one. Texts of any length are read whole; other columns
+    than the two are not read. Very many copies make one recipe's rows many: the join by recipe is left to adaptive skew handling.
     """
     base = docs.select(F.col(id_col).alias("doc_id"), ascii_lower(F.col(text_col)).alias("norm"))
     base = base.withColumn("row", F.struct(F.col("doc_id"), F.sha2("norm", 256)))

@@ -15,8 +15,8 @@ from .common import WORD
 
 #: No document is repeated more often, and no target is larger than this many times its source.
 MOST = 3
-#: Salts within a size class: a bound on how many documents of one class one task ranks.
-SALTS = 256
+#: Salts within a size class for every so many documents: a bound on how many documents of one class one task ranks.
+SALTS, DOCS = 256, 20_000_000
 SEED = "mix-1"
 
 
@@ -53,14 +53,21 @@ def size_class(size: Column) -> Column:
     return (bits * 16 + F.expr("shiftright(size, greatest(length(bin(size)) - 4, 0))")).cast("int")
 
 
-def mix(docs: DataFrame, most: int = MOST, salts: int = SALTS, seed: str = SEED) -> DataFrame:
-    """One row per document: the input's columns, size, source_size, target, copies, taken.
+RESULTS = ("size", "source_size", "target", "copies", "taken")
 
-    docs has doc_id, source and text, or text's size already as size. A null text has no words; a source
+
+def mix(docs: DataFrame, most: int = MOST, salts: int | None = None, seed: str = SEED, size: Column | None = None, prefix: str = "") -> DataFrame:
+    """One row per document: the input's columns, and size, source_size, target, copies, taken, with the prefix before each of these names.
+
+    docs has doc_id and source, and a text whose words are its size unless size is given. Columns of docs named like a result give way to it. A null text has no words; a source
     without words has target 0 and takes nothing; documents with equal sizes are told apart by their id;
-    rows with the same id and size may swap places but agree in what is taken overall. Empty in, empty out.
+    rows with the same id and size may swap places but agree in what is taken overall. Texts of any length are counted whole. Empty in, empty out.
     """
-    d = docs if "size" in docs.columns else docs.withColumn("size", words(F.col("text")))
+    salts = salts or SALTS * max(1, -(-docs.count() // DOCS))
+    given = [c for c in docs.columns if c not in {prefix + x for x in RESULTS}]
+    carried = {c: f"_in{i}" for i, c in enumerate(given) if c not in ("doc_id", "source")}
+    d = docs.select("doc_id", "source", *(F.col(f"`{c}`").alias(n) for c, n in carried.items()), (words(F.col("text")) if size is None else size).alias("size"))
+    kept = list(carried.values())
     d = d.withColumn("_class", size_class(F.col("size"))).withColumn("_salt", (hex_int(F.concat(F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 8) % salts).cast("int"))
     cells = d.groupBy("source", "_class", "_salt").agg(F.count(F.lit(1)).alias("_n"), F.sum("size").alias("_words"))
     classes = cells.groupBy("source", "_class").agg(F.sum("_n").alias("_cn"), F.sum("_words").alias("_cw"))
@@ -72,7 +79,7 @@ def mix(docs: DataFrame, most: int = MOST, salts: int = SALTS, seed: str = SEED)
     s = s.alias("s").join(c.alias("c"), F.expr("s.source <=> c.source AND s._class = c._class"))
     s = s.select("s.source", "s._class", "s._salt", (F.col("_sbefore") + F.col("_cbefore")).alias("_before"), "source_size", "target")
     d = d.withColumn("_rank", F.row_number().over(Window.partitionBy("source", "_class", "_salt").orderBy("size", "doc_id")))
-    keep = [F.col(f"d.{x}") for x in docs.columns if x != "size"]
+    keep = [F.col(f"d.{x}") for x in ("doc_id", "source", *kept)]
     j = d.alias("d").join(s.alias("s"), F.expr("d.source <=> s.source AND d._class = s._class AND d._salt = s._salt"))
     j = j.select(*keep, F.col("d.size"), "source_size", "target", (F.col("_before") + F.col("_rank")).alias("_k"))
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
@@ -80,13 +87,14 @@ def mix(docs: DataFrame, most: int = MOST, salts: int = SALTS, seed: str = SEED)
     j = j.withColumn("_r", rate).withColumn("_u", offset)
     crossed = F.floor(F.col("_k") * F.col("_r") + F.col("_u")) - F.floor((F.col("_k") - 1) * F.col("_r") + F.col("_u"))
     j = j.withColumn("copies", F.least(crossed, F.lit(most)).cast("long"))
-    return j.withColumn("taken", F.col("copies") * F.col("size")).drop("_k", "_r", "_u")
+    j = j.withColumn("taken", F.col("copies") * F.col("size"))
+    return j.select(*(F.col(carried.get(c, c)).alias(c) for c in given), *(F.col(c).alias(prefix + c) for c in RESULTS))
 
 
 SQL = f"""
 WITH d AS (SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '{WORD}')), 0)::BIGINT AS size FROM documents),
 k AS (SELECT *, length(bin(size)) * 16 + (size >> greatest(length(bin(size)) - 4, 0)) AS cls,
-      (('0x' || substr(md5('{SEED}' || doc_id::VARCHAR), 1, 8))::BIGINT) % {SALTS} AS salt FROM d),
+      (('0x' || substr(md5('{SEED}' || doc_id::VARCHAR), 1, 8))::BIGINT) % (SELECT {SALTS} * greatest(1, ceil(count(*) / {DOCS}.0))::BIGINT FROM d) AS salt FROM d),
 r AS (SELECT *, row_number() OVER (PARTITION BY source ORDER BY cls, salt, size, doc_id) AS k FROM k),
 s AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 w AS (SELECT *, (1 + (row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % 3)::BIGINT AS w, {MOST} * source_size AS cap FROM s),

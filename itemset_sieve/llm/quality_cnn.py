@@ -124,11 +124,12 @@ def training_rows(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS
     return [r["text"].encode() for r in rows], [r["q"] for r in rows]
 
 
-def scored(docs: DataFrame, net: Net) -> DataFrame:
-    """docs with the score of every whole text; null counts as empty, rows that repeat get the same score.
+def scored(docs: DataFrame, net: Net, name: str = "score") -> DataFrame:
+    """docs with the score of every whole text, of any length; null counts as empty, rows that repeat get the same score.
 
-    The score depends on the text's bytes alone; other columns pass through. An empty table gives an empty result.
+    The score depends on the text's bytes alone; other columns pass through, but for one of the score's name, which gives way. An empty table gives an empty result.
     """
+    docs = docs.drop(name)
     shared = docs.sparkSession.sparkContext.broadcast(net)  # a fixed size: WIDTH * 256 * FILTERS numbers
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -136,9 +137,9 @@ def scored(docs: DataFrame, net: Net) -> DataFrame:
         for batch in batches:
             texts = batch.column(batch.schema.get_field_index("text")).cast(pa.binary()).to_pylist()
             scores = pa.array([model.score(x or b"") for x in texts], pa.float64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, name])
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField("score", DoubleType())]))
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def judged(docs: DataFrame, labels: DataFrame) -> DataFrame:

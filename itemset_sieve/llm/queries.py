@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import ann, bpe, exact_dedup, html_extract, license_scan, mix, ngram_join, pitman_yor, quality_cnn, url_filter
 from .common import table
@@ -28,8 +29,7 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "source", "text")
-    sized = docs.select("doc_id", "source", mix.words(docs["text"]).alias("size"))
-    return mix.mix(sized).select("doc_id", "size", "source_size", "target", "taken")
+    return mix.mix(docs.select("doc_id", "source", mix.words(docs["text"]).alias("words")), size=F.col("words")).select("doc_id", "size", "source_size", "target", "taken")
 
 
 def op3_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -96,11 +96,26 @@ def test_clashing_digests_do_not_join_texts(spark):
     assert {r.doc_id: (r.keep_id, r.group_size) for r in weak.collect()} == {1: (3, 2), 2: (2, 1), 3: (3, 2), 4: (4, 1)}
 
 
+def test_repeated_rows_do_not_lengthen_recipes_where_digests_clash(spark):
+    df = spark.createDataFrame([(1, "abc", 0), (1, "abc", 1), (3, "ABC", 2), (4, "abd", 3)], "doc_id long, text string, recipe long")
+    weak = exact_dedup.exact_groups(df, digest=lambda c: F.substring(c, 1, 2)).collect()
+    assert sorted((r.doc_id, r.keep_id, r.group_size) for r in weak) == [(1, 3, 3), (1, 3, 3), (3, 3, 3), (4, 4, 1)]
+
+
 def test_dedup_plan_is_native(docs):
     plan = exact_dedup.exact_groups(docs)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
 
 
+def test_mix_leaves_clashing_columns_alone(spark):
+    rows = [(i, f"s{i % 2}", "a b c", 7, 8, 9) for i in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, text string, size long, target int, taken int")
+    plain = {r.doc_id: (r.size, r.copies) for r in mix.mix(df.select("doc_id", "source", "text")).collect()}
+    got = mix.mix(df, prefix="m_").collect()
+    assert all((r.size, r.target, r.taken) == (7, 8, 9) and (r.m_size, r.m_copies) == plain[r.doc_id] for r in got) and len(got) == 40
+    assert {r.doc_id: (r.size, r.copies) for r in mix.mix(df).collect()} == plain
+
+
 # HTML.
 
 PAGE = """<html><head><title>T</title><style>p{}</style><script>var t="</p>";</script></head><body><header>Site</header><nav><a href=/x>Menu</a></nav>
@@ -496,6 +511,16 @@ def test_rules_hosts_and_paths(spark):
     assert url_filter.judged(df.where("page_id < 0")).count() == 0
 
 
+def test_url_model_holds_on_urls_it_has_not_seen(spark):
+    rows = url_filter.labelled()
+    odds, unwanted = url_filter.held_out(rows), np.array([r[2] == 1 for r in rows])
+    assert 150 <= len(rows) <= 200 and np.mean([(odds[unwanted] > x).mean() for x in odds[~unwanted]]) > 0.85
+    shift = np.quantile(odds[~unwanted], 1 - url_filter.WRONG)
+    assert (odds[unwanted] > shift).mean() > 0.5
+    df = spark.createDataFrame([(1, "http://x.org/es/", "a", "b"), (1, "http://x.org/es/", "a", "b")], "page_id long, url string, host string, score string")
+    assert [(r.page_id, r.verdict) for r in url_filter.judged(df).collect()] == [(1, "block")] * 2
+
+
 # Nearest neighbours.
 
 
@@ -520,6 +545,26 @@ def test_recall_scores_and_ties(spark):
     assert [v for _, v, _ in sorted(got[0])] == [2000, 2001, 2002, 2003, 2004]
 
 
+def test_grouped_vectors_are_found_in_few_leaves_and_all_leaves_are_exact(spark):
+    rng = np.random.default_rng(2)
+    x = np.repeat(rng.normal(size=(300, 16)), 20, 0) + 0.1 * rng.normal(size=(6000, 16))
+    df = spark.createDataFrame([(i, [float(v) for v in r], 1) for i, r in enumerate(x)], "vec_id long, embedding array<double>, score int")
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    want = {}
+    for q in range(0, 6000, 50):
+        s = u @ u[q]
+        s[q] = -9
+        want[q] = set(np.argsort(-s)[:5].tolist())
+    for target, least in ((0.96, 0.9), (1.0, 1.0)):
+        got = collections.defaultdict(set)
+        for r in ann.nearest(df, target=target).collect():
+            got[r.query_id].add(r.vec_id)
+        assert sum(len(want[q] & got[q]) for q in want) >= least * 5 * len(want)
+    forest, ids = ann.Forest(u, 8, 6), np.arange(0, 6000, 97)
+    pops = ann.probed(df.select(F.col("vec_id").alias("id"), F.col("embedding").alias("v")), forest, ids, x[ids], 5, 0.96)
+    assert pops < 0.05 * forest.trees * forest.leaves
+
+
 def test_few_or_no_candidates(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 1.0])], "vec_id long, embedding array<float>")
     assert sorted((r.rank, r.vec_id) for r in ann.nearest(df).collect()) == [(1, 2), (2, 1)]
