@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Removes a write's shuffle files when it has ended; what is written needs them no more. A setting of the session.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Settings during a write: that, and small batches to and from Python, so that many long values at once take no memory.
+DURING = {CLEANUP: "true", "spark.sql.execution.arrow.maxBytesPerBatch": "8m"}
 _OWN: dict[str, str] = {}
 
 
@@ -31,12 +33,14 @@ def written(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
     """df, written once and read back: its lineage is cut and a lost executor loses nothing."""
     spark = df.sparkSession
     path = path or f"{scratch_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    before = spark.conf.get(CLEANUP, "false")
-    spark.conf.set(CLEANUP, "true")
+    before = {k: spark.conf.get(k) for k in DURING}
     try:
+        for k, v in DURING.items():
+            spark.conf.set(k, v)
         df.write.mode("overwrite").parquet(path)
     finally:
-        spark.conf.set(CLEANUP, before)
+        for k, v in before.items():
+            spark.conf.set(k, v)
     out = spark.read.schema(df.schema).parquet(path)
     out.scratch_path = path
     return out
