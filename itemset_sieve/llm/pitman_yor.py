@@ -20,7 +20,9 @@ answer every block with the probabilities of its pairs, and blocks add them up b
 
 from __future__ import annotations
 
+import ctypes
 import re
+import sys
 from collections import Counter
 from collections.abc import Iterator
 
@@ -38,7 +40,7 @@ D2, T2, D1, T1 = 0.75, 2.0, 0.6, 1.0
 #: Sweeps before the first sample, and samples whose predictive probabilities are averaged.
 BURN_IN, SAMPLES = 2, 3
 #: Tokens that make a block of documents, and a chunk of contexts; bytes of a text that are split at once. Bounds on memory.
-BLOCK, CHUNK, PIECE = 1_000_000, 1_500_000, 1 << 22
+BLOCK, CHUNK, PIECE = 800_000, 1_500_000, 1 << 21
 #: Different words that a task counts at once.
 WINDOW = 150_000
 #: Customers of a dish up to which table counts are drawn from the table of Stirling numbers; beyond, from the limit law.
@@ -47,6 +49,13 @@ SEED = 5
 SPACE = re.compile(rb"[\x20\x09-\x0D]")
 
 
+def trim() -> None:
+    """Gives memory that a task has freed back to the system: workers are kept, and wait beside those of other stages."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def packed(a: np.ndarray) -> bytes:
     """Numbers byte plane by byte plane, compressed."""
     planes = np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T) if len(a) else np.zeros(0, np.uint8)
@@ -154,6 +163,8 @@ def crowded(docs: DataFrame, chunk: int) -> tuple[int, dict[int, int]]:
                         yield given()
                         seen.clear()
         yield given()
+        seen.clear()
+        trim()
 
     counted = docs.select(F.col("text").cast("string").cast("binary")).mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
     rows = materialize(counted.where(f"h is null or n > {chunk // 2}"), "crowded").collect()  # fewer than two a chunk
@@ -216,26 +227,32 @@ def blocks_of(docs: DataFrame, deal: Deal) -> DataFrame:
             rank[order] = np.arange(len(order))
             names = names[order]
             lens = np.array([len(x[3]) for x in held])
-            dish = rank[np.concatenate([x[3] for x in held])]
-            ctx = np.empty_like(dish)
-            ctx[1:] = dish[:-1]
-            ctx[np.cumsum(lens) - lens] = rank[[x[4] for x in held]]
-            key = ctx * len(names) + dish
-            del ctx, dish
-            by = np.argsort(key, kind="stable")
+            key = np.concatenate([x[3] for x in held])
+            dish = rank[key].astype(np.int32)
+            key = np.empty(len(dish), np.int64)  # context and dish in one number
+            key[1:] = dish[:-1]
+            key[np.cumsum(lens) - lens] = rank[[x[4] for x in held]]
+            key *= len(names)
+            key += dish
+            del dish
+            by = np.argsort(key, kind="stable").astype(np.int32)
             key = key[by]
-            doc = np.repeat(np.arange(len(held)), lens)[by]
+            doc = np.repeat(np.arange(len(held), dtype=np.int32), lens)[by]
+            del by
             starts = np.nonzero(np.concatenate([[True], key[1:] != key[:-1]]))[0]
-            times = np.diff(np.append(starts, len(key)))
-            learnt = np.add.reduceat(np.array([x[2] for x in held], np.int64)[doc], starts)
-            ctx, dish = np.divmod(key[starts], len(names))
-            del key, by
-            chunk = deal.of(names, ctx, dish)
+            key = key[starts]
+            times = np.diff(np.append(starts, len(doc))).astype(np.int32)
+            learnt = np.add.reduceat(np.array([x[2] for x in held], np.int32)[doc], starts)
+            ctx, dish = (x.astype(np.int32) for x in np.divmod(key, len(names)))
+            del key
+            chunk = deal.of(names, ctx, dish).astype(np.int32)
             by = np.argsort(chunk, kind="stable")
-            ctx, dish, chunk, learnt = ctx[by], dish[by], chunk[by], learnt[by]
-            where = starts[by]
-            times = times[by]
-            doc = doc[np.repeat(where - np.cumsum(times) + times, times) + np.arange(len(doc))]
+            ctx, dish, chunk, learnt, times, where = ctx[by], dish[by], chunk[by], learnt[by], times[by], starts[by]
+            del by, starts
+            place = np.arange(len(doc), dtype=np.int32)
+            place += np.repeat((where - np.cumsum(times, dtype=np.int64) + times).astype(np.int32), times)
+            doc = doc[place]
+            del place, where
             ids = np.array([x[1] or 0 for x in held], "<i8")
             null = np.array([x[1] is None for x in held], "u1")
             rows = [(-1, block, packed(np.array([x[0] for x in held], "<i8")) , packed(ids) + null.tobytes(), packed(lens.astype("<u4")), packed(times.astype("<u4")), packed(doc.astype("<u2" if len(held) <= 1 << 16 else "<u4")))]
@@ -265,6 +282,7 @@ def blocks_of(docs: DataFrame, deal: Deal) -> DataFrame:
                         yield from given()
         if held:
             yield from given()
+        trim()
 
     d = docs.select(F.col("doc_id").cast("long"), F.coalesce(fold(F.col("doc_id")) % 7 == 2, F.lit(False)).alias("out"), F.col("text").cast("string").cast("binary"))
     return d.mapInArrow(run, ROWS)
@@ -295,6 +313,8 @@ def merged(dealt: DataFrame) -> DataFrame:
         rows = [(chunk, -1, names.astype("<u8").tobytes(), packed(np.bincount(ctx, minlength=len(names)).astype("<u4")), words.astype("<u8").tobytes(), packed(dish.astype("<u4")), packed(c))]
         for block, some in zip(col("block"), np.split(at, ends[:-1])):
             rows.append((chunk, block, packed(np.diff(some, prepend=0).astype("<u4")), b"", b"", b"", b""))
+        del key, at, ctx, dish, pairs
+        trim()
         return pa.Table.from_batches([batch_of(rows, ROWS)])
 
     return dealt.groupBy(F.when(F.col("chunk") < 0, -1 - F.col("block")).otherwise(F.col("chunk")).alias("key")).applyInArrow(join, ROWS)
