@@ -54,7 +54,19 @@ class Family:
     def empty(self, m: int) -> np.ndarray:
         raise NotImplementedError
 
+    def view(self, bits: np.ndarray, block: int) -> np.ndarray:
+        """Of the bitmaps of items in a block, what partial_of() has to see of itemsets' conjunctions."""
+        return bits
+
+    def blocks(self) -> list[int] | None:
+        """Blocks that hashing has to read, if these are few."""
+        return None
+
     def partial(self, bits: np.ndarray, block: int) -> np.ndarray:
+        """What a block with these bitmaps of itemsets contributes."""
+        return self.partial_of(self.view(bits, block), block)
+
+    def partial_of(self, seen: np.ndarray, block: int) -> np.ndarray:
         raise NotImplementedError
 
     def combine(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:

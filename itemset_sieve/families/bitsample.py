@@ -10,9 +10,13 @@ import math
 
 import numpy as np
 
+from ..operators.vertical import BLOCK
 from ..plans import params
 from .base import Family, scramble
 
+#: Blocks that are named in the scan's filter at most.
+FEW = 1000
+
 
 class BitSample(Family):
     name = "bitsample"
@@ -60,11 +64,25 @@ class BitSample(Family):
             out[:, self.table[pick][starts]] = np.bitwise_xor.reduceat(np.where(on, self.salt[pick][None, :], np.uint64(0)), starts, axis=1)
         return out
 
-    def partial(self, bits: np.ndarray, block: int) -> np.ndarray:
+    def picked(self, block: int) -> tuple[np.ndarray, np.ndarray]:
+        """Samples that fall into a block, and their places in it."""
         tids = self.transactions(block)
         pick = np.nonzero((self.pos >= tids[0]) & (self.pos <= tids[-1]))[0] if len(tids) else np.zeros(0, int)
-        at = self.pos[pick] - (tids[0] if len(tids) else 0)
-        return self._fold((bits[:, at >> 3] >> (at & 7).astype(np.uint8)) & 1 > 0, pick)
+        return pick, self.pos[pick] - (tids[0] if len(tids) else 0)
+
+    def blocks(self) -> list[int] | None:
+        few = np.unique(self.pos[self.pos < self.facts.n] // BLOCK)
+        return few.tolist() if len(few) <= FEW else None
+
+    def view(self, bits: np.ndarray, block: int) -> np.ndarray:
+        """The sampled transactions alone, packed: all that itemsets are combined on."""
+        at = np.unique(self.picked(block)[1])
+        return np.packbits((bits[:, at >> 3] >> (at & 7).astype(np.uint8)) & 1, axis=1, bitorder="little")
+
+    def partial_of(self, seen: np.ndarray, block: int) -> np.ndarray:
+        pick, at = self.picked(block)
+        at = np.unique(at, return_inverse=True)[1]
+        return self._fold((seen[:, at >> 3] >> (at & 7).astype(np.uint8)) & 1 > 0, pick)
 
     def combine(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         return a ^ b

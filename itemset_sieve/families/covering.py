@@ -18,6 +18,9 @@ import numpy as np
 from ..plans import params
 from .base import Family, scramble
 
+#: Positions of the padding that are hashed at once.
+AT_ONCE = 1 << 18
+
 
 class Covering(Family):
     name = "covering"
@@ -72,7 +75,7 @@ class Covering(Family):
             out[i, cell[starts]] = np.bitwise_xor.reduceat(np.where(on[i][order], number, np.uint64(0)), starts)
         return out
 
-    def partial(self, bits: np.ndarray, block: int) -> np.ndarray:
+    def partial_of(self, bits: np.ndarray, block: int) -> np.ndarray:
         tids = self.transactions(block)
         return self._fold(np.unpackbits(bits, axis=1, bitorder="little")[:, : len(tids)] > 0, tids, len(bits))
 
@@ -81,9 +84,14 @@ class Covering(Family):
 
     def finish(self, whole: np.ndarray, supports: np.ndarray, side: str) -> np.ndarray:
         start, ones = self.reach(supports, side)
-        most = int(ones.max(initial=0))
-        offsets = np.arange(most)
-        whole = whole ^ self._fold(offsets[None, :] < ones[:, None], start + offsets, len(whole))
+        whole, run, done = whole.copy(), self.empty(1)[0], 0
+        for i in np.argsort(ones, kind="stable"):  # exclusive ors of ever longer prefixes of the padding
+            while done < ones[i]:
+                until = min(int(ones[i]), done + AT_ONCE)
+                cell, number = self.places(np.arange(start + done, start + until))
+                np.bitwise_xor.at(run, cell, number)
+                done = until
+            whole[i] ^= run
         x = whole.reshape(len(whole), self.b, self.cells)
         # keys[v]: numbers of all labels whose product with v is odd, from those with an even one for each bit.
         zero = x.copy()

@@ -1,7 +1,8 @@
 """Minwise hashing: a summary keeps, for each of lambda permutations, the position that comes first.
 
 Permutations are seeded hashes of positions; a slot holds the smallest hash, which stands for its position.
-The ones of a padding are the first of a block, so their smallest hash is a running minimum, computed once.
+The ones of a padding are the first of a block, so their smallest hash is a running minimum. Only its records are
+drawn, some ln A of them a slot: the next one is a geometric number of positions away and uniform below the last.
 """
 
 from __future__ import annotations
@@ -47,7 +48,7 @@ class MinWise(Family):
     def empty(self, m: int) -> np.ndarray:
         return np.full((m, self.slots), np.iinfo(np.uint64).max, np.uint64)
 
-    def partial(self, bits: np.ndarray, block: int) -> np.ndarray:
+    def partial_of(self, bits: np.ndarray, block: int) -> np.ndarray:
         out, tids = self.empty(len(bits)), self.transactions(block)
         on = [np.nonzero(np.unpackbits(row, bitorder="little")[: len(tids)])[0] for row in bits]
         for lo in range(0, self.slots, CHUNK):
@@ -68,10 +69,14 @@ class MinWise(Family):
             return whole
         out = whole.copy()
         for lo in range(0, self.slots, CHUNK):
-            some = range(lo, min(lo + CHUNK, self.slots))
-            first = np.minimum.accumulate(self.hashes(np.arange(start, start + most), some), axis=1)
-            padded = np.where(ones[:, None] > 0, first[:, np.maximum(ones - 1, 0)].T, np.iinfo(np.uint64).max)
-            out[:, lo : lo + len(some)] = np.minimum(out[:, lo : lo + len(some)], padded)
+            own = out[:, lo : lo + CHUNK]
+            rng = np.random.default_rng([self.seed, lo, side == "query"])
+            at, value = np.zeros(own.shape[1]), rng.random(own.shape[1])
+            while (at < most).any():
+                hash_ = (value * 2.0**64).astype(np.uint64)
+                np.minimum(own, hash_[None, :], out=own, where=at[None, :] < ones[:, None])
+                at += np.maximum(1, np.ceil(np.log(1 - rng.random(len(at))) / np.log1p(-np.maximum(value, 1e-300))))
+                value *= rng.random(len(at))
         return out
 
     def band_keys(self, summary: np.ndarray) -> np.ndarray:

@@ -72,9 +72,9 @@ def hashed(members: np.ndarray, supports: np.ndarray, store: Store, family: Fami
         whole: dict[int, np.ndarray] = {}
         for batch in batches:
             for block, names, bits in zip(*(c.to_pylist() for c in batch.columns)):
-                matrix = block_matrix(names, bits, items)
+                matrix = fam.view(block_matrix(names, bits, items), block)
                 for lo in range(0, len(x), piece):
-                    own = fam.partial(conjunction(matrix, x[lo : lo + piece]), block)
+                    own = fam.partial_of(conjunction(matrix, x[lo : lo + piece]), block)
                     whole[lo] = fam.combine(whole[lo], own) if lo in whole else own
         for lo, a in whole.items():
             yield pa.RecordBatch.from_arrays([pa.array([lo], pa.int64()), pa.array([a.tobytes()], pa.binary())], names=["lo", "part"])
@@ -97,7 +97,10 @@ def hashed(members: np.ndarray, supports: np.ndarray, store: Store, family: Fami
         cols = list(zip(*rows))
         return pa.table({"iid": pa.array(cols[0], pa.int64()), "side": pa.array(cols[1]), "keys": pa.array(cols[2], pa.binary()), "slots": pa.array(cols[3], pa.binary())})
 
-    parts = store.blocks.select("block", "items", "bits").mapInArrow(part, "lo long, part binary")
+    read = store.blocks.select("block", "items", "bits")
+    if family.blocks():
+        read = read.where(F.col("block").isin(family.blocks()))
+    parts = read.mapInArrow(part, "lo long, part binary")
     return parts.groupBy("lo").applyInArrow(finish, "iid long, side string, keys binary, slots binary")
 
 
@@ -171,7 +174,8 @@ def stop_early(meetings: DataFrame, similar: DataFrame, tries: int) -> DataFrame
     return ranked.where((F.col("rn") <= tries) | (F.col("earlier") == 1)).drop("hit", "rn", "earlier")
 
 
-def neighbours(pairs: DataFrame, itemset: list[int]) -> DataFrame:
-    """The partners of one itemset among pairs(parent_a, parent_q)."""
+def neighbours(pairs: DataFrame, itemset: list[int], frequent: DataFrame | None = None) -> DataFrame:
+    """The partners of one itemset among pairs(parent_a, parent_q): with frequent(items), those whose union with it is frequent."""
+    pairs = pairs if frequent is None else pairs.join(frequent.select("items"), "items", "left_semi")
     me = F.array(*[F.lit(i).cast("int") for i in sorted(itemset)])
     return pairs.where((F.col("parent_a") == me) | (F.col("parent_q") == me)).select(F.when(F.col("parent_a") == me, F.col("parent_q")).otherwise(F.col("parent_a")).alias("partner"), "items")

@@ -73,9 +73,8 @@ def build(pairs: DataFrame, theta: float | str, universe: int | None = None) ->
     def pack(table: pa.Table) -> pa.Table:
         tid, item = table.column("tid").to_numpy() - 1, table.column("item").to_numpy()
         names, at = np.unique(item, return_inverse=True)
-        bits = np.zeros((len(names), BLOCK), bool)
-        bits[at, tid % BLOCK] = True
-        packed = np.packbits(bits, axis=1, bitorder="little")
+        packed, place = np.zeros((len(names), BLOCK // 8), np.uint8), tid % BLOCK
+        np.bitwise_or.at(packed, (at, place >> 3), (1 << (place & 7)).astype(np.uint8))
         return pa.table({"block": pa.array([int(tid[0] // BLOCK)], pa.int64()), "items": pa.array([names.tolist()], pa.list_(pa.int32())), "bits": pa.array([packed.tobytes()], pa.binary())})
 
     block = long.withColumn("b", F.floor((F.col("tid") - 1) / BLOCK))

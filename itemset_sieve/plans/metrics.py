@@ -81,6 +81,17 @@ def missed(truth: DataFrame, got: DataFrame) -> DataFrame:
     return lost.join(per, "items", "left").withColumn("lost_subsets", F.coalesce("lost_subsets", F.lit(0)))
 
 
+def per_query(met: DataFrame, compatible: DataFrame, frequent: DataFrame) -> DataFrame:
+    """query, partners, frequent, met, fp, fn, tn of every itemset as a query: of met(parent_q, parent_a, items) among the pairs
+    compatible(parent_a, parent_q, items), with frequent(items) the truth."""
+    both = compatible.select(F.col("parent_q").alias("query"), F.col("parent_a").alias("partner"), "items")
+    both = both.union(compatible.select("parent_a", "parent_q", "items"))
+    seen = met.select(F.col("parent_q").alias("query"), F.col("parent_a").alias("partner"), F.lit(1).alias("m")).distinct()
+    each = both.join(frequent.select("items", F.lit(1).alias("f")), "items", "left").join(seen, ["query", "partner"], "left")
+    m, f = F.coalesce("m", F.lit(0)), F.coalesce("f", F.lit(0))
+    return each.groupBy("query").agg(F.count(F.lit(1)).alias("partners"), F.sum(f).alias("frequent"), F.sum(m).alias("met"), F.sum(m * (1 - f)).alias("fp"), F.sum((1 - m) * f).alias("fn"), F.sum((1 - m) * (1 - f)).alias("tn"))
+
+
 def confusion(truth: DataFrame, got: DataFrame) -> DataFrame:
     """level, both, missed, false, recall, precision."""
     t, g = truth.select("items", F.lit(1).alias("t")), got.select("items", F.lit(1).alias("g"))

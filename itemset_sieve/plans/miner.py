@@ -7,6 +7,7 @@ written, so plans don't grow and a run goes on from its last level.
 from __future__ import annotations
 
 import json
+import time
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -18,7 +19,7 @@ from ..operators import candidates as cand
 from ..operators import support
 from ..operators.vertical import Store, build
 from ..schemas import ITEMSETS, LEVEL, STATS
-from ..scratch import scratch_dir, written
+from ..scratch import written
 from . import metrics, params
 from .params import Facts
 
@@ -59,12 +60,15 @@ def family_for(method: str, f: Facts, seed: int, options: dict) -> Family:
 def step(store: Store, level: DataFrame, size: int, method: str, f: Facts, seed: int, early_stop: bool, verify: str, prune: bool, support_mode: str, options: dict, stats: bool) -> tuple[DataFrame, dict]:
     """The next level from a level, and what it took."""
     row: dict = {"level": size + 1, "method": method, "m": f.m, "max_support": f.A, "phi": float(f.n), "phi_measured": float(f.n), "overhead": 0.0, "signatures": 0, "params": {}}
+    if verify not in ("inline", "after"):
+        raise ValueError(verify)
+    inline, truth = verify == "inline" and method in ("bitsample", "covering"), None
     if method == "exact":
         pairs = written(cand.join_compatible(level), "pairs")
         family = None
     else:
         members, supports = level_arrays(level)
-        family = family_for(method, f, seed, options)
+        family, began = family_for(method, f, seed, options), time.perf_counter()
         if early_stop and not isinstance(family, MinWise):
             met = written(cand.join_hashed(members, supports, store, family, directions=True), "meetings")
             frequent = support.count(met, store, support_mode).where(F.col("support") >= store.s_min)
@@ -73,20 +77,29 @@ def step(store: Store, level: DataFrame, size: int, method: str, f: Facts, seed:
         else:
             pairs = cand.join_hashed(members, supports, store, family)
         pairs = written(pairs, "pairs")
+        row |= {"hash_seconds": time.perf_counter() - began, "signature_bytes": 16 * f.m * family.width}
         row |= {"phi": float(family.phi()), "phi_measured": float(family.phi_measured()), "overhead": 2.0 * f.m * family.phi_measured(), "signatures": 2 * f.m * family.width, "params": {k: float(v) for k, v in family.params().items() if np.isfinite(v)}}
-    chosen = cand.prune_by_subsets(pairs, level) if prune else pairs.select("items").distinct()
-    counted = written(support.count(chosen, store, support_mode), "counted")
-    found = written(counted.where(F.col("support") >= store.s_min), "level")
+    if inline:  # pairs that meet are verified as they meet: what is left of them is the next level, and nothing is counted after
+        met = pairs
+        checked = support.count(met, store, support_mode).where(F.col("support") >= store.s_min)
+        verified = written(met.join(checked, "items"), "verified")
+        found = written(verified.select("items", "support").distinct(), "level")
+        row["counted_after"] = 0
+    else:
+        chosen = cand.prune_by_subsets(pairs, level) if prune else pairs.select("items").distinct()
+        counted = written(support.count(chosen, store, support_mode), "counted")
+        found = written(counted.where(F.col("support") >= store.s_min), "level")
+        row["counted_after"] = counted.count() if stats else None
     if stats:
         every = pairs if method == "exact" else written(cand.join_compatible(level), "pairs")
-        good = every.join(found.select("items"), "items", "left_semi")
-        kept_good = pairs.join(found.select("items"), "items", "left_semi").count()
-        c, kept, frequent_pairs = every.count(), pairs.count(), good.count()
-        row |= {"pairs": c, "candidate_itemsets": every.select("items").distinct().count(), "kept_pairs": kept, "kept_itemsets": pairs.select("items").distinct().count(), "found": found.count(), "fp": 2 * (kept - kept_good), "tn": 2 * (c - frequent_pairs - (kept - kept_good))}
+        # What is frequent is counted on all compatible pairs: what a method misses is no true negative.
+        truth = found if method == "exact" else written(support.count(every, store, support_mode).where(F.col("support") >= store.s_min), "truth")
+        good = every.join(truth.select("items"), "items", "left_semi").count()
+        kept_good = pairs.join(truth.select("items"), "items", "left_semi").count()
+        c, kept = every.count(), pairs.count()
+        row |= {"pairs": c, "candidate_itemsets": every.select("items").distinct().count(), "kept_pairs": kept, "kept_itemsets": pairs.select("items").distinct().count(), "found": found.count()}
+        row |= {"frequent_pairs": good, "fp": 2 * (kept - kept_good), "fn": 2 * (good - kept_good), "tn": 2 * (c - good - (kept - kept_good))}
         row["savings"] = (f.n - row["phi_measured"]) * row["tn"] if family is not None else 0.0
-    if verify not in ("inline", "after"):
-        raise ValueError(verify)
-    row["params"] |= {"verified_inline": float(verify == "inline" and method in ("bitsample", "covering"))}
     return found, row
 
 
@@ -99,9 +112,11 @@ def mine(
 
     method: exact, bitsample, minwise, covering, or auto, which picks per level the method that is sure to save
     most reads, else exact; method_by_level overrides it from a level on. eta bounds the miss probability of an
-    itemset over the whole run in place of delta. Exact and covering miss nothing unless early_stop; bitsample and
+    itemset over the whole run, up to max_level or else 8 levels, in place of delta. Exact and covering miss nothing unless early_stop; bitsample and
     minwise miss a pair with probability delta. What is found is always frequent. Empty data, or a threshold above
-    every support, give an empty result. With checkpoint, levels are kept there and a second call goes on.
+    every support, give an empty result. verify: inline has bit sampling and covering verify pairs as they meet, so that what remains is the next
+    level; after counts all candidates in a pass of its own, after pruning if asked for; exact and minwise always do. With checkpoint, levels are kept there
+    and a second call goes on; levels of another table, threshold or method are refused.
     """
     store = data if isinstance(data, Store) else build(data, theta, universe)
     spark = store.spark
@@ -110,23 +125,27 @@ def mine(
     exact_theta = store.s_min / max(store.n, 1)
     level = store.items.where(F.col("freq") >= store.s_min).select(F.array("item").alias("items"), F.col("freq").alias("support"))
     out, rows, size = [], [], 1
-    root = checkpoint or f"{scratch_dir(spark)}/mining"
     manifest = f"{checkpoint}/manifest" if checkpoint else None
-    done = 0
+    done, run = 0, None
     if manifest:
+        items, total = store.items.agg(F.count(F.lit(1)), F.sum("freq")).first()
+        run = json.dumps({"n": store.n, "s_min": store.s_min, "items": items, "total": total, "method": method, "by_level": method_by_level, "seed": seed, "eps": eps, "delta": delta, "early_stop": early_stop, "verify": verify, "prune": prune_subsets, "options": options}, default=str, sort_keys=True)
         try:
-            done = spark.read.json(manifest, schema="level int").agg(F.max("level")).first()[0] or 0
+            before = spark.read.json(manifest, schema="level int, run string").groupBy("run").agg(F.max("level").alias("level")).collect()  # one run's
         except Exception as e:  # a first run has no manifest
             if "PATH_NOT_FOUND" not in str(e):
                 raise
-    del root
+            before = []
+        if any(r["run"] != run for r in before):
+            raise ValueError(f"{checkpoint} holds levels of another run: {before[0]['run']}")
+        done = max((r["level"] for r in before), default=0)
     while True:
         if checkpoint and size <= done:
             level = spark.read.schema(LEVEL).parquet(f"{checkpoint}/level={size}")
         else:
             level = written(level, "level", f"{checkpoint}/level={size}" if checkpoint else None)
             if manifest:
-                spark.createDataFrame([(json.dumps({"level": size, "theta": str(theta), "method": method, "seed": seed}),)], "value string").write.mode("append").text(manifest)
+                spark.createDataFrame([(json.dumps({"level": size, "run": run}),)], "value string").write.mode("append").text(manifest)
         m, most = level.agg(F.count(F.lit(1)), F.max("support")).first()
         if not m:
             break

@@ -17,7 +17,7 @@ from ..operators.vertical import Store, baskets, build, min_support
 from ..scratch import scratch_dir, written
 from ..sources import load
 from . import metrics, oracle, padding, params
-from .miner import MiningResult, level_arrays, mine
+from .miner import MiningResult, exists_size, level_arrays, mine
 from .params import Facts
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -257,6 +257,9 @@ hashed("covering_radius0_e4", "e4", "covering", mode="exact_radius0")
 hashed("covering_itemsets_e1", "e1", "covering")
 hashed("covering_itemsets_e6", "e6", "covering")
 hashed("auto_itemsets_e2", "e2", "auto")
+hashed("auto_itemsets_e4", "e4", "auto")
+hashed("bitsample_after_e4", "e4", "bitsample", verify="after")
+hashed("covering_after_e4", "e4", "covering", verify="after", prune_subsets=True)
 hashed("by_level_e4", "e4", "exact", method_by_level={1: "exact", 3: "minwise", 4: "covering"})
 hashed("bitsample_printed_rounding_e2", "e2", "bitsample", rounding="ceil", top=1, sql=oracle.mined("e2", "0.02", 1))
 # The one above ends at level 1, as its SQL does, before any key is hashed; this one mines all levels by printed rounding.
@@ -291,7 +294,7 @@ def _balance(method: str, enc: str, **options: object) -> Query:
     """fp + tn = 2 (pairs - frequent pairs) of every level, with its cost measures."""
     def run(spark: SparkSession, d: str) -> DataFrame:
         s = mine(store(spark, d, enc), method=method, stats=True, delta=0.1, **options).stats
-        return s.select("level", "method", "m", "max_support", "pairs", "kept_pairs", "found", "fp", "tn", "signatures", "phi", "phi_measured", "overhead", "savings", (F.col("savings") - F.col("overhead")).alias("net"))
+        return s.select("level", "method", "m", "max_support", "pairs", "kept_pairs", "found", "frequent_pairs", "fp", "fn", "tn", "signatures", (F.col("hash_seconds") / (2 * F.col("m"))).alias("tau"), (F.col("signature_bytes") / (2 * F.col("m"))).alias("sigma"), "phi", "phi_measured", "overhead", "savings", (F.col("savings") - F.col("overhead")).alias("net"))
 
     return run
 
@@ -331,7 +334,7 @@ def _sweep(name: str, enc: str, settings: list[tuple[str, dict]]) -> None:
         return spark.createDataFrame(rows, "setting string, method string, recall double, propagated long, kept_pairs long, pairs long, overhead double, savings double")
 
 
-_sweep("sweep_delta_e4", "e4", [(f"{m} delta={x}", {"method": m, "delta": x}) for m in ("bitsample", "minwise") for x in (0.3, 0.1, 0.01)])
+_sweep("sweep_delta_e4", "e4", [(f"{m} delta={x}", {"method": m, "delta": x}) for m in ("bitsample", "minwise") for x in (0.3, 0.1, 0.01, 1e-6)])
 _sweep("sweep_eps_e4", "e4", [(f"{m} eps={x}", {"method": m, "eps": x, "delta": 0.1}) for m in ("bitsample", "minwise") for x in (0.1, 0.3, 0.7)])
 _sweep("sweep_lambda_e4", "e4", [(f"slots={x} {mode}", {"method": "minwise", "lambda_override": x, "mode": mode, "delta": 0.1}) for mode in ("scan", "banded") for x in (50, 200, 800)])
 _sweep("sweep_early_stop_e6", "e6", [(f"{m} stop={x}", {"method": m, "early_stop": x, "delta": 0.1}) for m in ("bitsample", "covering") for x in (False, True)])
@@ -349,7 +352,7 @@ def _unpadded(spark: SparkSession, d: str) -> DataFrame:
     ways = {"bitsample": candidates.join_hashed(members, s, st, BitSample(f)), "bitsample_plain": baselines.bitsample_unpadded(st), "minwise": candidates.join_hashed(members, s, st, MinWise(f)), "minwise_plain": baselines.minwise_unpadded(st)}
     out = None
     for way, pairs in ways.items():
-        x = pairs.select("items").distinct().join(truth.withColumn("t", F.lit(1)), "items", "full_outer" if False else "left").agg(F.lit(way).alias("way"), F.count(F.lit(1)).alias("kept"), F.coalesce(F.sum("t"), F.lit(0)).alias("frequent"))
+        x = pairs.select("items").distinct().join(truth.withColumn("t", F.lit(1)), "items", "left").agg(F.lit(way).alias("way"), F.count(F.lit(1)).alias("kept"), F.coalesce(F.sum("t"), F.lit(0)).alias("frequent"))
         out = x if out is None else out.union(x)
     return out
 
@@ -413,8 +416,58 @@ def _cluster(spark: SparkSession, d: str) -> DataFrame:
 
 
 query("sequences_users")(lambda spark, d: rules.sequences(load(spark, d, "events", "event_id", "ts", "user_id", "event_type"), 0.3, 3).select(F.to_json("sequence").alias("sequence"), "freq"))
-query("neighbours_e4")(lambda spark, d: named(candidates.neighbours(candidates.join_compatible(level_of(r := exact(spark, d, "e4"), 1)), [0]), r.store, "partner"))
-query("exists_three_e4", "SELECT true AS found")(lambda spark, d: exact(spark, d, "e4").itemsets.where("level = 3").limit(1).select(F.lit(True).alias("found")))
+# Itemsets that combine with the most frequent item to a frequent one; covering keys find the same, since they miss nothing.
+_PARTNERS = oracle.levels("e4", "0.45", 2) + ", t AS (SELECT label FROM f ORDER BY s DESC, label LIMIT 1) SELECT CASE WHEN its[1] = label THEN its[2] ELSE its[1] END AS partner, c AS support FROM l2, t WHERE list_contains(its, label)"
+
+
+def _neighbours(spark: SparkSession, d: str, hashed: bool) -> DataFrame:
+    r = exact(spark, d, "e4")
+    one, two = level_of(r, 1), level_of(r, 2)
+    if hashed:
+        members, supports = level_arrays(one)
+        f = Facts(r.store.n, r.store.s_min, len(members), int(supports.max()), r.store.s_min / r.store.n, 0.3, 1e-6)
+        pairs = candidates.join_hashed(members, supports, r.store, Covering(f))
+    else:
+        pairs = candidates.join_compatible(one)
+    return named(candidates.neighbours(pairs, [0], two).join(two, "items"), r.store, "partner", key=("support",))
+
+
+query("neighbours_e4", _PARTNERS)(lambda spark, d: _neighbours(spark, d, False))
+query("neighbours_hashed_e4", _PARTNERS)(lambda spark, d: _neighbours(spark, d, True))
+query("exists_three_e4", oracle.levels("e4", "0.45", 3) + " SELECT count(*) > 0 AS found FROM l3")(lambda spark, d: spark.createDataFrame([(exists_size(store(spark, d, "e4"), None, 3),)], "found boolean"))
+query("confusion_covering_e4", _ALL4 + " SELECT level::INT AS level, count(*)::BIGINT AS both, 0::BIGINT AS missed, 0::BIGINT AS false, 1.0::DOUBLE AS recall, 1.0::DOUBLE AS precision FROM a GROUP BY level")(
+    lambda spark, d: metrics.confusion(exact(spark, d, "e4").itemsets, mine(store(spark, d, "e4"), method="covering").itemsets).select("level", *[F.col(c).cast("long").alias(c) for c in ("both", "missed", "false")], "recall", "precision")
+)
+
+
+@query("recall_by_level_e4")
+def _recall(spark: SparkSession, d: str) -> DataFrame:
+    """Recall of each level beside what the method promises: a frequent itemset of l items is missed with probability of at most delta 2^l."""
+    truth, out = exact(spark, d, "e4").itemsets, None
+    for method in ("bitsample", "minwise", "covering"):
+        for delta in (0.1, 1e-3):
+            c = metrics.confusion(truth, mine(store(spark, d, "e4"), method=method, delta=delta).itemsets)
+            c = c.select(F.lit(method).alias("method"), F.lit(delta).alias("delta"), "level", "both", "missed", "recall", F.greatest(F.lit(0.0), 1 - delta * F.pow(F.lit(2.0), "level")).alias("promised"))
+            out = c if out is None else out.unionByName(c)
+    return out
+
+
+@query("per_query_costs_e4")
+def _per_query(spark: SparkSession, d: str) -> DataFrame:
+    """For every single word as a query: partners met, of these frequent and not, and partners rightly passed by, with bit sampling."""
+    r = exact(spark, d, "e4")
+    one, two = level_of(r, 1), level_of(r, 2)
+    members, supports = level_arrays(one)
+    f = Facts(r.store.n, r.store.s_min, len(members), int(supports.max()), r.store.s_min / r.store.n, 0.3, 0.1)
+    met = candidates.join_hashed(members, supports, r.store, BitSample(f), directions=True)
+    return named(metrics.per_query(met, candidates.join_compatible(one), two), r.store, "query", key=("partners", "frequent", "met", "fp", "fn", "tn"))
+
+
+for _e, _top in (("e2", 2), ("e4", 6), ("e6", 2)):
+    _levels = oracle.levels(_e, THETA[_e], _top + 1) + " " + " UNION ALL ".join(
+        f"SELECT {k + 1}::INT AS level, (SELECT count(*) FROM l{k})::BIGINT AS m, count(*)::BIGINT AS pairs, count(*) FILTER (its IN (SELECT its FROM l{k + 1}))::BIGINT AS frequent_pairs, (SELECT count(*) FROM l{k + 1})::BIGINT AS found, 0::BIGINT AS fn FROM {oracle.compatible(k)} HAVING count(*) > 0" for k in range(1, _top + 1)
+    )
+    query(f"level_truth_{_e}", _levels)(lambda spark, d, e=_e: mine(store(spark, d, e), method="covering" if e != "e2" else "exact", stats=True).stats.where("pairs > 0").select("level", "m", "pairs", "frequent_pairs", "found", "fn"))
 
 # Relational operators.
 

@@ -11,7 +11,7 @@ SIGNATURES = T.StructType([T.StructField("iid", T.LongType()), T.StructField("ta
 CANDIDATES = T.StructType([T.StructField("items", T.ArrayType(T.IntegerType())), T.StructField("parent_a", T.ArrayType(T.IntegerType())), T.StructField("parent_q", T.ArrayType(T.IntegerType()))])
 STATS = T.StructType(
     [T.StructField("level", T.IntegerType()), T.StructField("method", T.StringType())]
-    + [T.StructField(c, T.LongType()) for c in ("m", "max_support", "pairs", "candidate_itemsets", "kept_pairs", "kept_itemsets", "found", "fp", "tn", "signatures")]
-    + [T.StructField(c, T.DoubleType()) for c in ("phi", "phi_measured", "overhead", "savings")]
+    + [T.StructField(c, T.LongType()) for c in ("m", "max_support", "pairs", "candidate_itemsets", "kept_pairs", "kept_itemsets", "found", "frequent_pairs", "fp", "tn", "fn", "signatures", "signature_bytes", "counted_after")]
+    + [T.StructField(c, T.DoubleType()) for c in ("phi", "phi_measured", "overhead", "savings", "hash_seconds")]
     + [T.StructField("params", T.MapType(T.StringType(), T.DoubleType()))]
 )

@@ -105,3 +105,39 @@ def test_pair_survival_over_seeds():
         a, b = keys(fam, v, "stored"), keys(fam, v, "query")
         hits += sum((a[i] == b[j]).any() for i, j in pairs)
     assert hits / (60 * len(pairs)) >= 1 - f.delta - 0.03
+
+
+def test_bit_sampling_looks_at_sampled_transactions_alone():
+    f = Facts(100_000, 300, 40, 1200, 0.003, 0.3, 0.1)
+    fam = BitSample(f)
+    bits = np.random.default_rng(0).integers(0, 256, (9, BLOCK // 8), dtype=np.uint8)
+    seen = fam.view(bits, 1)
+    inside = np.unique(fam.pos[(fam.pos >= BLOCK) & (fam.pos < 2 * BLOCK)] - BLOCK)
+    assert seen.shape[1] == -(-len(inside) // 8) < BLOCK // 16
+    other = np.unpackbits(bits, axis=1, bitorder="little")
+    other[:, np.setdiff1d(np.arange(BLOCK), inside)] ^= 1
+    assert (fam.partial(np.packbits(other, axis=1, bitorder="little"), 1) == fam.partial_of(seen, 1)).all()
+    both = seen[:4] & seen[4:8]
+    assert (fam.partial_of(both, 1) == fam.partial(bits[:4] & bits[4:8], 1)).all()
+
+
+@pytest.mark.parametrize("family", [MinWise, Covering])
+def test_paddings_of_any_length_fit_into_memory(family):
+    import tracemalloc
+
+    a = 10**8 if family is MinWise else 10**6
+    f = Facts(4 * a, a - 4, 40, a, (a - 4) / (4 * a), 0.3, 0.1)
+    fam = family(f)
+    tracemalloc.start()
+    fam.finish(fam.empty(3), np.array([1, a // 2, a]), "stored")
+    assert tracemalloc.get_traced_memory()[1] < 200_000_000
+    tracemalloc.stop()
+
+
+def test_padding_minima_grow_smaller_and_are_those_of_uniform_hashes():
+    f = Facts(1000, 10, 40, 1000, 0.01, 0.3, 0.1)
+    fam = MinWise(f, lambda_override=4000)
+    low = fam.finish(fam.empty(4), np.array([999, 990, 900, 0]), "query").astype(float) / 2**64
+    assert (np.diff(low, axis=0) <= 0).all()
+    assert np.allclose(low.mean(1), [1 / 2, 1 / 11, 1 / 101, 1 / 1001], rtol=0.08)
+    assert (fam.finish(fam.empty(4), np.array([999, 990, 900, 0]), "stored") != fam.finish(fam.empty(4), np.array([999, 990, 900, 0]), "query")).mean() > 0.99

@@ -6,6 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from itemset_sieve.operators import baselines, candidates, rules, support
+from itemset_sieve.operators.encoders import encode
 from itemset_sieve.operators.vertical import build, dense_tids
 from itemset_sieve.plans import metrics
 from itemset_sieve.plans.miner import exists_size, mine
@@ -142,3 +143,28 @@ def test_missed_and_confusion(spark):
 
 def test_existence(tiny):
     assert exists_size(tiny, None, 2) and not exists_size(tiny, None, 4)
+
+
+def test_missed_pairs_are_no_true_negatives_and_inline_needs_no_count_after(spark, sf):
+    st = build(encode(spark, sf, "e4"), "0.45")
+    truth = {tuple(r["items"]): r["support"] for r in mine(st).itemsets.collect()}
+    for verify in ("inline", "after"):
+        r = mine(st, method="covering", verify=verify, stats=True)
+        assert {tuple(x["items"]): x["support"] for x in r.itemsets.collect()} == truth
+        assert all(s["fn"] == 0 and (s["counted_after"] == 0) == (verify == "inline" or not s["kept_pairs"]) for s in r.stats_rows)
+    r = mine(st, method="bitsample", delta=0.9, stats=True)
+    assert all(s["fp"] + s["fn"] + s["tn"] + 2 * (s["kept_pairs"] - s["fp"] // 2) == 2 * s["pairs"] for s in r.stats_rows) and sum(s["fn"] for s in r.stats_rows) > 0
+
+
+def test_a_checkpoint_of_another_run_is_refused(spark, sf, tmp_path):
+    import pytest
+
+    st = build(encode(spark, sf, "e4"), "0.45")
+    a = mine(st, checkpoint=str(tmp_path / "c"), max_level=2)
+    b = mine(st, checkpoint=str(tmp_path / "c"))
+    assert b.itemsets.count() > a.itemsets.count() and sorted(b.itemsets.collect()) == sorted(mine(st).itemsets.collect())
+    for other in ({"method": "covering"}, {"seed": 2}):
+        with pytest.raises(ValueError, match="another run"):
+            mine(st, checkpoint=str(tmp_path / "c"), **other)
+    with pytest.raises(ValueError, match="another run"):
+        mine(build(encode(spark, sf, "e4"), "0.5"), checkpoint=str(tmp_path / "c"))
