@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import trimmed
+
 #: Unicode's White_Space, the meaning of \s in the tokenizers' patterns, as the inside of a character class.
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 #: Words that a task remembers, their characters, and pairs of tokens, before it starts anew; characters of texts that it
@@ -289,4 +291,4 @@ def encoded(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", te
     kinds = ("string", "string") if digests else ("array<int>", "binary")
     d = docs.select(F.col(id_col), F.col(text_col).cast("string"))
     schema = f"`{id_col}` {d.schema[0].dataType.simpleString()}, n_tokens bigint, {out_names[2]} {kinds[0]}, {out_names[3]} {kinds[1]}"
-    return d.mapInArrow(run, schema)
+    return d.mapInArrow(trimmed(run), schema)

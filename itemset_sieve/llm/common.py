@@ -2,13 +2,18 @@
 
 from __future__ import annotations
 
+import ctypes
+import sys
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..scratch import forget, scratch_dir
 from ..scratch import written as materialize
 
-__all__ = ["ascii_lower", "components", "fold", "forget", "materialize", "scratch_dir", "table"]
+__all__ = ["ascii_lower", "components", "fold", "forget", "materialize", "scratch_dir", "table", "trim", "trimmed"]
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
@@ -33,6 +38,24 @@ def fold(c: Column) -> Column:
     return F.crc32(c.cast("string").cast("binary"))
 
 
+def trim() -> None:
+    """Gives memory that a task has freed back to the system: workers are kept, and wait beside those of other stages."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def trimmed(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run for mapInArrow, with memory given back before it starts and when it ends."""
+
+    def outer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()
+        yield from run(batches)
+        trim()
+
+    return outer
+
+
 def components(edges: DataFrame) -> DataFrame:
     """Smallest reachable id of every node of edges(a, b): rows (node, component).
 

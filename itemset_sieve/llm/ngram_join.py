@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, materialize
+from .common import components, materialize, trimmed
 
 SHINGLE, PERCENT = 5, 75
 #: Frequent shingles that the order knows of at most, and how many documents make one frequent.
@@ -121,7 +121,7 @@ def frequent(docs: DataFrame, size: int, most: int = FREQUENT, many: int = MANY)
                     waiting, n = [], 0
         yield given()
 
-    counted = binary_texts(docs).mapInArrow(count, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    counted = binary_texts(docs).mapInArrow(trimmed(count), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
     top = counted.where(F.col("n") >= many).orderBy(F.col("n").desc(), "h").limit(most).toArrow()  # at most `most` rows
     h, n = top.column("h").to_numpy().astype(np.uint64), top.column("n").to_numpy()
     order = np.argsort(h)
@@ -161,7 +161,7 @@ def described(docs: DataFrame, often: tuple[np.ndarray, np.ndarray], size: int,
             kinds = [pa.int64()] * 4 + [pa.binary()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds))], names=["doc_id", "n", "f1", "f2", "g1", "prefix"])
 
-    return binary_texts(docs).mapInArrow(run, "doc_id long, n long, f1 long, f2 long, g1 long, prefix binary")
+    return binary_texts(docs).mapInArrow(trimmed(run), "doc_id long, n long, f1 long, f2 long, g1 long, prefix binary")
 
 
 def meetings(groups: DataFrame, parts: int) -> DataFrame:
@@ -215,7 +215,7 @@ def meetings(groups: DataFrame, parts: int) -> DataFrame:
         live = np.concatenate([[False], same]) | np.concatenate([same, [False]])
         return pa.table({"h": pa.array(h[live].astype(np.int64)), "grp": pa.array(grp[live]), "n": pa.array(size[live])})
 
-    dealt = groups.select("grp", "n", "prefix").mapInArrow(deal, "part int, hs binary, who binary, ids binary, ns binary")
+    dealt = groups.select("grp", "n", "prefix").mapInArrow(trimmed(deal), "part int, hs binary, who binary, ids binary, ns binary")
     return dealt.groupBy("part").applyInArrow(meet, "h long, grp long, n long")
 
 
@@ -242,7 +242,7 @@ def sets_of(ids: DataFrame, docs: DataFrame, size: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([some.column(0), pa.array(blobs, pa.binary())], names=["id", "shingles"])
 
     d = binary_texts(docs).where("doc_id is not null").select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS)).alias("at"))
-    return materialize(d.mapInArrow(run, "id long, shingles binary").join(ids, "id", "left_semi").dropDuplicates(["id"]), "sets")
+    return materialize(d.mapInArrow(trimmed(run), "id long, shingles binary").join(ids, "id", "left_semi").dropDuplicates(["id"]), "sets")
 
 
 def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
@@ -261,7 +261,7 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
 
     known = sets_of(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), docs, size)
     joined = pairs.join(known.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(known.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
-    return materialize(joined.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long"), "links")
+    return materialize(joined.select("a", "b", "x", "y").mapInArrow(trimmed(compare), "a long, b long"), "links")
 
 
 def tile_links(units: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:

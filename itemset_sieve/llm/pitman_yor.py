@@ -20,9 +20,7 @@ answer every block with the probabilities of its pairs, and blocks add them up b
 
 from __future__ import annotations
 
-import ctypes
 import re
-import sys
 from collections import Counter
 from collections.abc import Iterator
 
@@ -32,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, forget, materialize
+from .common import fold, forget, materialize, trim
 from .ngram_join import LOWERED
 
 #: Discount and strength of the context level and of the unigram level.
@@ -49,13 +47,6 @@ SEED = 5
 SPACE = re.compile(rb"[\x20\x09-\x0D]")
 
 
-def trim() -> None:
-    """Gives memory that a task has freed back to the system: workers are kept, and wait beside those of other stages."""
-    pa.default_memory_pool().release_unused()
-    if sys.platform == "linux":
-        ctypes.CDLL(None).malloc_trim(0)
-
-
 def packed(a: np.ndarray) -> bytes:
     """Numbers byte plane by byte plane, compressed."""
     planes = np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T) if len(a) else np.zeros(0, np.uint8)

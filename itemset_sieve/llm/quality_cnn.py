@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import fold
+from .common import fold, trimmed
 
 WIDTH, STRIDE, FILTERS = 8, 4, 16
 #: Labelled documents of each class that the fit sees at most, and the longest it takes: the bound of the sample.
@@ -139,7 +139,7 @@ def scored(docs: DataFrame, net: Net, name: str = "score") -> DataFrame:
             scores = pa.array([model.score(x or b"") for x in texts], pa.float64())
             yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, name])
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
+    return docs.mapInArrow(trimmed(run), StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def judged(docs: DataFrame, labels: DataFrame) -> DataFrame:
