@@ -241,8 +241,8 @@ query("covering_keys_e4")(_shape("e4", Covering))
 _MINED = {"e2": oracle.mined("e2", "0.02", 3), "e3": oracle.mined("e3", "0.05", 3), "e4": oracle.mined("e4", "0.45", 7), "e1": oracle.mined("e1", "0.003", 2), "e6": oracle.mined("e6", "0.28", 3), "e7": oracle.mined("e7", "0.12", 2)}
 
 
-def hashed(name: str, enc: str, method: str, top: int | None = None, sql: str | None = None, **options: object) -> None:
-    query(name, sql or _MINED[enc])(lambda spark, d: mine(store(spark, d, enc), method=method, max_level=top, **options).labelled())
+def hashed(name: str, enc: str, method: str, top: int | None = None, sql: str | None = None, theta: str | None = None, **options: object) -> None:
+    query(name, sql or _MINED[enc])(lambda spark, d: mine(store(spark, d, enc, theta), method=method, max_level=top, **options).labelled())
 
 
 for _e in ("e2", "e3", "e4"):
@@ -269,6 +269,14 @@ hashed("covering_early_stop_e1", "e1", "covering", early_stop=True)
 hashed("bitsample_early_stop_e6", "e6", "bitsample", early_stop=True, delta=1e-3)
 hashed("minwise_eta_e4", "e4", "minwise", eta=1e-4)
 hashed("exact_pruned_e4", "e4", "exact", prune_subsets=True)
+# The other thresholds of the grid, and items that every transaction has.
+for _m in ("bitsample", "minwise"):
+    hashed(f"{_m}_itemsets_e3_low", "e3", _m, sql=oracle.mined("e3", "0.02", 6), theta="0.02")
+for _m in ("bitsample", "minwise", "covering", "auto"):
+    for _t in ("0.5", "0.4"):
+        hashed(f"{_m}_itemsets_e4_{_t[2:]}0", "e4", _m, sql=oracle.mined("e4", _t, 8), theta=_t)
+for _m in ("bitsample", "minwise", "covering"):
+    hashed(f"{_m}_capped_e8", "e8", _m, top=3, sql=oracle.mined("e8", "0.5", 3))
 
 for _m in ("bitsample", "minwise", "covering"):
     @query(f"soundness_{_m}_e4", f"SELECT '{_m}' AS method, 0::BIGINT AS wrong")
@@ -335,16 +343,16 @@ def _sweep(name: str, enc: str, settings: list[tuple[str, dict]]) -> None:
 
 
 _sweep("sweep_delta_e4", "e4", [(f"{m} delta={x}", {"method": m, "delta": x}) for m in ("bitsample", "minwise") for x in (0.3, 0.1, 0.01, 1e-6)])
-_sweep("sweep_eps_e4", "e4", [(f"{m} eps={x}", {"method": m, "eps": x, "delta": 0.1}) for m in ("bitsample", "minwise") for x in (0.1, 0.3, 0.7)])
+for _e in ("e3", "e4"):
+    _sweep(f"sweep_eps_{_e}", _e, [(f"{m} eps={x}", {"method": m, "eps": x, "delta": 0.1}) for m in ("bitsample", "minwise") for x in (0.1, 0.3, 0.7)])
 _sweep("sweep_lambda_e4", "e4", [(f"slots={x} {mode}", {"method": "minwise", "lambda_override": x, "mode": mode, "delta": 0.1}) for mode in ("scan", "banded") for x in (50, 200, 800)])
 _sweep("sweep_early_stop_e6", "e6", [(f"{m} stop={x}", {"method": m, "early_stop": x, "delta": 0.1}) for m in ("bitsample", "covering") for x in (False, True)])
 
 
-@query("padded_against_unpadded_e6")
-def _unpadded(spark: SparkSession, d: str) -> DataFrame:
+def _unpadded(spark: SparkSession, d: str, enc: str) -> DataFrame:
     """Frequent pairs that each way of hashing keeps and misses, with and without padding."""
-    st = store(spark, d, "e6")
-    r = exact(spark, d, "e6")
+    st = store(spark, d, enc)
+    r = exact(spark, d, enc)
     truth = level_of(r, 2).select("items")
     level = st.items.select(F.array("item").alias("items"), F.col("freq").alias("support"))
     members, s = level_arrays(level)
@@ -357,6 +365,10 @@ def _unpadded(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+for _e in ("e4", "e6"):
+    query(f"padded_against_unpadded_{_e}")(lambda spark, d, e=_e: _unpadded(spark, d, e))
+
+
 # Baselines.
 
 query("fpgrowth_e4", _MINED["e4"])(lambda spark, d: named((x := baselines.fpgrowth(st := store(spark, d, "e4"))).withColumn("level", F.size("items")), st, "items", key=("level", "support")).select("level", F.col("items").alias("itemset"), "support"))
@@ -526,6 +538,33 @@ def _stream_mined(spark: SparkSession, d: str) -> DataFrame:
     return spark.read.schema("level int, itemset string, support long, batch long").parquet(at + "/out")
 
 
+@query("stream_late_rows")
+def _stream_late(spark: SparkSession, d: str) -> DataFrame:
+    """How many rows came in time and late; a table in one file is one batch, of which nothing is late."""
+    at = _checkpoint(spark)
+    streaming.split_late(streaming.read_events(spark, d), at + "/out", at + "/state")
+    both = [spark.read.schema("event_id long").parquet(f"{at}/out/{side}").select(F.lit(side).alias("side")) for side in ("rows", "late")]
+    return both[0].union(both[1]).groupBy("side").agg(F.count(F.lit(1)).alias("n"))
+
+
+for _mode in ("update", "complete"):
+    @query(f"stream_counts_{_mode}", "SELECT date_trunc('day', ts) AS starts, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+    def _stream_counts(spark: SparkSession, d: str, mode: str = _mode) -> DataFrame:
+        at = _checkpoint(spark)
+        streaming.run_changes(streaming.item_counts(streaming.read_events(spark, d)), at + "/out", at + "/state", mode)
+        got = streaming.current(spark, at + "/out", "starts timestamp, event_type string, n long", ["starts", "event_type"], mode)
+        return got.withColumn("starts", F.col("starts").cast("timestamp_ntz"))
+
+
+@query("stream_summaries", "SELECT event_type AS label, slot::INT AS slot, min(('0x' || substr(md5(slot::VARCHAR || ':' || user_id::VARCHAR), 1, 15))::BIGINT) AS h FROM events, (SELECT unnest(range(16)) AS slot) WHERE user_id IS NOT NULL AND event_type IS NOT NULL GROUP BY 1, 2")
+def _stream_summaries(spark: SparkSession, d: str) -> DataFrame:
+    """Minwise summaries of event types over users, merged batch by batch."""
+    at = _checkpoint(spark)
+    pairs = streaming.read_events(spark, d).select(F.col("user_id").cast("string").alias("key"), F.col("event_type").alias("label"))
+    streaming.summaries(pairs, at + "/out", at + "/state", 16)
+    return streaming.current(spark, at + "/out", streaming.SUMMARY, ["label", "slot"], "complete")
+
+
 query("episodes_hourly")(lambda spark, d: streaming.episodes(load(spark, d, "events", "ts", "event_type"), "0.1", "6 hours", "3 hours").labelled())
 
 

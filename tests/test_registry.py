@@ -12,7 +12,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 SOME = [
     "level1_e3", "level1_e4", "level1_e8", "exact_pairs_e2", "compatible_pairs_e4", "prefix_pairs_e4", "pruned_candidates_e4", "support_bitmap_e4", "padded_hamming_e6", "pair_classes_e6", "minwise_md5_e2b",
     "params_bitsample_e4", "params_minwise_e4", "params_covering_e4", "level_stats_e4", "covering_itemsets_e4", "maximal_e4", "closed_e4", "cube_e3", "rollup_levels_e4", "topk_per_level_e4", "ranks_e4",
-    "asof_signup_purchase", "interval_episode_pairs", "stream_window_items", "one_hot_round_trip_e2b", "udtf_subsets_e4", "fpgrowth_e4", "lift_pairs_e5",
+    "asof_signup_purchase", "interval_episode_pairs", "stream_window_items", "stream_counts_update", "stream_counts_complete", "stream_summaries", "covering_capped_e8", "one_hot_round_trip_e2b", "udtf_subsets_e4", "fpgrowth_e4", "lift_pairs_e5",
 ]
 
 

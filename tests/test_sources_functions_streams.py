@@ -82,3 +82,55 @@ def test_stream_deduplicates_and_joins(spark, sf, tmp_path):
     j = streaming.followed(e.where("event_type = 'signup'"), e2.where("event_type = 'purchase'"), "1 day")
     streaming.run_once(j, str(tmp_path / "c"), str(tmp_path / "d"))
     assert spark.read.parquet(str(tmp_path / "c")).where("rts <= lts").count() == 0
+
+
+def events_in_batches(spark, folder, batches):
+    """A stream that reads one file of (event_id, minute, user_id, event_type) a micro-batch, in order, and how to add one."""
+    kind = "event_id long, ts timestamp, user_id long, event_type string"
+
+    def add(rows):
+        rows = [(i, None if m is None else f"2024-01-01 {m // 60:02}:{m % 60:02}:00", u, e) for i, m, u, e in rows]
+        df = spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string")
+        df.withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(folder)
+
+    for rows in batches:
+        add(rows)
+    return spark.readStream.schema(kind).option("maxFilesPerTrigger", 1).parquet(folder), add
+
+
+def test_late_rows_go_aside(spark, tmp_path):
+    at = [str(tmp_path / x) for x in ("in", "out", "state")]
+    stream, add = events_in_batches(spark, at[0], [[(1, 100, 1, "a"), (2, 10, 1, "a")]])  # one batch: nothing is late in it
+    streaming.split_late(stream, at[1], at[2])
+    for rows in ([(3, 39, 1, "a"), (4, 40, 1, "b"), (5, None, 1, "c")], [(6, 39, 2, "a")], [(7, 300, 2, "a")], [(8, 239, 2, "a"), (9, 240, 2, "a")]):
+        add(rows)
+        streaming.split_late(stream, at[1], at[2])
+    ids = {side: sorted(r.event_id for r in spark.read.schema("event_id long").parquet(f"{at[1]}/{side}").collect()) for side in ("rows", "late")}
+    assert ids == {"rows": [1, 2, 4, 5, 7, 9], "late": [3, 6, 8]}
+
+
+@pytest.mark.parametrize("mode", ["update", "complete"])
+def test_counts_in_update_and_complete_mode(spark, tmp_path, mode):
+    at = [str(tmp_path / x) for x in ("in", "out", "state")]
+    stream, add = events_in_batches(spark, at[0], [[(1, 10, 1, "a"), (2, 20, 2, "a"), (3, 30, 1, "b")]])
+    counts = streaming.item_counts(stream, "1 hour")
+    for rows in ([(4, 40, 1, "a"), (5, 70, 1, "c")], [(6, 50, 1, "b")]):
+        streaming.run_changes(counts, at[1], at[2], mode)
+        add(rows)
+    streaming.run_changes(counts, at[1], at[2], mode)
+    got = streaming.current(spark, at[1], "starts timestamp, event_type string, n long", ["starts", "event_type"], mode)
+    assert sorted((r.starts.hour, r.event_type, r.n) for r in got.collect()) == [(0, "a", 3), (0, "b", 2), (1, "c", 1)]
+
+
+def test_summaries_merge_to_those_of_all_rows(spark, tmp_path):
+    at = [str(tmp_path / x) for x in ("in", "out", "state")]
+    parts = [[(i, i, i % 7 + 10 * k, "ab"[i % 2]) for i in range(9)] for k in range(4)] + [[(0, 0, 3, "a"), (1, 1, None, "b"), (2, 2, 4, None)]]
+    stream, add = events_in_batches(spark, at[0], parts[:1])
+    pairs = stream.select(F.col("user_id").cast("string").alias("key"), F.col("event_type").alias("label"))
+    streaming.summaries(pairs, at[1], at[2], 5)
+    for rows in parts[1:]:
+        add(rows)
+        streaming.summaries(pairs, at[1], at[2], 5)
+    got = streaming.current(spark, at[1], streaming.SUMMARY, ["label", "slot"], "complete")
+    whole = spark.read.parquet(at[0]).select(F.col("user_id").cast("string").alias("key"), F.col("event_type").alias("label"))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, streaming.minima(whole, 5).collect())) and got.count() == 10
