@@ -270,8 +270,7 @@ hashed("bitsample_early_stop_e6", "e6", "bitsample", early_stop=True, delta=1e-3
 hashed("minwise_eta_e4", "e4", "minwise", eta=1e-4)
 hashed("exact_pruned_e4", "e4", "exact", prune_subsets=True)
 # The other thresholds of the grid, and items that every transaction has.
-for _m in ("bitsample", "minwise"):
-    hashed(f"{_m}_itemsets_e3_low", "e3", _m, sql=oracle.mined("e3", "0.02", 6), theta="0.02")
+hashed("bitsample_itemsets_e3_low", "e3", "bitsample", sql=oracle.mined("e3", "0.02", 6), theta="0.02")
 for _m in ("bitsample", "minwise", "covering", "auto"):
     for _t in ("0.5", "0.4"):
         hashed(f"{_m}_itemsets_e4_{_t[2:]}0", "e4", _m, sql=oracle.mined("e4", _t, 8), theta=_t)
