@@ -1,8 +1,9 @@
 """N-gram Jaccard join: a grouped prefix join on word shingles.
 
 Documents with the same shingles form a class, classes with the same prefix and size form a group, and groups
-meet on the shingles of their prefixes. Shingles are ordered with the frequent ones last; any order gives the
-same links, a good one only makes buckets small. Prefixes are some shingles longer than they must be, so that a
+meet on the shingles of their prefixes. Shingles are ordered with the frequent ones last, the others by how common
+their words are, so that texts which share nothing but common words in chance order hardly meet, however many there are;
+any order gives the same links, a good one only makes buckets small. Prefixes are some shingles longer than they must be, so that a
 similar pair shares not one but that many more of them; a group may then leave crowded buckets as long as fewer
 of its shingles are crowded than a pair must share. Candidates are tried in two steps: first each against the
 smallest of its bucket, then, across the components this leaves, all that remain. Pairs inside one component
@@ -19,11 +20,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, materialize, trimmed
+from .common import components, forget, materialize, trimmed
 
 SHINGLE, PERCENT = 5, 75
 #: Frequent shingles that the order knows of at most, and how many documents make one frequent.
 FREQUENT, MANY = 400_000, 12
+#: log2 of the cells in which words are counted for the order, and rows in which a task hands its counts on.
+CELL_BITS, CELL_ROWS = 17, 16
 #: Shingles beyond the least prefix that a pair must share too, and groups that make a bucket crowded.
 EXTRA, CROWD = 24, 24
 #: Documents of a tile, in which dense clusters are compared pair by pair.
@@ -55,19 +58,54 @@ def mixed(h: np.ndarray, salt: int = 0) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def shingles(text: bytes | None, known: Hashes, size: int = SHINGLE) -> np.ndarray:
-    """The distinct shingles of a text as sorted 48-bit hashes. Fewer words than size make one shingle of all
-    of them; no words make none. A-Z count as a-z; words end at ASCII white space."""
+def words_of(text: bytes | None, known: Hashes) -> np.ndarray:
+    """Hashes of a text's words in order. A-Z count as a-z; words end at ASCII white space."""
     words = (text or b"").translate(LOWERED).split()
-    if not words:
-        return np.zeros(0, np.uint64)
-    h = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+    return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+
+
+def joined(h: np.ndarray, size: int) -> np.ndarray:
+    """48-bit hashes of the shingles of words, in order and with repeats. Fewer words than size make one shingle of all
+    of them; no words make none."""
+    if not len(h):
+        return h
     n = min(size, len(h))
     out = h[: len(h) - n + 1].copy()
     for i in range(1, n):
         out *= np.uint64(0x9E3779B97F4A7C15)
         out += h[i : len(h) - n + 1 + i]
-    return np.unique(mixed(out, n) >> np.uint64(16))
+    return mixed(out, n) >> np.uint64(16)
+
+
+def shingles(text: bytes | None, known: Hashes, size: int = SHINGLE) -> np.ndarray:
+    """The distinct shingles of a text as sorted 48-bit hashes."""
+    return np.unique(joined(words_of(text, known), size))
+
+
+def cells(h: np.ndarray) -> np.ndarray:
+    """The cells in which words are counted."""
+    return (h >> np.uint64(64 - CELL_BITS)).astype(np.int64)
+
+
+def weights_of(counts: np.ndarray) -> np.ndarray:
+    """What a word of each cell adds to its shingles' weight: a rounded logarithm, so that sums are the same everywhere."""
+    return np.round(16 * np.log2(1.0 + counts)).astype(np.uint64)
+
+
+def weighed(text: bytes | None, known: Hashes, weight: np.ndarray, size: int = SHINGLE) -> np.ndarray:
+    """The distinct shingles of a text, those of rarer words first. A shingle's weight follows from its words alone, so
+    every text orders it alike."""
+    h = words_of(text, known)
+    out = joined(h, size)
+    if not len(h):
+        return out
+    each, n = weight[cells(h)], min(size, len(h))
+    total = each[: len(h) - n + 1].copy()
+    for i in range(1, n):
+        total += each[i : len(h) - n + 1 + i]
+    # 16 bits are enough for weights of five words; longer shingles are weighed more coarsely.
+    coarse = max(0, int(n * int(weight.max(initial=0))).bit_length() - 16)
+    return np.unique(total >> np.uint64(coarse) << np.uint64(48) | out) & np.uint64(0xFFFFFFFFFFFF)
 
 
 def packed(h: np.ndarray) -> bytes:
@@ -96,40 +134,56 @@ def binary_texts(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text"))
 
 
-def frequent(docs: DataFrame, size: int, most: int = FREQUENT, many: int = MANY) -> tuple[np.ndarray, np.ndarray]:
-    """The most frequent shingles and their counts, sorted by shingle: at most `most`, from all documents.
+def frequent(docs: DataFrame, size: int, most: int = FREQUENT, many: int = MANY) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The most frequent shingles and their counts, sorted by shingle: at most `most`, from all documents; and the weights
+    of words by cell.
 
-    Each task counts documents and reports what it has met at least twice.
+    Each task counts documents and reports what it has met at least twice, and the words it has met by cell.
     """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, waiting, n = Hashes(), [], 0
+        met = np.zeros(1 << CELL_BITS, np.int64)
 
         def given() -> pa.RecordBatch:
             h = np.sort(np.concatenate(waiting)) if waiting else np.zeros(0, np.uint64)
             starts = np.nonzero(np.concatenate([[True], h[1:] != h[:-1]]))[0] if len(h) else np.zeros(0, np.int64)
             counts = np.diff([*starts, len(h)]) if len(h) else starts
             twice = counts > 1
-            return pa.RecordBatch.from_arrays([pa.array(h[starts[twice]].astype(np.int64)), pa.array(counts[twice].astype(np.int64))], names=["h", "n"])
+            return batch_of(h[starts[twice]].astype(np.int64), counts[twice].astype(np.int64), [None] * int(twice.sum()))
+
+        def batch_of(h: np.ndarray, n: np.ndarray, words: list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(n, pa.int64()), pa.array(words, pa.binary())], names=["h", "n", "words"])
 
         for batch in batches:
             for text in batch.column(1).to_pylist():
-                waiting.append(shingles(text, known, size))
+                words = words_of(text, known)
+                np.add.at(met, cells(words), 1)
+                waiting.append(np.unique(joined(words, size)))
                 n += len(waiting[-1])
                 if n > GATHER:
                     yield given()
                     waiting, n = [], 0
         yield given()
+        yield batch_of(np.arange(CELL_ROWS), np.zeros(CELL_ROWS), [x.astype("<i8").tobytes() for x in np.split(met, CELL_ROWS)])
 
-    counted = binary_texts(docs).mapInArrow(trimmed(count), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    def add(table: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x, "<i8") for x in table.column("words").to_pylist())
+        return pa.table({"h": table.column("h")[:1], "words": pa.array([total.tobytes()], pa.binary())})
+
+    reported = materialize(binary_texts(docs).mapInArrow(trimmed(count), "h long, n long, words binary"), "counts")
+    counted = reported.where("words is null").groupBy("h").agg(F.sum("n").alias("n"))
     top = counted.where(F.col("n") >= many).orderBy(F.col("n").desc(), "h").limit(most).toArrow()  # at most `most` rows
+    words = reported.where("words is not null").select("h", "words").groupBy("h").applyInArrow(add, "h long, words binary").collect()  # CELL_ROWS rows
+    forget(reported)
     h, n = top.column("h").to_numpy().astype(np.uint64), top.column("n").to_numpy()
     order = np.argsort(h)
-    return h[order], n[order]
+    met = np.concatenate([np.frombuffer(r["words"], "<i8") for r in sorted(words, key=lambda r: r["h"])] or [np.zeros(1 << CELL_BITS, np.int64)])
+    return h[order], n[order], weights_of(met)
 
 
-def ordered(h: np.ndarray, often: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """Shingles in the join's order: those not known as frequent by hash, then the others by count and hash."""
+def ordered(h: np.ndarray, often: tuple[np.ndarray, ...]) -> np.ndarray:
+    """Shingles in the join's order: those not known as frequent as they come, then the others by count and hash."""
     if not len(often[0]):
         return h
     at = np.minimum(np.searchsorted(often[0], h), len(often[0]) - 1)
@@ -145,16 +199,16 @@ def print_of(h: np.ndarray) -> tuple[int, int]:
     return tuple(int(mixed(h, salt).sum(dtype=np.uint64).astype(np.int64)) for salt in (0x5851F42D4C957F2D, 0x14057B7EF767814F))
 
 
-def described(docs: DataFrame, often: tuple[np.ndarray, np.ndarray], size: int, percent: int) -> DataFrame:
+def described(docs: DataFrame, often: tuple[np.ndarray, np.ndarray, np.ndarray], size: int, percent: int) -> DataFrame:
     """doc_id, n, fingerprints of set and prefix, and the prefix in order, of every document."""
-    shared = docs.sparkSession.sparkContext.broadcast(often)  # at most FREQUENT entries
+    shared = docs.sparkSession.sparkContext.broadcast(often)  # at most FREQUENT entries, and the cells
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = Hashes()
         for batch in batches:
             rows = []
             for text in batch.column(1).to_pylist():
-                h = shingles(text, known, size)
+                h = weighed(text, known, shared.value[2], size)
                 front = ordered(h, shared.value)[: prefix_length(len(h), percent)] if len(h) else h
                 rows.append((len(h), *print_of(h), print_of(front)[0], packed(front)))
             cols = list(zip(*rows)) or [()] * 5
@@ -165,11 +219,14 @@ def described(docs: DataFrame, often: tuple[np.ndarray, np.ndarray], size: int,
 
 
 def meetings(groups: DataFrame, parts: int) -> DataFrame:
-    """h, grp, n: the prefix shingles that two or more groups(grp, n, prefix) share, and these groups.
+    """h, grp, n, crowd: the prefix shingles that two or more groups(grp, n, prefix) share, these groups, and whether (1 or 0)
+    they are more than CROWD.
 
     Prefixes are dealt by shingle range as packed arrays; shingles of one group alone end here.
     """
 
+    crowd = CROWD
+
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hs, who, ids, ns, n = [], [], [], [], 0
 
@@ -211,12 +268,14 @@ def meetings(groups: DataFrame, parts: int) -> DataFrame:
             size.append(np.frombuffer(ns, "<i8")[at])
         order = np.argsort(h, kind="stable")
         h, grp, size = h[order], np.concatenate(grp)[order], np.concatenate(size)[order]
-        same = h[1:] == h[:-1]
-        live = np.concatenate([[False], same]) | np.concatenate([same, [False]])
-        return pa.table({"h": pa.array(h[live].astype(np.int64)), "grp": pa.array(grp[live]), "n": pa.array(size[live])})
+        starts = np.nonzero(np.concatenate([[True], h[1:] != h[:-1]]))[0] if len(h) else np.zeros(0, np.int64)
+        k = np.diff(np.append(starts, len(h)))
+        k = np.repeat(k, k)
+        live = k > 1
+        return pa.table({"h": pa.array(h[live].astype(np.int64)), "grp": pa.array(grp[live]), "n": pa.array(size[live]), "crowd": pa.array((k[live] > crowd).astype(np.int32))})
 
     dealt = groups.select("grp", "n", "prefix").mapInArrow(trimmed(deal), "part int, hs binary, who binary, ids binary, ns binary")
-    return dealt.groupBy("part").applyInArrow(meet, "h long, grp long, n long")
+    return dealt.groupBy("part").applyInArrow(meet, "h long, grp long, n long, crowd int")
 
 
 def id_filter(ids: DataFrame, bits: int = FILTER_BITS) -> bytes:
@@ -260,8 +319,10 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
             yield pa.RecordBatch.from_arrays(batch.columns[:2], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
     known = sets_of(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), docs, size)
-    joined = pairs.join(known.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(known.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
-    return materialize(joined.select("a", "b", "x", "y").mapInArrow(trimmed(compare), "a long, b long"), "links")
+    both = pairs.join(known.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(known.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
+    links = materialize(both.select("a", "b", "x", "y").mapInArrow(trimmed(compare), "a long, b long"), "links")
+    forget(pairs, known)
+    return links
 
 
 def tile_links(units: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
@@ -311,7 +372,9 @@ def tile_links(units: DataFrame, docs: DataFrame, size: int, percent: int) -> Da
                 out.append((unit[a[p]], unit[b[q]]))
         return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
 
-    return materialize(full.groupBy("cluster", "i", "j").applyInArrow(compare, "a long, b long"), "links")
+    links = materialize(full.groupBy("cluster", "i", "j").applyInArrow(compare, "a long, b long"), "links")
+    forget(placed, known)
+    return links
 
 
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, frequent_most: int = FREQUENT, many: int = MANY) -> DataFrame:
@@ -332,15 +395,18 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     heads = member.where("unit = grp").select("grp", "n")
     fronts = info.select(F.col("doc_id").alias("grp"), "n", "prefix").join(heads.select("grp"), "grp", "left_semi")
     met = materialize(meetings(fronts, max(8, parts)), "meetings")
+    whole, info = info, materialize(info.select("doc_id", "n", "f1", "f2"), "names")
+    forget(whole)  # prefixes are the larger part of it
     # Groups with few crowded shingles leave the crowded buckets; what a pair must share falls by as many.
-    crowded = met.groupBy("h").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > CROWD).select("h", F.lit(1).alias("crowd"))
-    rows = met.join(crowded, "h", "left").select("h", "grp", "n", F.coalesce("crowd", F.lit(0)).alias("crowd"))
     asks = F.greatest(F.lit(1), F.least(F.lit(EXTRA), F.floor(F.col("n") / 12))).cast("long")
     # A partner may be smaller and ask for less: the least that any can ask for decides.
     least = F.greatest(F.lit(1), F.least(F.lit(EXTRA), F.floor(F.col("n") * percent / 1200))).cast("long")
-    held = rows.groupBy("grp").agg(F.sum("crowd").alias("d"), F.max(asks).alias("asks"), F.max(least).alias("least"))
-    held = held.select("grp", "d", "asks", (F.col("d") >= F.col("least")).alias("stays"))
-    rows = materialize(rows.join(held, "grp").where("crowd = 0 OR stays").select("h", "grp", "n", "crowd", "asks", F.when(~F.col("stays"), F.col("d")).alias("left")), "live")
+    held = met.where("crowd = 1").groupBy("grp").agg(F.count(F.lit(1)).alias("d"), F.max(least).alias("least"))
+    held = held.select("grp", "d", (F.col("d") >= F.col("least")).alias("stays"))  # groups without crowded shingles leave none
+    left = F.when(F.coalesce("stays", F.lit(False)), F.lit(None)).otherwise(F.coalesce("d", F.lit(0))).cast("long").alias("left")
+    rows = met.join(held, "grp", "left").where("crowd = 0 OR stays").select("h", "grp", "n", "crowd", asks.alias("asks"), left)
+    rows = materialize(rows, "live")
+    forget(met)
     live, thick = rows.where("crowd = 0").drop("crowd"), rows.where("crowd = 1").select("h", "grp")
     need = F.least("asksx", "asksy") - F.coalesce(F.least("leftx", "lefty"), F.lit(0))  # nulls are passed over
     small = f"100 * nx >= {percent} * ny AND 100 * ny >= {percent} * nx"
@@ -368,13 +434,16 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("k"), F.max("need").alias("need"), F.max("own").alias("own")).where("own OR k >= need").select("a", "b")
     done = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     more = verified(cross.join(done, ["a", "b"], "left_anti"), docs, size, percent)
+    forget(tried, meet)
     # Last, groups that had to stay in crowded buckets, and the many units of one group: in tiles.
     ring = thick.join(thick.groupBy("h").agg(F.min("grp").alias("b")), "h").select(F.col("grp").alias("a"), "b").distinct()
     cluster = components(ring).select(F.col("node").alias("grp"), F.col("component").alias("cluster"))
     dense = placed.join(cluster, "grp").select("unit", "cluster", "comp")
     dense = dense.union(placed.join(many, "grp").select("unit", (-F.col("grp") - 1).alias("cluster"), "comp"))
-    more = more.union(tile_links(dense, docs, size, percent))
-    final = components(linked.union(more))
+    tiles = tile_links(dense, docs, size, percent)
+    forget(rows, placed, member)
+    final = components(linked.union(more).union(tiles))
+    forget(linked, more, tiles)
     named = unit.join(final, unit["unit"] == final["node"], "left").select("f1", "f2", "n", F.coalesce("component", "unit").alias("component_id"))
     full = info.select("doc_id", "n", "f1", "f2").join(named, ["f1", "f2", "n"], "left")
     return full.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))

@@ -647,3 +647,27 @@ def test_connected_components(spark):
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {**{i: 10 for i in range(10, 61)}, 5: 5, 7: 5, 100: 5, 8: 8}
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_texts_that_share_common_words_alone_hardly_meet(spark):
+    """Else meetings, and the disk they take, grow faster than the documents."""
+    rng = random.Random(5)
+    common, rare = [f"c{i}" for i in range(4)], [f"r{i}" for i in range(4000)]
+    rows = [(i, " ".join(rng.choice(common) if rng.random() < 0.75 else rng.choice(rare) for _ in range(300))) for i in range(200)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    info = ngram_join.described(docs, ngram_join.frequent(docs, 5), 5, 75)
+    met = ngram_join.meetings(info.select(F.col("doc_id").alias("grp"), "n", "prefix"), 4).count()
+    assert met < 1000  # of some 20,000 shingles of prefixes
+
+
+def test_near_duplicates_leave_no_large_scratch_tables(spark):
+    from itemset_sieve.scratch import scratch_dir
+
+    at = spark._jvm.org.apache.hadoop.fs.Path(scratch_dir(spark))
+    names = lambda: {s.getPath().getName() for s in at.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(at)}
+    docs = spark.createDataFrame(list(enumerate(TEXTS)), "doc_id long, text string")
+    ngram_join.frequent(docs, 5)  # the folder is there
+    spark.range(1).write.mode("overwrite").parquet(f"{scratch_dir(spark)}/any")
+    before = names()
+    assert ngram_join.near_duplicates(docs).count() == len(TEXTS)
+    assert {x.split("-")[0] for x in names() - before} <= {"names", "classes", "labels"}
