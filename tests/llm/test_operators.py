@@ -195,6 +195,15 @@ def test_pages_of_ever_new_shapes_do_not_add_up():
     assert sum(1 for _ in html_extract.nodes_of(w)) < 300 and html_extract.template(w) == ["p " + html_extract.mark("Notice")]
 
 
+def test_template_of_rare_sections_is_found_on_hosts_of_many_shapes(spark):
+    new = lambda i: "".join(f"<div class=c{i}x{k}><p>only {i} {k}</p><p>b</p></div>" for k in range(20))
+    rare = lambda i: f"<div class=special><p>The same words</p><p>own {i}</p></div>" if i % 12 == 0 else ""
+    df = spark.createDataFrame([(i, "http://h/", f"<body>{rare(i)}{new(i)}</body>") for i in range(144)], "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in html_extract.extracted(df.coalesce(1)).collect()}
+    assert all("only 24 3" in got[i] for i in (24,)) and "own 24" in got[24]
+    assert not any("The same words" in x for x in got.values())
+
+
 def test_extraction_ignores_repeats_and_clashing_columns(spark):
     page = "<body><p>Welcome</p><p>{}</p></body>"
     rows = [(i % 5, "http://h/", page.format(i % 5), "x", "y", 1) for i in range(20)]
