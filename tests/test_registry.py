@@ -69,3 +69,17 @@ def test_break_even_table_has_all_workloads(spark, sf):
 def test_contract(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert entry.entry(spark).columns == ["level", "itemset", "support"]
+
+
+@pytest.mark.parametrize("name", ["compatible_pairs_e4", "compatible_pairs_brute_e4", "prefix_pairs_e4", "udtf_subsets_e4", "bitsample_printed_rounding_e2", "level_costs_covering_e1"])
+def test_query_reads_its_tables_itself(spark, sf, monkeypatch, name):
+    """Also where another query of the session has read them."""
+    read = []
+    load = registry.encode.__globals__["load"]
+    monkeypatch.setitem(registry.encode.__globals__, "load", lambda s, d, table, *cols: read.append(table) or load(s, d, table, *cols))
+    registry.store(spark, sf, name.split("_")[-1])
+    if name.endswith("_e4"):
+        registry.exact(spark, sf, "e4")
+    read.clear()
+    registry.QUERIES[name](spark, sf)
+    assert read
