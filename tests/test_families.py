@@ -164,3 +164,56 @@ def test_minwise_blocks_equal_plain_minima_and_are_quick():
     plain = time.perf_counter() - began
     print(took, plain)
     assert (got == want).all() and took < 0.7 * plain
+
+
+@pytest.mark.parametrize("remembered", [4096, 0])
+@pytest.mark.parametrize("mode", ["blocks", "exact_radius0"])
+@pytest.mark.parametrize("pad", [True, False])
+def test_pairs_found_block_by_block_are_those_of_all_keys(remembered, mode, pad, monkeypatch):
+    from itemset_sieve.operators import meetings
+
+    monkeypatch.setattr(meetings, "MATRIX", remembered)
+    rng = np.random.default_rng(5)
+    v = (rng.random((9, 700)) < rng.uniform(0.5, 0.95, (9, 1))).astype(np.uint8)
+    v[3] = v[2]
+    members = np.array(list(itertools.combinations(range(9), 2)))
+    sets = v[members[:, 0]] & v[members[:, 1]]
+    keep = sets.sum(1) >= 150
+    members, sets = members[keep], sets[keep]
+    s = sets.sum(1)
+    f = Facts(700, 150, len(sets), int(s.max()), 150 / 700, 0.3, 0.1)
+    fam = Covering(f, seed=2, mode=mode, pad=pad)
+    a, b = keys(fam, sets, "stored"), keys(fam, sets, "query")
+    want = {}
+    for i, j in itertools.permutations(range(len(sets)), 2):
+        t = np.nonzero(a[i] == b[j])[0]
+        if len(t) and len({*members[i], *members[j]}) == 3:
+            want[i, j] = t[0]
+    pos = np.arange(f.n + 2 * f.A)
+    half, got = fam.b // 2, {}
+    block = fam.places(pos)[0] // fam.cells
+    for lo, hi in ((0, half), (half, fam.b)):
+        own = np.append(pos[(block >= lo) & (block < hi)], -1)
+        bits = np.packbits(np.where((own >= 0) & (own < f.n), v[:, np.minimum(own, f.n - 1)], 0), axis=1, bitorder="little")
+        for met in meetings.meet(fam, members, s, lo, hi, own, bits, True):
+            for i, j, t in zip(*(x.tolist() for x in met)):
+                got[i, j] = min(t, got.get((i, j), t))
+    assert got == want and len(want) > 20
+    one_way = {tuple(sorted(p)) for lo, hi in ((0, fam.b),) for a, q, _ in meetings.meet(fam, members, s, lo, hi, pos, np.packbits(np.concatenate([v, np.zeros((9, 2 * f.A), np.uint8)], axis=1), axis=1, bitorder="little"), False) for p in zip(a.tolist(), q.tolist())}
+    assert one_way == {tuple(sorted(p)) for p in want}
+
+
+def test_itemsets_without_any_difference_meet_at_once():
+    from itemset_sieve.operators import meetings
+
+    members = np.array(list(itertools.combinations(range(18), 2)))
+    f = Facts(200_000, 100_000, len(members), 200_000, 0.5, 0.3, 1e-6)
+    fam = Covering(f)
+    assert meetings.by_group(len(members), fam)
+    pos = np.arange(f.n)
+    pos = pos[fam.places(pos)[0] // fam.cells < 2000]
+    bits = np.full((18, -(-len(pos) // 8)), 255, np.uint8)
+    looked = []
+    fam.keys_of = lambda x: looked.append(x.shape[1]) or Covering.keys_of(fam, x)
+    met = list(meetings.meet(fam, members, np.full(len(members), f.n), 0, 2000, pos, bits, True))
+    assert sum(len(a) for a, _, _ in met) == 153 * 32 and sum(looked) <= 4
