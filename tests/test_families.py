@@ -217,3 +217,19 @@ def test_itemsets_without_any_difference_meet_at_once():
     fam.keys_of = lambda x: looked.append(x.shape[1]) or Covering.keys_of(fam, x)
     met = list(meetings.meet(fam, members, np.full(len(members), f.n), 0, 2000, pos, bits, True))
     assert sum(len(a) for a, _, _ in met) == 153 * 32 and sum(looked) <= 4
+
+
+def test_minwise_looks_at_few_positions_of_usual_itemsets(monkeypatch):
+    from itemset_sieve.families import minwise
+
+    rng = np.random.default_rng(6)
+    ones = rng.random((70, BLOCK)) < rng.uniform(0.05, 0.6, (70, 1))
+    fam = MinWise(Facts(3 * BLOCK, 4900, 70, 60_000, 0.05, 0.3, 0.1), lambda_override=2500)
+    looked, scramble, arrivals = [], minwise.scramble, MinWise.arrivals
+    monkeypatch.setattr(minwise, "scramble", lambda x, seed: looked.append(x.size) or scramble(x, seed))
+    monkeypatch.setattr(MinWise, "arrivals", lambda *a: looked.append((r := arrivals(*a))[0].size) or r)
+    got = fam.partial_of(np.packbits(ones, axis=1, bitorder="little"), 1)
+    assert sum(looked) < 2500 * BLOCK / 50
+    assert np.allclose((got.astype(float) / 2**64).mean(1) * (ones.sum(1) + 1), 1, atol=0.12)
+    x, y = ones[0] & ones[1], ones[0] | ones[1]
+    assert abs((got[0] == got[1]).mean() - x.sum() / y.sum()) < 0.05

@@ -204,3 +204,35 @@ def test_covering_makes_no_table_of_keys_that_grows_with_the_transactions(spark,
     x = np.array(list(combinations(range(10), 2)), np.int32)
     pairs = candidates.join_hashed(x, np.full(len(x), n), st, Covering(Facts(n, n // 2, len(x), n, 0.5, 0.3, 1e-6)))
     assert pairs.count() == 10 * 36 == pairs.select("parent_a", "parent_q").distinct().count()
+
+
+def test_store_of_wide_rows_is_that_of_their_items(spark, sf):
+    """Also where keys come again, with the same items and others, and where columns are null; no row for each item is written on the way."""
+    from itemset_sieve.operators import vertical
+    from itemset_sieve.operators.encoders import encode_wide, from_columns, wide_columns
+
+    n = 40_000
+    rows = spark.range(n).select((F.col("id") % (n - 3000)).alias("k"), F.when(F.col("id") % 5 > 0, F.col("id") % 3).alias("a"), F.when(F.col("id") % 4 > 0, F.col("id") % 7).alias("b"))
+    rows = rows.union(spark.createDataFrame([(None, 1, 1), (n + 1, None, None)], "k long, a long, b long"))
+    cols = {"a": F.col("a"), "b": F.col("b")}
+    pairs = [(from_columns(rows, F.col("k"), cols), wide_columns(rows, F.col("k"), cols)), (encode(spark, sf, "e3"), encode_wide(spark, sf, "e3"))]
+    for long, wide in pairs:
+        tables = []
+        was, vertical.written = vertical.written, lambda df, name, path=None: tables.append(name) or was(df, name, path)
+        try:
+            y = build(wide, "0.05")
+        finally:
+            vertical.written = was
+        x = build(long, "0.05")
+        assert "labels" in wide.columns and tables == ["baskets", "items", "blocks"]
+        assert (x.n, x.s_min, x.labels, sorted(x.items.collect())) == (y.n, y.s_min, y.labels, sorted(y.items.collect()))
+        assert sorted(x.long.collect()) == sorted(y.long.collect())
+        assert sorted(map(repr, x.blocks.collect())) == sorted(map(repr, y.blocks.collect()))
+    assert pairs[0][1].count() > pairs[0][1].select("key").distinct().count()
+
+
+def test_stats_by_known_truth_are_those_that_are_counted(spark, sf):
+    st = build(encode(spark, sf, "e4"), "0.5")
+    truth = mine(st).itemsets
+    counted, known = (mine(st, method="bitsample", delta=0.3, stats=True, max_level=3, truth=t).stats_rows for t in (None, truth))
+    assert [{k: v for k, v in r.items() if k != "hash_seconds"} for r in counted] == [{k: v for k, v in r.items() if k != "hash_seconds"} for r in known] and len(known) == 2
